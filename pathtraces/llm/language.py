@@ -1,17 +1,20 @@
 """Language by compression: a text belongs to the language whose dictionary compresses it best.
 
-Each language has a raw-content zstandard dictionary: whole training texts, one after the other, from a bounded sample in the
-order of a hash (``PER_LANGUAGE`` texts of at most ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with
-each; the smallest result wins. The frames' fixed costs are taken off by compressing nothing with the same settings. A text that
+Texts are brought to lower-case words first: whatever is no letter becomes one space. Each language has a raw-content zstandard
+dictionary: whole training texts, one after the other, from a bounded sample in the order of a hash (``PER_LANGUAGE`` texts of
+at most ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with each, short ones at a level that
+searches longer; the smallest result wins. The frames' fixed costs are taken off by compressing nothing with the same settings. A text that
 saves too little against the runner-up is marked ``rejected``: its prediction stands, with a low score. The score is the share
 the winner gets when every saved byte per kilobyte counts as evidence, from 0 to 1.
 
-A text that is null, empty or holds no letter gets ``und`` and score 0. Ties go to the language first by code point. Very long
+A text that is null, empty or holds no letter gets ``und`` and score 0. Ties go to the language with more training texts, then the first by code point. Very long
 texts are compressed whole. With an empty training set every text gets ``und``. Repeated rows are judged each; columns
 beside id and text are ignored."""
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import zstandard
 from pyspark.sql import Column, DataFrame
@@ -20,26 +23,33 @@ from pyspark.sql import functions as F
 from pathtraces.llm.common import parts
 
 PER_LANGUAGE, TEXT_BYTES, DICTIONARY_BYTES, LEVEL = 600, 16_000, 112_000, 3
+SHORT_BYTES, SHORT_LEVEL = 600, 19
 MARGIN, SHARPNESS = 0.02, 60.0
+_OTHER = re.compile(r"[\W\d_]+")
+
+
+def plain(text: str) -> str:
+    """Lower-case words, with one space before and after each."""
+    return _OTHER.sub(" ", f" {text.lower()} ")
 
 
-def sampled(docs: DataFrame, text: str, lang: str, per_language: int = PER_LANGUAGE, text_bytes: int = TEXT_BYTES) -> dict[str, list[str]]:
-    """At most ``per_language`` distinct training texts of each language, the first in the order of their hash. Which rows can
+def sampled(docs: DataFrame, text: str, lang: str, per_language: int = PER_LANGUAGE, text_bytes: int = TEXT_BYTES) -> dict[str, tuple[int, list[str]]]:
+    """How many training texts each language has, and at most ``per_language`` distinct training texts of it, the first in the order of their hash. Which rows can
     be among the first is decided by counts, so only a few times the sample is sorted."""
     rows = docs.where(F.col(lang).isNotNull() & F.octet_length(text).between(1, text_bytes)).select(F.col(lang).alias("lang"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
     counts = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
     draw = F.shiftrightunsigned("h", 11) / F.lit(float(1 << 53))
     near = rows.join(F.broadcast(counts.where("n > 0")), "lang").where(draw * F.col("n") <= 4.0 * per_language)
     best = near.groupBy("lang", "h").agg(F.min("text").alias("text")).groupBy("lang").agg(F.slice(F.array_sort(F.collect_list(F.struct("h", "text"))), 1, per_language).alias("best"))
-    return {r.lang: [b.text for b in r.best] for r in best.collect()}
+    return {r.lang: (r.n, [b.text for b in r.best]) for r in best.join(F.broadcast(counts), "lang").collect()}
 
 
 class Compressors:
     """The languages' dictionaries, ready to judge texts."""
 
-    def __init__(self, samples: dict[str, list[str]], size: int = DICTIONARY_BYTES, level: int = LEVEL):
-        self.langs = sorted(samples)
-        self.content = {k: "\n".join(samples[k]).encode()[-size:] for k in self.langs}
+    def __init__(self, samples: dict[str, tuple[int, list[str]]], size: int = DICTIONARY_BYTES, level: int = LEVEL):
+        self.langs = sorted(samples, key=lambda k: (-samples[k][0], k))
+        self.content = {k: "".join(map(plain, samples[k][1])).encode()[-size:] for k in self.langs}
         self.level = level
         self._ready: list | None = None
 
@@ -49,20 +59,23 @@ class Compressors:
     def ready(self) -> list:
         if self._ready is None:
             self._ready = []
-            for lang in self.langs:
-                data = zstandard.ZstdCompressionDict(self.content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-                data.precompute_compress(level=self.level)
-                self._ready.append(zstandard.ZstdCompressor(dict_data=data, write_checksum=False, write_content_size=False, write_dict_id=False))
-            self.fixed = np.array([len(c.compress(b"")) for c in self._ready], float)
+            for level in (self.level, SHORT_LEVEL):
+                row = []
+                for lang in self.langs:
+                    data = zstandard.ZstdCompressionDict(self.content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+                    data.precompute_compress(level=level)
+                    row.append(zstandard.ZstdCompressor(dict_data=data, write_checksum=False, write_content_size=False, write_dict_id=False))
+                self._ready.append(row)
+            self.fixed = len(self._ready[0][0].compress(b"")) if self.langs else 0
         return self._ready
 
     def judge(self, text: str | None) -> tuple[str, float, bool]:
         """Language, score, whether the margin is too narrow to trust it."""
-        ready = self.ready()
-        if not ready or not text or not any(map(str.isalpha, text)):
+        long, short = self.ready()
+        raw = plain(text or "").encode()
+        if not long or not raw.strip():
             return "und", 0.0, True
-        raw = text.encode()
-        sizes = np.array([len(c.compress(raw)) for c in ready]) - self.fixed
+        sizes = np.array([len(c.compress(raw)) for c in (short if len(raw) < SHORT_BYTES else long)], float) - self.fixed
         best = int(sizes.argmin())
         gaps = (sizes - sizes[best]) / max(1.0, sizes.max())
         evidence = np.exp(-SHARPNESS * gaps)
