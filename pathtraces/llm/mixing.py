@@ -88,7 +88,7 @@ def oracle(weights=WEIGHTS, total: float = TOTAL, max_epochs: float = MAX_EPOCHS
     s as (select source, sum(size)::bigint as source_size from sized group by source),
     w as (select *, ([{listed}])[(row_number() over (order by source nulls last) - 1) % {len(weights)} + 1] as weight, {max_epochs} * source_size as cap from s),
     levels as (select a.cap / a.weight as ratio, ({total} * (select sum(source_size) from s) - coalesce(sum(b.cap) filter (where b.cap / b.weight < a.cap / a.weight), 0)) / sum(b.weight) filter (where b.cap / b.weight >= a.cap / a.weight) as level from w a cross join w b group by a.source, a.cap, a.weight),
-    water as (select min(level) as level from levels where ratio >= level),
+    water as (select arg_min(level, ratio) as level from levels where ratio >= level),
     goal as (select source, source_size, least(cap, coalesce((select level from water) * weight, cap)) as target from w),
     parts as (select *, case when source_size > 0 then floor(target / source_size) else 0 end as whole from goal),
     rest as (select *, floor(target - whole * source_size)::bigint as rest from parts),

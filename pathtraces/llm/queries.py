@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathtraces.llm import language, mixing, packing, quality, simhash, tokenstore, toxicity, vectors
+from pathtraces.llm import language, mixing, packing, quality, simhash, substrings, tokenstore, toxicity, vectors
 from pathtraces.llm.common import fold, table
 
 
@@ -43,6 +43,10 @@ def op3_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vectors.vector_components(table(spark, sf_dir, "embeddings"))
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.removals(table(spark, sf_dir, "documents"))
+
+
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     labels = table(spark, sf_dir, "labels").where("toxic is not null").where(fold("doc_id", 3) != 1).select("doc_id", F.col("toxic").alias("label"))
@@ -55,7 +59,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    listed = (op1_best_fit_packing, op2_source_mixing, op3_vector_dedup, op5_language_id, op6_simhash, op7_token_store, op9_toxicity, op10_quality_rules)
+    listed = (op1_best_fit_packing, op2_source_mixing, op3_vector_dedup, op5_language_id, op6_simhash, op7_token_store, op8_substring_dedup, op9_toxicity, op10_quality_rules)
     return {f.__name__: f for f in listed}
 
 
