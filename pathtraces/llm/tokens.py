@@ -3,7 +3,8 @@
 Both BPE vocabularies split a text into pieces before they merge. No piece spans a space or line break that stands between two
 other characters, nor the place between a letter or digit and a comma or full stop. So a text is cut there, each distinct chunk
 is encoded once by the tokenizers library, and its ids are kept. Texts where such places can't be told apart by their
-neighbours alone are cut at single spaces only."""
+neighbours alone are cut at single spaces only. A chunk of letters is one piece, so the vocabulary's model takes it
+directly; all others go through the whole tokenizer."""
 
 from __future__ import annotations
 
@@ -14,14 +15,28 @@ from array import array
 _ODD = re.compile(r"\s\s|[\W_][.,]|\0")
 _SAFE = re.compile(r"(?<=\S)(?= \S)")
 _kept: dict[str, Encoder] = {}
+#: The first 256 characters by kind, for a search without regular expressions: space, comma or stop, other sign, letter or digit.
+_KIND = bytes(32 if chr(c).isspace() else 46 if c in b".," else 97 if chr(c).isalnum() else 33 for c in range(256))
 
 
-class Encoder:
-    """ids of whole texts as little-endian unsigned 32-bit integers."""
+def _byte_letters() -> dict[int, str]:
+    """The printable character that stands for each byte in byte-level vocabularies: itself if printable, else the next free one
+    from 256 on."""
+    printable = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in printable]
+    return {b: chr(256 + k) for k, b in enumerate(rest)}
 
-    LIMIT = 700_000
+
+_LETTERS = _byte_letters()
+
+
+class Encoder(dict):
+    """chunk -> ids as little-endian unsigned 32-bit integers, learned as asked; called with texts, it gives theirs."""
+
+    LIMIT = 1_000_000
 
     def __init__(self, path: str):
+        super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -29,28 +44,40 @@ class Encoder:
         self.tokenizer.encode_special_tokens = True
         normalizer = self.tokenizer.normalizer
         self.lowers = normalizer is not None and normalizer.normalize_str("A") == "a"
-        self.known: dict[str, bytes] = {}
+        self.changes = normalizer is not None
+        self.space = "" if self.tokenizer.encode(" a", add_special_tokens=False).tokens == self.tokenizer.encode("a", add_special_tokens=False).tokens else _LETTERS[32]
+        self.pieces = self.tokenizer.model.tokenize
 
     @staticmethod
     def chunks(text: str) -> list[str]:
         """Pieces that can be encoded apart; joined they are the text."""
-        if _ODD.search(text):
+        try:
+            kinds = text.encode("latin-1").translate(_KIND)
+            odd = b"  " in kinds or b" ." in kinds or b"!." in kinds or b".." in kinds or "\0" in text
+        except UnicodeEncodeError:
+            odd = _ODD.search(text)
+        if odd:
             return _SAFE.split(text)
         return text.replace(" ", "\0 ").replace(",", "\0,").replace(".", "\0.").replace("\n", "\0\n\0").split("\0")
 
+    def __missing__(self, chunk: str) -> bytes:
+        lead, letters = (self.space, chunk[1:]) if chunk[:1] == " " else ("", chunk)
+        if letters.isalpha() and letters.isascii():
+            ids = [t.id for t in self.pieces(lead + letters)]
+        elif letters.isalpha() and not self.changes:
+            ids = [t.id for t in self.pieces(lead + letters.encode().decode("latin-1").translate(_LETTERS))]
+        else:
+            ids = self.tokenizer.encode(chunk, add_special_tokens=False).ids
+        found = self[chunk] = array("I", ids).tobytes()
+        return found
+
     def __call__(self, batch: list[str | None]) -> list[bytes]:
+        if len(self) > self.LIMIT:
+            self.clear()
         if self.lowers:  # what the vocabulary does anyway, so that capitals make no further chunks
             batch = [t and t.encode().lower().decode() for t in batch]
-        cut = [self.chunks(t) if t else [] for t in batch]
-        if len(self.known) > self.LIMIT:
-            self.known.clear()
-        known = self.known
-        new = list({c for row in cut for c in row if c not in known})
-        for at in range(0, len(new), 2000):
-            few = new[at : at + 2000]
-            for chunk, coded in zip(few, self.tokenizer.encode_batch_fast(few, add_special_tokens=False), strict=True):
-                known[chunk] = array("I", coded.ids).tobytes()
-        return [b"".join([known[c] for c in row]) for row in cut]
+        get = self.__getitem__
+        return [b"".join(map(get, self.chunks(t))) if t else b"" for t in batch]
 
 
 def encoder(path: str) -> Encoder:
