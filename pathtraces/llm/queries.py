@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pathtraces.llm import language, mixing, packing, quality, simhash, substrings, tokenstore, toxicity, vectors
+from pathtraces.llm import language, licences, mixing, packing, quality, simhash, substrings, tokenstore, toxicity, vectors
 from pathtraces.llm.common import fold, table
 
 
@@ -25,6 +25,10 @@ def op2_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mixing_plan(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op4_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.licences(table(spark, sf_dir, "documents"))
+
+
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = language.train(docs, fold("doc_id", 5) != 0)
@@ -59,7 +63,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    listed = (op1_best_fit_packing, op2_source_mixing, op3_vector_dedup, op5_language_id, op6_simhash, op7_token_store, op8_substring_dedup, op9_toxicity, op10_quality_rules)
+    listed = (op1_best_fit_packing, op2_source_mixing, op3_vector_dedup, op4_licence_scan, op5_language_id, op6_simhash, op7_token_store, op8_substring_dedup, op9_toxicity, op10_quality_rules)
     return {f.__name__: f for f in listed}
 
 
