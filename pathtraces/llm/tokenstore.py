@@ -1,11 +1,12 @@
 """Token ids as raw binary shards with a minimal perfect hash index.
 
-A shard file holds, one after the other: a header of eight numbers, the ids of its documents (unsigned 32-bit, little-endian, in
-ascending key order, each document closed by the end id), its documents' first positions, their keys, and an index. The index maps
+A shard file holds, one after the other: the ids of its documents (little-endian, unsigned, of 16 bits where the vocabulary fits
+them and else 32; in ascending key order, each document closed by the end id), its documents' first positions, their keys, an
+index, and a last block of eight numbers that says how much there is of each. The index maps
 each distinct key to its place by a minimal perfect hash: on each level a key sets a bit; keys alone on their bit stay, the others
 go on to the next level; a key's number is the rank of its bit. Under that number stand a fingerprint of the key, which
-rejects foreign keys, the offset of its first row's ids, and how many ids it has. A lookup reads a header, a few bits and one
-slice, whatever the shard's size.
+rejects foreign keys, the offset of its first row's ids, and how many ids it has. A lookup takes a few bits and one slice, whatever the
+shard's size.
 
 Tasks write to names of their own attempt; only what a successful task reports enters the manifest, so a lost executor or a
 speculative twin leaves unlisted files at most. Shards are cut by size, so memory doesn't depend on the table.
@@ -29,7 +30,7 @@ from pathtraces.llm.tokens import encoder
 
 END_ID, SHARD_IDS, GAMMA = 2, 1 << 24, 2.0
 MAGIC = 0x5054494453303031
-_NAMES = ("magic", "rows", "ids", "keys", "levels", "nulls", "bits", "reserved")
+_NAMES = ("magic", "rows", "ids", "keys", "levels", "nulls", "bits", "id_bytes")
 
 
 class PerfectHash:
@@ -80,23 +81,23 @@ def key_mark(keys: np.ndarray) -> np.ndarray:
 class _Shard:
     """A shard as it is written."""
 
-    def __init__(self, filesystem, folder: str):
+    def __init__(self, filesystem, folder: str, id_bytes: int):
+        self.id_bytes = id_bytes
         self.path = f"{folder}/{uuid.uuid4().hex}.ids"
         self.out = filesystem.open_output_stream(self.path)
-        self.out.write(b"\0" * 8 * len(_NAMES))
         self.keys: list[int] = []
         self.sizes: list[int] = []
         self.nulls = self.n = 0
 
     def add(self, key: int | None, ids: bytes) -> None:
-        self.out.write(ids)
+        self.out.write(ids if self.id_bytes == 4 else np.frombuffer(ids, "<u4").astype("<u2").tobytes())
         self.nulls += key is None
         self.keys.append(key or 0)
         self.sizes.append(len(ids) // 4)
         self.n += len(ids) // 4
 
     def close(self) -> tuple:
-        """The index follows the ids; the true header stands at the very end too, since stores don't rewrite a file's start."""
+        """The index follows the ids, and the numbers stand at the end: stores don't rewrite a file's start."""
         keys, sizes = np.array(self.keys, np.int64), np.array(self.sizes, np.int64)
         starts = np.concatenate([[0], np.cumsum(sizes)])
         own, first = np.unique(keys[self.nulls :], return_index=True)
@@ -105,7 +106,7 @@ class _Shard:
         slot = perfect(own)
         mark, offset, length = np.zeros(len(own), "<u4"), np.zeros(len(own), "<i8"), np.zeros(len(own), "<i8")
         mark[slot], offset[slot], length[slot] = key_mark(own), starts[first], sizes[first]
-        header = np.array([MAGIC, len(keys), self.n, len(own), len(perfect.sizes), self.nulls, len(perfect.words), 0], "<u8")
+        header = np.array([MAGIC, len(keys), self.n, len(own), len(perfect.sizes), self.nulls, len(perfect.words), self.id_bytes], "<u8")
         for section in (starts.astype("<i8"), keys.astype("<i8"), perfect.sizes.astype("<i8"), perfect.words.astype("<u8"), offset, length, mark, header):
             self.out.write(section.tobytes())
         self.out.close()
@@ -126,11 +127,12 @@ def write_tokens(docs: DataFrame, tokenizer: str, folder: str | None = None, id:
 
         encode, task = encoder(tokenizer), TaskContext.get().partitionId()
         filesystem, at = _filesystem(folder)
+        id_bytes = 2 if max(encode.tokenizer.get_vocab_size(), end_id + 1) <= 1 << 16 else 4
         end, shard, done = np.array([end_id], "<u4").tobytes(), None, []
         for batch in batches:
             for part in parts(batch):
                 for key, ids in zip(part.column(0).to_pylist(), encode(part.column(1).to_pylist()), strict=True):
-                    shard = shard or _Shard(filesystem, at)
+                    shard = shard or _Shard(filesystem, at, id_bytes)
                     shard.add(key, ids + end)
                     if shard.n >= shard_ids:
                         done.append(shard.close())
@@ -167,8 +169,8 @@ class ShardReader:
         self.header = dict(zip(_NAMES, map(int, np.frombuffer(self.file.read_at(n, size - n), "<u8")), strict=True))
         if self.header["magic"] != MAGIC:
             raise ValueError(f"{path} is no token shard, or was cut short")
-        self.ids_at = n
-        at = n + 4 * self.header["ids"]
+        self.kind = f"<u{self.header['id_bytes']}"
+        at = self.header["id_bytes"] * self.header["ids"]
         tail, self._at = self.file.read_at(size - n - at, at), 0
 
         def take(kind: str, count: int) -> np.ndarray:
@@ -190,7 +192,9 @@ class ShardReader:
         return np.where(known, slot, -1)
 
     def ids(self, offset: int, length: int) -> bytes:
-        return self.file.read_at(4 * length, self.ids_at + 4 * offset)
+        """As unsigned 32-bit integers."""
+        wide = self.header["id_bytes"]
+        return np.frombuffer(self.file.read_at(wide * length, wide * offset), self.kind).astype("<u4").tobytes()
 
     def get(self, key: int) -> np.ndarray | None:
         slot = int(self.find(np.array([key], np.int64))[0])
