@@ -38,7 +38,7 @@ def hashed(words: list[bytes]) -> np.ndarray:
 
 
 def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Mark, first and last window start, for each run of windows that share a mark's place. The leftmost of equal phrases counts."""
+    """Mark, first and last window start, for each run of windows of one mark."""
     phrases = rolling(hashes, phrase)
     n = len(hashes) - width + 1
     if n < 1:
@@ -47,13 +47,13 @@ def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple
     at = np.empty(n, np.int64)
     for a in range(0, n, 1 << 15):
         b = min(n, a + (1 << 15))
-        at[a:b] = np.lib.stride_tricks.sliding_window_view(phrases[a : b + span - 1], span).argmin(axis=1) + np.arange(a, b)
+        at[a:b] = np.lib.stride_tricks.sliding_window_view(phrases[a : b + span - 1], span).min(axis=1).view(np.int64)
     first = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]]))
-    return phrases[at[first]].view(np.int64), first.astype(np.int32), np.concatenate([first[1:], [n]]).astype(np.int32) - 1
+    return at[first], first.astype(np.int32), np.concatenate([first[1:], [n]]).astype(np.int32) - 1
 
 
 def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
-    """Per row: ``id``, ``text_key``, ``n_words``, ``kept_sha256`` (of all its words), ``marks``, ``firsts``, ``lasts``."""
+    """Per row: ``id``, ``text_key``, ``n_words``, ``kept_sha256`` (of all its words), ``marks`` (each once)."""
 
     def run(batches):
         import pyarrow as pa
@@ -64,17 +64,17 @@ def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
                 for text in texts(piece.column(1)):
                     words = (text or b"").split()
                     digest = hashlib.sha256(b" ".join(words))
-                    rows.append((int.from_bytes(digest.digest()[:8], "little", signed=True), len(words), digest.hexdigest(), *marks(hashed(words), width, phrase)))
+                    rows.append((int.from_bytes(digest.digest()[:8], "little", signed=True), len(words), digest.hexdigest(), np.unique(marks(hashed(words), width, phrase)[0])))
                 cols = list(zip(*rows, strict=True))
-                kinds = [pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.list_(pa.int32())]
+                kinds = [pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64())]
                 yield pa.RecordBatch.from_arrays([piece.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names)
 
-    names = ["id", "text_key", "n_words", "kept_sha256", "marks", "firsts", "lasts"]
-    return docs.mapInArrow(run, "id long, text_key long, n_words long, kept_sha256 string, marks array<long>, firsts array<int>, lasts array<int>")
+    names = ["id", "text_key", "n_words", "kept_sha256", "marks"]
+    return docs.mapInArrow(run, "id long, text_key long, n_words long, kept_sha256 string, marks array<long>")
 
 
-def snippets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """``docs`` (id, text) around the wanted marks (``id``, ``spans``): ``mark``, ``id``, ``first`` (word), ``words``, ``windows`` (hashes)."""
+def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> DataFrame:
+    """``docs`` (id, text) around the wanted marks (``id``, ``marks``): ``mark``, ``id``, ``first`` (word), ``words``, ``windows`` (hashes)."""
 
     def run(batches):
         import pyarrow as pa
@@ -83,11 +83,14 @@ def snippets(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
         for batch in batches:
             for piece in parts(batch, 64):
                 rows = []
-                for key, text, spans in zip(piece.column(0).to_pylist(), texts(piece.column(1)), piece.column(2).to_pylist(), strict=True):
+                for key, text, some in zip(piece.column(0).to_pylist(), texts(piece.column(1)), piece.column(2).to_pylist(), strict=True):
                     words = text.split()
-                    windows = rolling(hashed(words), width).view(np.int64)
-                    for s in spans:
-                        rows.append((s["mark"], key, s["first"], b" ".join(words[s["first"] : s["last"] + width]).decode(), windows[s["first"] : s["last"] + 1]))
+                    hashes = hashed(words)
+                    windows = rolling(hashes, width).view(np.int64)
+                    found, firsts, lasts = marks(hashes, width, phrase)
+                    for k in np.flatnonzero(np.isin(found, some)).tolist():
+                        a, b = int(firsts[k]), int(lasts[k])
+                        rows.append((int(found[k]), key, a, b" ".join(words[a : b + width]).decode(), windows[a : b + 1]))
                 cols = list(zip(*rows, strict=True)) or [[]] * 5
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["mark", "id", "first", "words", "windows"])
 
@@ -209,10 +212,10 @@ def spans(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int =
     nameless = base.where("id is null").select("id", "n_words", "kept_sha256", F.lit(None).cast("long").alias("first_of"))
     named = spill(named.select("id", "n_words", "kept_sha256", "first_of").unionByName(nameless), "named")
     lone = named.where("id = first_of").select("id").distinct()
-    each = keyed.select("id", "text_key", F.explode(F.arrays_zip("marks", "firsts", "lasts")).alias("s")).select("id", "text_key", F.col("s.marks").alias("mark"), F.col("s.firsts").alias("first"), F.col("s.lasts").alias("last"))
-    often = each.groupBy("mark").agg(F.min("text_key").alias("a"), F.max("text_key").alias("b")).where("a != b").select("mark")
-    wanted = each.join(often, "mark", "left_semi").join(lone, "id", "left_semi").groupBy("id").agg(F.collect_set(F.struct("mark", "first", "last")).alias("spans"))
-    cut = spill(snippets(plain, wanted, width), "snippets")
+    each = keyed.select("id", F.explode("marks").alias("mark")).join(lone, "id", "left_semi")
+    often = each.groupBy("mark").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a != b").select("mark")
+    wanted = each.join(often, "mark", "left_semi").groupBy("id").agg(F.collect_set("mark").alias("marks"))
+    cut = spill(snippets(plain, wanted, width, phrase), "snippets")
     seen = cut.select("mark", "id", F.explode("windows").alias("w")).groupBy("mark", "w").agg(F.min("id").alias("first"), F.max("id").alias("other"), F.count(F.lit(1)).alias("n"))
     confirmed = spill(seen.where("first != other").select("mark", "w", "first", "n"), "confirmed")
     return named, spill(located(cut, confirmed, width), "spans")
