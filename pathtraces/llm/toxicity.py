@@ -4,7 +4,8 @@ A text's terms are its words (lower case, cut at punctuation) and the first four
 one of 2**22 slots, present or not. The machine adds a weight for each term and, for each pair of terms, the inner
 product of their factors, so a word can count for more beside another than alone.
 
-It learns from a sample of labelled texts bounded by ``TRAIN_ROWS`` (all of them if there are fewer), the first in the order of a hash.
+It learns from a sample of labelled texts of about ``TRAIN_ROWS`` (all of them if there are fewer), those whose id's hash is small. The
+sample is drawn from the labels alone, so it is small enough to be sent to the texts, which stay where they are.
 Slots take part if their presence goes with the label (likelihood ratio) or they are among the most frequent, which serve as
 context; ``SLOTS`` at most. Training runs on the driver over the sample's slot numbers only.
 
@@ -152,22 +153,24 @@ class ToxicityModel:
         return self.machine.scores(np.array([k for r in rows for k in r], np.int64), np.cumsum([len(r) for r in rows]))
 
 
-def train(docs: DataFrame, text: str = "text", label: str = "label", train_rows: int = TRAIN_ROWS) -> ToxicityModel:
-    """``docs``: labelled texts (label 0 or 1)."""
-    labelled = docs.where(F.col(label).isin(0, 1)).select(F.col(text).alias("text"), F.col(label).alias("label"))
-    n = labelled.select("label").count()
-    draw = F.shiftrightunsigned(F.xxhash64(F.coalesce("text", F.lit(""))), 11) / F.lit(float(1 << 53))
+def train(docs: DataFrame, labels: DataFrame, id: str = "doc_id", text: str = "text", label: str = "label", train_rows: int = TRAIN_ROWS) -> ToxicityModel:
+    """``docs``: ids and texts; ``labels``: ids and labels (0 or 1)."""
+    labelled = labels.where(F.col(label).isin(0, 1)).select(F.col(id).alias("__id"), F.col(label).alias("label"))
+    n = labelled.count()
+    draw = F.shiftrightunsigned(F.xxhash64("__id"), 11) / F.lit(float(1 << 53))
     few = labelled.where(draw < train_rows / max(n, 1)) if n > train_rows else labelled
-    rows = spill(slot_rows(few), "slot-rows")
+    rows = docs.select(F.col(id), F.col(text).alias("text")).join(F.broadcast(few), F.col(id) == F.col("__id"))
+    rows = spill(slot_rows(rows.select("text", "label")), "slot-rows")
     n_pos, n_all = rows.agg(F.coalesce(F.sum("label"), F.lit(0)), F.count(F.lit(1))).first()
     if not n_all:
         return ToxicityModel([], FactorizationMachine(0).fit([], np.zeros(0)))
     slots = chosen_slots(rows, n_pos, n_all - n_pos)
     wanted = rows.sparkSession.createDataFrame([(slots,)], "wanted array<int>")
-    kept = rows.join(F.broadcast(wanted)).select("label", F.array_intersect("slots", "wanted").alias("slots")).orderBy("label", F.col("slots")).toArrow()
+    kept = rows.join(F.broadcast(wanted)).select("label", F.array_intersect("slots", "wanted").alias("slots")).toArrow()
+    pairs = sorted(zip(kept["label"].to_pylist(), map(sorted, kept["slots"].to_pylist()), strict=True))  # the same in every run
     found = np.array(slots, np.int64)
-    cut = [np.searchsorted(found, np.sort(np.array(x, np.int64))) for x in kept["slots"].to_pylist()]
-    return ToxicityModel(slots, FactorizationMachine(len(slots)).fit(cut, np.array(kept["label"].to_pylist(), float)))
+    cut = [np.searchsorted(found, np.array(x, np.int64)) for _, x in pairs]
+    return ToxicityModel(slots, FactorizationMachine(len(slots)).fit(cut, np.array([y for y, _ in pairs], float)))
 
 
 def toxicity(docs: DataFrame, model: ToxicityModel, id: str = "doc_id", text: str = "text", threshold: float = THRESHOLD) -> DataFrame:

@@ -327,13 +327,13 @@ def test_toxicity(docs, spark):
     labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").selectExpr("doc_id", "toxic label")
     fold = queries.fold("doc_id", 3)
     both = big.join(labels, "doc_id")
-    model = toxicity.train(both.where(fold != 1))
+    model = toxicity.train(big, labels.where(fold != 1))
     got = toxicity.toxicity(both.where(fold == 1), model).join(labels, "doc_id").toPandas()
     hit = got[got.label == 1].predicted.mean()
     assert hit > 0.6 and got[got.label == 0].predicted.mean() < 0.005
     odd = {r.doc_id: r.score for r in toxicity.toxicity(docs, model).collect()}
     assert odd[1000] == odd[1001] == odd[1002] and 0 <= odd[1000] < 0.7
-    blank = toxicity.train(both.where("label > 5"))
+    blank = toxicity.train(big, labels.where("label > 5"))
     assert toxicity.toxicity(docs, blank).where("score between 0 and 1").count() == docs.count()
 
 
