@@ -1,13 +1,15 @@
 """From readings to vertices: runs at one place become one vertex, alternation between two places becomes one overlap vertex.
 
-Each step is partitioned by (tag, session). A session ends where a tag is silent for more than the threshold: no run, block or
-edge crosses such a gap, so a hot tag falls into many independent pieces."""
+Rows are ordered within (tag, time slab), runs within (tag, session). A session ends where a tag is silent for more than the
+threshold: no run, block or edge crosses such a gap, so a hot tag falls into many independent pieces."""
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pathtraces.operators.slabs import WIDTH, with_previous, with_running
+
 MODES = ("raw", "collapse", "full")
 
 
@@ -16,20 +18,19 @@ def vertices_of(r: DataFrame) -> DataFrame:
     return r.select(F.col("seq").alias("vid"), "tag", F.col("t_us").alias("t_first"), F.col("t_us").alias("t_last"), "label", F.lit(1).alias("n_readings"))
 
 
-def _merged(v: DataFrame, delta: int) -> DataFrame:
+def _merged(v: DataFrame, delta: int, width: int = WIDTH) -> DataFrame:
     """Neighbours of one label, no more than ``delta`` apart, become one vertex, named after its first."""
-    by_tag = Window.partitionBy("tag").orderBy("t_first", "vid")
-    gap = F.col("t_first") - F.lag("t_last").over(by_tag) > F.lit(delta)
-    starts = F.coalesce((F.lag("label").over(by_tag) != F.col("label")) | gap, F.lit(True))
-    runs = v.withColumn("starts", starts).withColumn("gap", F.coalesce(gap, F.lit(True)))
-    runs = runs.withColumn("run", F.sum(F.col("starts").cast("int")).over(by_tag)).withColumn("session", F.sum(F.col("gap").cast("int")).over(by_tag))
+    seen = with_previous(v, delta, ["label", "t_last"], width)
+    gap = F.coalesce(F.col("t_first") - F.col("previous.t_last") > F.lit(delta), F.lit(True))
+    marked = seen.withColumn("gap", gap.cast("int")).withColumn("starts", (gap | (F.col("previous.label") != F.col("label"))).cast("int")).drop("previous")
+    runs = with_running(marked, {"run": "starts", "session": "gap"})
     first = F.min(F.struct("t_first", "vid"))
     out = runs.groupBy("tag", "session", "run").agg(first.alias("first"), F.max("t_last").alias("t_last"), F.first("label").alias("label"), F.sum("n_readings").cast("int").alias("n_readings"))
     return out.select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings", "session", "run")
 
 
-def collapse_runs(v: DataFrame, delta: int) -> DataFrame:
-    return _merged(v, delta).drop("session", "run")
+def collapse_runs(v: DataFrame, delta: int, width: int = WIDTH) -> DataFrame:
+    return _merged(v, delta, width).drop("session", "run")
 
 
 def overlap_label(x: Column, y: Column, scheme: str = "text", base: int = 100) -> Column:
@@ -40,12 +41,12 @@ def overlap_label(x: Column, y: Column, scheme: str = "text", base: int = 100) -
     return F.when(high < base, low * base + high).otherwise(F.raise_error(F.lit("a label code reaches the base"))).cast("string")
 
 
-def merge_overlaps(v: DataFrame, delta: int, scheme: str = "text", respect_gap: bool = True) -> DataFrame:
+def merge_overlaps(v: DataFrame, delta: int, scheme: str = "text", respect_gap: bool = True, width: int = WIDTH) -> DataFrame:
     """``v``: runs. Where two labels alternate over four runs or more, the leftmost even number of them becomes one vertex.
 
     Runs equal to the one two before form stretches; neighbouring stretches share one run at most, and who comes first
     takes it, which is a fold over the stretches of a session, a short list."""
-    runs = _merged(v, delta)
+    runs = _merged(v, delta, width)
     keys = ["tag", "session"] if respect_gap else ["tag"]  # a session holds no gap; without the rule stretches may run across
     by = Window.partitionBy(*keys).orderBy("run")
     alternates = (F.col("label") == F.lag("label", 2).over(by)) & (F.col("label") != F.lag("label", 1).over(by))
@@ -70,7 +71,7 @@ def merge_overlaps(v: DataFrame, delta: int, scheme: str = "text", respect_gap:
     return units.select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings")
 
 
-def clean(r: DataFrame, delta: int, mode: str = "full", scheme: str = "text", respect_gap: bool = True) -> DataFrame:
+def clean(r: DataFrame, delta: int, mode: str = "full", scheme: str = "text", respect_gap: bool = True, width: int = WIDTH) -> DataFrame:
     """Vertices of readings. ``full`` collapses again, as an overlap may stand beside its equal."""
     if mode not in MODES:
         raise ValueError(f"mode is one of {MODES}")
@@ -78,5 +79,5 @@ def clean(r: DataFrame, delta: int, mode: str = "full", scheme: str = "text", re
     if mode == "raw":
         return v
     if mode == "collapse":
-        return collapse_runs(v, delta)
-    return collapse_runs(merge_overlaps(v, delta, scheme, respect_gap), delta)
+        return collapse_runs(v, delta, width)
+    return collapse_runs(merge_overlaps(v, delta, scheme, respect_gap, width), delta, width)

@@ -9,17 +9,18 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathtraces.operators.clean import clean
+from pathtraces.operators.slabs import WIDTH, slab_of, with_previous, with_running
 from pathtraces.plans.storage import materialise
 
 STRATEGIES = ("window", "point", "bucket_join", "theta", "grouped")
 _PAYLOAD = ("vid", "label", "t_first", "t_last", "value")
 
 
-def sessions(v: DataFrame, delta: int) -> DataFrame:
+def sessions(v: DataFrame, delta: int, width: int = WIDTH) -> DataFrame:
     """``v`` with the number of its tag's session: edges never cross a silence longer than ``delta``."""
-    by = Window.partitionBy("tag").orderBy("t_first", "vid")
-    cut = F.coalesce(F.col("t_first") - F.max("t_last").over(by.rowsBetween(Window.unboundedPreceding, -1)) > F.lit(delta), F.lit(True))
-    return v.withColumn("cut", cut.cast("int")).withColumn("session", F.sum("cut").over(by)).drop("cut")
+    seen = with_previous(v, delta, ["t_last"], width)
+    cut = F.coalesce(F.col("t_first") - F.col("previous.t_last") > F.lit(delta), F.lit(True))
+    return with_running(seen.withColumn("cut", cut.cast("int")), {"session": "cut"}).select(*v.columns, "session")
 
 
 def _linked(a: str, b: str, delta: int) -> Column:
@@ -27,11 +28,12 @@ def _linked(a: str, b: str, delta: int) -> Column:
     return later & (F.col(f"{b}.t_first") - F.col(f"{a}.t_last") <= F.lit(delta)) & (F.col(f"{a}.label") != F.col(f"{b}.label"))
 
 
-def build_edges(v: DataFrame, delta: int, strategy: str = "window", predicate: Callable[[Callable, Callable], Column] | None = None) -> DataFrame:
+def build_edges(v: DataFrame, delta: int, strategy: str = "window", predicate: Callable[[Callable, Callable], Column] | None = None, width: int = WIDTH) -> DataFrame:
     """``src``, ``dst``: later vertices of the same tag and another label that begin within ``delta`` of the end of the first.
 
-    window: one exchange by tag; sources stand at their end and targets at their start on one axis, and a range frame looks ahead.
-    point: the same for vertices without extent. bucket_join: an equality join on time slots. theta: an equality join on
+    window: one exchange by tag and time slab; sources stand at their end and targets at their start on one axis, and a range frame
+    looks ahead. A target also stands in the slab before if that can see it, so no tag is gathered in one task.
+    point: the same by tag alone, for vertices without extent. bucket_join: an equality join on time slots. theta: an equality join on
     the tag with a range condition, quadratic in a tag's vertices. grouped: a forward scan in Arrow by session.
     ``predicate`` gets two accessors, of column names to columns of source and target, for closeness other than in time."""
     if strategy not in STRATEGIES:
@@ -59,9 +61,11 @@ def build_edges(v: DataFrame, delta: int, strategy: str = "window", predicate: C
         ahead = Window.partitionBy("tag").orderBy("t_first").rangeBetween(0, delta)
         framed = v.select(payload.alias("a"), F.collect_list(payload).over(ahead).alias("b"))
     else:
-        sources = v.select("tag", F.col("t_last").alias("at"), payload.alias("a"), F.lit(None).cast(v.select(payload.alias("p")).schema["p"].dataType).alias("b"))
-        targets = v.select("tag", F.col("t_first").alias("at"), F.lit(None).cast(sources.schema["a"].dataType).alias("a"), payload.alias("b"))
-        ahead = Window.partitionBy("tag").orderBy("at").rangeBetween(0, delta)
+        shape = v.select(payload.alias("p")).schema["p"].dataType
+        sources = v.select("tag", slab_of("t_last", delta, width).alias("slab"), F.col("t_last").alias("at"), payload.alias("a"), F.lit(None).cast(shape).alias("b"))
+        seen_from = F.explode(F.array_distinct(F.array(slab_of("t_first", delta, width), slab_of(F.col("t_first") - delta, delta, width)))).alias("slab")
+        targets = v.select("tag", seen_from, F.col("t_first").alias("at"), F.lit(None).cast(shape).alias("a"), payload.alias("b"))
+        ahead = Window.partitionBy("tag", "slab").orderBy("at").rangeBetween(0, delta)
         framed = sources.unionByName(targets).select("a", F.collect_list("b").over(ahead).alias("b")).where("a is not null")
 
     def fits(b: Column) -> Column:

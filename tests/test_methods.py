@@ -272,6 +272,18 @@ def test_graph_checks(spark):
         dag_depth(bad)
 
 
+def test_slabs_change_nothing(spark):
+    """However narrow the slabs, the graph is the same."""
+    r, delta = w.readings_of(spark, SF), src.EVENTS.delta(1440)
+    want_v, want_e = w.graph(spark, SF).vertices, w.graph(spark, SF).edges
+    v = clean.clean(r, delta, width=1).cache()
+    e = build_edges(v, delta, "window", width=1)
+    assert v.exceptAll(want_v).count() == 0 == want_v.exceptAll(v).count()
+    assert e.exceptAll(want_e).count() == 0 == want_e.exceptAll(e).count()
+    a, b = sessions(v, delta, 1), sessions(v, delta, 10_000)
+    assert a.exceptAll(b.select(*a.columns)).count() == 0
+
+
 def test_sessions_hold_every_edge(spark):
     g = w.graph(spark, SF)
     s = sessions(g.vertices, g.delta).select("vid", "session", "tag")
