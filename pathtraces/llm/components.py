@@ -42,9 +42,11 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
     return stars.unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
 
 
-def keep_ids(docs: DataFrame, ids: DataFrame, id: str) -> DataFrame:
-    """The rows of ``docs`` whose id is among ``ids`` (unique; column ``id``, and ``rows``: how many rows have it), one row
-    for each id. Only ids with several rows are brought together by id."""
-    once = docs.join(ids.where("rows = 1").select(F.col("id").alias("__keep")), F.col(id) == F.col("__keep"), "left_semi")
-    more = docs.join(ids.where("rows > 1").select(F.col("id").alias("__keep")), F.col(id) == F.col("__keep"), "left_semi")
-    return once.unionByName(more.dropDuplicates([id]))
+def drop_ids(docs: DataFrame, ids: DataFrame, id: str) -> DataFrame:
+    """``docs`` without the rows whose id is among ``ids`` (column ``id`` and ``rows``, how many rows have it) with ``keep`` false, and one
+    row for each other id. ``ids`` may leave out ids that are kept and have one row: so what is joined is what goes, the smaller part.
+    Only ids with several rows are brought together by id."""
+    several = ids.where("keep and rows > 1").select(F.col("id").alias("__id"))
+    gone = ids.where("not keep or rows > 1").select(F.col("id").alias("__id"))
+    once = docs.join(gone, F.col(id) == F.col("__id"), "left_anti")
+    return once.unionByName(docs.join(several, F.col(id) == F.col("__id"), "left_semi").dropDuplicates([id]))

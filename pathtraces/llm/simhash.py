@@ -12,7 +12,7 @@ proportion to its size. Equal fingerprints are one node from the start.
 
 Nulls and empty texts have no words and the fingerprint zero, linked like any other. Rows of a null id get a fingerprint, and
 the component of the other rows with that fingerprint (null if there are none). Repeated rows share a component. Columns
-beside id and text are ignored by ``simhash_components`` and kept by ``simhash_dedup``."""
+beside id and text are ignored by ``simhash_components`` and kept by ``simhash_dedup``, which keeps rows of a null id."""
 
 from __future__ import annotations
 
@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathtraces.llm.common import parts, spill, texts
-from pathtraces.llm.components import components, keep_ids
+from pathtraces.llm.components import components, drop_ids
 
 SHINGLE, THRESHOLD, SEED = 3, 3, 42
 _LOW = (1 << 32) - 1
@@ -113,7 +113,7 @@ def hex_digits(fp: str = "fp") -> Column:
 
 
 def simhash_dedup(docs: DataFrame, id: str = "doc_id", text: str = "text", shingle: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
-    """The rows of ``docs`` that stay: of each component the one of the smallest id."""
+    """The rows of ``docs`` that stay: of each component the one of the smallest id. Rows of a null id stay."""
     found = simhash_components(docs, id, text, shingle, threshold)
-    ids = found.where(F.col(id) == F.col("component_id")).groupBy(F.col(id).alias("id")).agg(F.count(F.lit(1)).alias("rows"))
-    return keep_ids(docs, spill(ids, "kept"), id)
+    ids = found.where(F.col(id).isNotNull()).groupBy(F.col(id).alias("id")).agg((F.min("component_id") == F.col("id")).alias("keep"), F.count(F.lit(1)).alias("rows"))
+    return drop_ids(docs, spill(ids.where("not keep or rows > 1"), "gone"), id)
