@@ -11,9 +11,9 @@ def write_traces(traces: DataFrame, path: str) -> None:
     traces.withColumn("len", F.size(F.split("trace", ">"))).write.mode("overwrite").partitionBy("len").parquet(path)
 
 
-def write_bucketed(df: DataFrame, table: str, key: str, buckets: int) -> None:
-    """A table whose joins and counts on ``key`` need no exchange."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+def write_bucketed(df: DataFrame, table: str, key: str, buckets: int, path: str) -> None:
+    """A table at ``path`` whose joins and counts on ``key`` need no exchange."""
+    df.write.mode("overwrite").option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(table)
 
 
 def write_text(traces: DataFrame, path: str, kind: str) -> None:

@@ -4,6 +4,7 @@ Graphs are built once for each session, folder and setting and kept in shared st
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from functools import reduce
 
@@ -143,6 +144,15 @@ def sink_roundtrip(spark, sf_dir):
     return spark.read.parquet(path).select("trace", "n", F.col("len").cast("int").alias("len"))
 
 
+@query(sql.with_(G, select="select src, count(*) as degree from e group by src"))
+def sink_bucketed(spark, sf_dir):
+    """A bucketed table: the count by its key needs no exchange."""
+    name = f"pathtraces_edges_{uuid.uuid4().hex}"
+    g = graph(spark, sf_dir)
+    sinks.write_bucketed(g.edges, name, "src", 8, new_path(spark, "bucketed"))
+    return spark.table(name).groupBy("src").agg(F.count(F.lit(1)).alias("degree"))
+
+
 _V = "select vid, tag, t_first, t_last, label, n_readings from v"
 
 
@@ -691,6 +701,20 @@ def degree_histogram(spark, sf_dir):
     return out_degree(spark, sf_dir).groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query(sql.with_(G, ", d as (select vid, count(src) as degree from v left join e on src = vid group by vid)", select="select quantile_cont(degree, 0.5)::double as median, quantile_cont(degree, 0.9)::double as p90, max(degree) as most, round(avg(degree), 9) as mean from d"))
+def degree_quantiles(spark, sf_dir):
+    q = lambda p: F.percentile("degree", F.lit(p)).cast("double")
+    return out_degree(spark, sf_dir).agg(q(0.5).alias("median"), q(0.9).alias("p90"), F.max("degree").alias("most"), F.round(F.avg("degree"), 9).alias("mean"))
+
+
+@query()
+def distinct_estimates(spark, sf_dir):
+    """Bounded-memory counterparts of the census: distinct traces, a quantile of their counts."""
+    every = full.enumerate_traces(graph(spark, sf_dir), M)
+    counted = full.trace_counts(graph(spark, sf_dir), M)
+    return every.agg(F.approx_count_distinct("trace", 0.02).alias("n_distinct")).crossJoin(counted.agg(F.percentile_approx("n", 0.9, 1000).alias("p90")))
+
+
 @query(sql.with_(G, select="select label, count(*) as n, count(distinct tag) as n_tags, min(t_first) as first_us, max(t_last) as last_us, sum(n_readings)::bigint as n_readings, first(vid order by t_first desc, vid desc) as last_vid from v group by label"))
 def label_stats(spark, sf_dir):
     last = F.max_by("vid", F.struct("t_first", "vid")).alias("last_vid")
@@ -731,6 +755,12 @@ def topk_per_length(spark, sf_dir):
     return full.trace_counts(graph(spark, sf_dir), M).withColumn("rank", F.row_number().over(order)).where("rank <= 5").select("len", "trace", "n", "rank")
 
 
+@query(sql.with_(G, TC, select="select len, trace, n, rank() over w::int as place, dense_rank() over w::int as dense, ntile(4) over (partition by len order by n desc, trace)::int as quarter, round(percent_rank() over w, 9) as share from tc window w as (partition by len order by n desc)"))
+def rank_functions(spark, sf_dir):
+    by, tied = Window.partitionBy("len").orderBy(F.desc("n")), Window.partitionBy("len").orderBy(F.desc("n"), "trace")
+    return full.trace_counts(graph(spark, sf_dir), M).select("len", "trace", "n", F.rank().over(by).alias("place"), F.dense_rank().over(by).alias("dense"), F.ntile(4).over(tied).alias("quarter"), F.round(F.percent_rank().over(by), 9).alias("share"))
+
+
 @query(sql.with_(G, TC, select="select rank, round(covered / total, 9) as share from (select row_number() over (order by n desc, trace) as rank, sum(n) over (order by n desc, trace rows unbounded preceding) as covered, sum(n) over () as total from tc) where rank in (1, 2, 5, 10, 20, 50, 100, 200, 500)"))
 def coverage_curve(spark, sf_dir):
     """The share of all paths that the most frequent traces cover. Only the first 500 traces are ordered."""
@@ -766,6 +796,12 @@ def pivot_period(spark, sf_dir):
     return both.groupBy("trace").pivot("period", ["early", "late"]).agg(F.sum("n"))
 
 
+@query(sql.with_(_period_sql(True, "a"), _period_sql(False, "b"), select="select trace, 'early' as period, n from tca where n >= 50 union all select trace, 'late', n from tcb where n >= 50"))
+def unpivot_period(spark, sf_dir):
+    wide = pivot_period(spark, sf_dir)
+    return wide.unpivot(["trace"], ["early", "late"], "period", "n").where("n >= 50")
+
+
 @query(sql.with_(G, TC, ", x as (select len, split_part(trace, '>', 1) as first_label, n from tc)", select="select len, first_label, sum(n)::bigint as n, count(*) as n_distinct, grouping(len, first_label)::bigint as level from x group by grouping sets ((len), (first_label), ())"))
 def grouping_sets_census(spark, sf_dir):
     full.trace_counts(graph(spark, sf_dir), M).withColumn("first_label", F.element_at(trace_labels(), 1)).createOrReplaceTempView("pathtraces_census")
@@ -845,12 +881,18 @@ def stream_edges(spark, sf_dir):
 
 @query(sql.with_(sql.vertices("events", DELTA, "raw"), sql.edges(DELTA), sql.counts(M, ending=True), select="select vid, c1, c2, c3 from c"))
 def stream_path_counts(spark, sf_dir):
-    rows = _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds", M)).where("kind = 'count'")
+    rows = _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds", M)).where("kind = 'count' and tag >= 0")
     return rows.groupBy("vid").agg(*[F.max(F.when(F.col("level") == i, F.col("n"))).alias(f"c{i}") for i in range(1, M + 1)])
 
 
 def _live_sample(spark, sf_dir) -> DataFrame:
-    return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds", M, p=0.02, seed=SEED)).where("kind = 'sample'")
+    return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds", M, p=0.02, seed=SEED)).where("kind = 'sample' and tag >= 0")
+
+
+@query()
+def stream_late(spark, sf_dir):
+    """Readings that came too late; none where files arrive in order."""
+    return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds")).where("kind = 'late'").select("tag", "vid")
 
 
 @query()
