@@ -1,66 +1,25 @@
-"""What the corpus operators share: tables, shared storage, word hashing, grouping of equal keys."""
+"""What the corpus operators share: tables, shared storage, word hashing."""
 
 from __future__ import annotations
 
-import atexit
-import uuid
-
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pathtraces.plans.storage import materialise as spill
+from pathtraces.plans.storage import new_path, release
+
+__all__ = ["new_path", "release", "spill"]
+
 #: Word separators of every operator here: space and the five ASCII controls from tab to carriage return. ``bytes.split()``
 #: cuts at exactly these, so words are taken from UTF-8 bytes.
 WORD = r"[^\x20\x09-\x0D]+"
 
-_written: list[tuple[SparkSession, str]] = []
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share. ``spark.checkpoint.dir`` names it; without that (tests on one machine,
-    sessions with only a warehouse) a folder of our own."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if spark.sparkContext.master.startswith("local"):
-        return "/tmp/checkpoints/pathtraces"
-    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_pathtraces"
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder, deleted when the driver's process ends."""
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    if not _written:
-        atexit.register(release)
-    _written.append((spark, path))
-    return path
-
-
-def spill(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: cuts lineage, survives the loss of any executor."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def release() -> None:
-    """Delete every table that ``spill`` wrote. Frames that still read them become unusable."""
-    while _written:
-        spark, path = _written.pop()
-        try:
-            jvm = spark.sparkContext._jvm
-            at = jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-        except Exception:  # noqa: BLE001  the session may have stopped before; the files then stay for the operator to sweep
-            continue
-
-
 def fold(column: str, modulus: int):
     """``crc32`` of a number written as text, modulo ``modulus``: the held-out folds."""
     return F.crc32(F.col(column).cast("string").cast("binary")) % modulus
