@@ -35,8 +35,8 @@ todo esta ser son dos también fue había era muy
 CLASSES = ("lower", "upper", "digit", "space", "stop", "symbol", "punctuation", "control", "beyond ascii")
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, MIN_REPEAT, WINDOW = 10, 20, 5
-CHAR_LIMIT, WORD_LIMIT = 0.27, 0.34
-CHAR_GUARD, WORD_GUARD = 200, 120
+CHAR_LIMIT, WORD_LIMIT = 0.33, 0.36
+CHAR_GUARD, WORD_GUARD = 200, 150
 
 
 def _class_table() -> np.ndarray:
