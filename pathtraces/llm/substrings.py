@@ -159,6 +159,7 @@ def _located(rows: list[tuple], width: int) -> Iterator[tuple[int, int, int]]:
 def located(cut: DataFrame, confirmed: DataFrame, width: int, part: int = PART, patterns: int = PATTERNS) -> DataFrame:
     """``id``, ``start``, ``end`` of spans to remove. ``confirmed``: ``mark``, ``w``, ``first`` (id), ``n`` (occurrences)."""
     per_mark = confirmed.groupBy("mark").agg(F.collect_list("w").alias("windows"), F.collect_list("first").alias("of"), F.ceil(F.max("n") / part).cast("int").alias("salts"))
+    per_mark = spill(per_mark, "automata")  # a table of its own, so that the join below can split a hot mark
     texts_ = cut.join(per_mark.select("mark", "salts"), "mark").withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")).cast("int"))
     texts_ = texts_.select("mark", "salt", F.lit(1).alias("kind"), "id", "first", "words", "windows", F.lit(None).cast("array<long>").alias("of"))
     known = per_mark.select("mark", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("id"), F.lit(None).cast("int").alias("first"), F.lit(None).cast("string").alias("words"), "windows", "of")
