@@ -26,6 +26,7 @@ class Piece:
 
     def __init__(self, vid: list[int], label: list[str], after: list[list[int]]):
         self.vid, self.label, self.after = vid, label, after
+        self._counts: dict[int, list[list[int]]] = {}
 
     @classmethod
     def of(cls, group, delta: int) -> Piece:
@@ -43,10 +44,12 @@ class Piece:
 
     def counts(self, m: int) -> list[list[int]]:
         """For each vertex, the paths of at most 0, 1, ..., m vertices that start there."""
-        out: list[list[int]] = [[]] * len(self.vid)
-        for k in range(len(self.vid) - 1, -1, -1):
-            out[k] = [0] + [1 + sum(out[j][i - 1] for j in self.after[k]) for i in range(1, m + 1)]
-        return out
+        if m not in self._counts:
+            out: list[list[int]] = [[]] * len(self.vid)
+            for k in range(len(self.vid) - 1, -1, -1):
+                out[k] = [0] + [1 + sum(out[j][i - 1] for j in self.after[k]) for i in range(1, m + 1)]
+            self._counts[m] = out
+        return self._counts[m]
 
     def traces(self, m: int) -> Counter:
         """All traces with their counts, by suffixes."""

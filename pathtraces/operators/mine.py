@@ -12,7 +12,7 @@ from pathtraces.operators.counts import count_paths, total_paths
 from pathtraces.operators.dag import LabeledDag, dag_depth
 from pathtraces.operators.enumeration import trace_counts
 from pathtraces.operators.frequent import candidates, sample_counts, second_pass, with_estimates
-from pathtraces.operators.sample import SamplingPlan, plan_sampling, sample_traces
+from pathtraces.operators.sample import SamplingPlan, plan_sampling, sample_seeds, sample_traces
 from pathtraces.plans.storage import materialise
 
 
@@ -94,22 +94,17 @@ def topk_quality(truth: DataFrame, reported: DataFrame, k: int) -> DataFrame:
     return sizes.crossJoin(hits).select(F.lit(k).alias("k"), F.round(F.col("hits") / F.col("nb"), 6).alias("precision"), F.round(F.col("hits") / F.col("na"), 6).alias("recall"), F.round(F.coalesce("overlap", F.lit(0.0)) / k, 6).alias("rank_overlap"))
 
 
-def empirical_error(g: LabeledDag, m: int, min_count: int, cs: list[float], seeds: int, strict: bool = True, strategy: str = "grouped") -> DataFrame:
+def empirical_error(g: LabeledDag, m: int, min_count: int, cs: list[float], seeds: int, strict: bool = True) -> DataFrame:
     """``c``, ``seeds``, ``fn_rate`` (over traces at or above the threshold), ``sfp_rate`` (over traces below a quarter of it), ``n_samples`` (mean)."""
     spark = g.vertices.sparkSession
     truth = materialise(trace_counts(g, m).select("trace", "n"), "truth")
-    counts = None if strategy == "grouped" else materialise(count_paths(g, m), "counts")
     rows = []
     for c in cs:
-        p = measures.choose_p(c, min_count)
-        drawn = None
-        for seed in range(seeds):
-            one = sample_counts(sample_traces(g, counts, m, p, 1000 + seed, "descend", strategy)).withColumn("seed", F.lit(seed))
-            drawn = one if drawn is None else drawn.unionByName(one)
-        drawn = materialise(drawn, "drawn")
+        drawn = sample_seeds(g, m, measures.choose_p(c, min_count), list(range(1000, 1000 + seeds)))
+        drawn = materialise(drawn.groupBy("seed", "trace").agg(F.count(F.lit(1)).alias("n_sample")), "drawn")
         seen = drawn.where(F.col("n_sample") >= measures.least_reported(c, strict)).groupBy("trace").agg(F.count(F.lit(1)).alias("times"))
         all_ = truth.join(seen, "trace", "left").select("n", F.coalesce("times", F.lit(0)).alias("times"))
         high, low = F.col("n") >= min_count, F.col("n") < min_count / 4
         r = all_.agg(F.avg(F.when(high, 1 - F.col("times") / seeds)).alias("fn"), F.avg(F.when(low, F.col("times") / seeds)).alias("sfp")).first()
-        rows.append((float(c), seeds, r.fn, r.sfp, drawn.agg(F.sum("n_sample")).first()[0] / seeds))
+        rows.append((float(c), seeds, r.fn, r.sfp, (drawn.agg(F.sum("n_sample")).first()[0] or 0) / seeds))
     return spark.createDataFrame(rows, "c double, seeds int, fn_rate double, sfp_rate double, n_samples double")

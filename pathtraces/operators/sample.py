@@ -111,6 +111,22 @@ def sample_grouped(g: LabeledDag, m: int, p: float, seed: int = 42, how: str = "
     return g.pieces().groupBy("tag", "session").applyInArrow(run, OUT)
 
 
+def sample_seeds(g: LabeledDag, m: int, p: float, seeds: list[int], how: str = "descend") -> DataFrame:
+    """``seed``, ``trace``: the samples of many seeds from one exchange by session, for error rates over seeds."""
+    delta = g.delta
+
+    def run(group):
+        import pyarrow as pa
+
+        from pathtraces.operators.kernels import Piece
+
+        piece = Piece.of(group, delta)
+        found = [(seed, trace) for seed in seeds for _, _, trace in piece.sample(m, p, seed, how)]
+        return pa.table({"seed": pa.array([f[0] for f in found], pa.int64()), "trace": pa.array([f[1] for f in found], pa.string())})
+
+    return g.pieces().groupBy("tag", "session").applyInArrow(run, "seed long, trace string")
+
+
 def sample_ranks(g: LabeledDag, counts: DataFrame, m: int, p: float, seed: int = 42, min_len: int = 1) -> DataFrame:
     """The paths of a start vertex are numbered: itself first, then the blocks of its children in order. Numbers are drawn, then
     each is resolved by one join a level. Rows are independent, so prefixes that many samples share make no hot key."""
