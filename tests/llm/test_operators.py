@@ -391,3 +391,29 @@ def test_clashing_columns(docs):
     assert mixing.mixed(more).columns == more.columns
     assert quality.quality_filter(more).columns == more.columns
     assert packing.packed(more, queries.tokenizer_path("byte_bpe_50k.json")).count() >= docs.count()
+
+
+def test_repeated_rows(docs, rows):
+    """Every operator gives a row for each row, however often a row is repeated."""
+    twice = docs.unionByName(docs)
+    n = docs.count()
+    path = queries.tokenizer_path("byte_bpe_50k.json")
+    once = packing.pieces(docs, path).count()
+    assert packing.packed(twice, path).count() == 2 * once
+    assert mixing.mixing_plan(twice).count() == 2 * n
+    assert simhash.simhash_components(twice).count() == 2 * n
+    assert quality.quality_scores(twice).count() == 2 * n
+    stored = tokenstore.token_table(twice, path)
+    assert stored.count() == 2 * n
+    got = substrings.removals(twice).groupBy("doc_id").count().where("doc_id is not null and count != 2").count()
+    assert got == 0 and substrings.removals(twice).count() == 2 * n
+    plan = mixing.mixing_plan(twice).toPandas()
+    assert (plan.taken <= 2 * plan["size"]).all()
+
+
+def test_ties_are_settled(docs):
+    """Two runs over other partitions give the same rows."""
+    other = docs.repartition(7)
+    for f in (mixing.mixing_plan, substrings.removals, simhash.simhash_components, quality.quality_scores):
+        a, b = f(docs.where("doc_id is not null")), f(other.where("doc_id is not null"))
+        assert sorted(map(str, a.collect())) == sorted(map(str, b.select(*a.columns).collect()))
