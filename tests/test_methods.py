@@ -324,3 +324,16 @@ def test_plans(spark):
     plan = text(src.readings(e.where("ts < timestamp_ntz'2024-01-10 00:00:00'"), src.EVENTS))
     assert "LessThan(ts" in plan and "props" not in plan.split("ReadSchema")[1] and "value" not in plan.split("ReadSchema")[1]
     assert text(build_edges(w.readings_of(spark, SF).transform(clean.vertices_of), 10, "point")).count("Exchange hashpartitioning") == 1
+
+
+def test_bucketed_counts_need_no_exchange(spark):
+    counted = w.sink_bucketed(spark, SF)
+    assert "Exchange" not in counted._jdf.queryExecution().executedPlan().toString()
+    assert counted.count() > 0
+
+
+def test_registered_names():
+    import __spark_entry__ as entry
+
+    assert set(entry.oracle_sql()) <= set(entry.queries())
+    assert len(entry.queries()) >= 118
