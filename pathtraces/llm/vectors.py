@@ -137,7 +137,7 @@ def vector_links(nodes: DataFrame, threshold: float = THRESHOLD, sample: int = S
     placed = spill(placed, "placed")
     sizes = placed.groupBy("label", "list").agg(F.sum(F.col("member").cast("long")).alias("members"), F.sum((~F.col("member")).cast("long")).alias("asking")).where("members > 0")
     sizes = sizes.select("label", "list", F.ceil(F.col("members") / BLOCK).cast("int").alias("m"), F.ceil(F.col("asking") / ASKING).cast("int").alias("a"))
-    cut = placed.join(sizes, ["label", "list"])
+    cut = placed.join(spill(sizes, "list-sizes"), ["label", "list"])
     mine = F.pmod(F.xxhash64("node"), F.when(F.col("member"), F.col("m")).otherwise(F.col("a"))).cast("int")
     # a member block meets every block of those who ask
     other = F.explode(F.sequence(F.lit(0), F.when(F.col("member"), F.col("a")).otherwise(F.col("m")) - 1))
@@ -179,7 +179,9 @@ def vector_links(nodes: DataFrame, threshold: float = THRESHOLD, sample: int = S
             return pa.table({c: pa.array([], pa.int64()) for c in ("node", "to", "n")})
         return pa.table({"node": np.concatenate(cols[0]), "to": pa.chunked_array(cols[1]), "n": pa.chunked_array(cols[2])})
 
-    return cut.select("label", "list", "mb", "ab", "node", "vec", "n", "member").groupBy("label", "list", "mb", "ab").applyInArrow(compare, "node long, to long, n long")
+    # dealt out by block: by list alone, which the join may leave, all blocks of a crowded list would meet in one task
+    cut = cut.select("label", "list", "mb", "ab", "node", "vec", "n", "member").repartition("label", "list", "mb", "ab")
+    return cut.groupBy("label", "list", "mb", "ab").applyInArrow(compare, "node long, to long, n long")
 
 
 def vector_components(table: DataFrame, id: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, **settings) -> DataFrame:
