@@ -16,6 +16,7 @@ __all__ = ["new_path", "release", "spill"]
 #: cuts at exactly these, so words are taken from UTF-8 bytes.
 WORD = r"[^\x20\x09-\x0D]+"
 
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -26,9 +27,9 @@ def fold(column: str, modulus: int):
 
 
 class WordHashes(dict):
-    """word (bytes) -> 64-bit hash, kept for the words met last."""
+    """word (bytes) -> 64-bit hash, kept for the words met last. One table serves all operators of a worker process."""
 
-    LIMIT = 400_000
+    LIMIT = 250_000
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= self.LIMIT:
@@ -37,6 +38,7 @@ class WordHashes(dict):
         return value
 
 
+HASHES = WordHashes()
 _BASE = 0x9E3779B97F4A7C15
 _powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 

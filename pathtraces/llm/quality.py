@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import WordHashes, parts, rolling, texts
+from pathtraces.llm.common import HASHES, parts, rolling, texts
 
 # Frequent function words of four languages.
 COMMON_WORDS = """
@@ -55,7 +55,6 @@ _CLASS = _class_table()
 _COMMON = {w.encode(): k + 1 for k, w in enumerate(dict.fromkeys(COMMON_WORDS))}
 _BREAKS = bytes(32 if chr(c) in ".,;:!?'\"()-[]#*$%&|<>/\n\r\t\v\f" else c for c in range(256))
 N_BINS = len(_COMMON) + 1
-_hashes = WordHashes()
 
 
 def base_counts(text: bytes) -> tuple[int, int, int, int, int]:
@@ -73,7 +72,7 @@ def base_counts(text: bytes) -> tuple[int, int, int, int, int]:
             seen.add(line)
     repeated = 0
     if n > WINDOW:
-        runs = rolling(np.fromiter(map(_hashes.__getitem__, words), np.uint64, n), WINDOW)
+        runs = rolling(np.fromiter(map(HASHES.__getitem__, words), np.uint64, n), WINDOW)
         order = np.argsort(runs, kind="stable")
         sorted_runs = runs[order]
         same = sorted_runs[1:] == sorted_runs[:-1]

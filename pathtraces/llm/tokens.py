@@ -33,7 +33,7 @@ _LETTERS = _byte_letters()
 class Encoder(dict):
     """chunk -> ids as little-endian unsigned 32-bit integers, learned as asked; called with texts, it gives theirs."""
 
-    LIMIT = 1_000_000
+    LIMIT = 600_000
 
     def __init__(self, path: str):
         super().__init__()

@@ -37,7 +37,7 @@ def word_slots(word: bytes) -> tuple[int, ...]:
 class _Slots(dict):
     """word -> its slots (as numbers within a model, where there is one)."""
 
-    LIMIT = 400_000
+    LIMIT = 250_000
 
     def __init__(self, number: dict[int, int] | None = None):
         super().__init__()
