@@ -19,6 +19,7 @@ words and very long texts need no special care. Columns beside id and text are i
 from __future__ import annotations
 
 import hashlib
+import struct
 from collections.abc import Iterator
 
 import ahocorasick
@@ -26,15 +27,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import WordHashes, parts, rolling, spill, texts
+from pathtraces.llm.common import HASHES, parts, rolling, spill, texts
 
-WIDTH, PHRASE, PART, PATTERNS = 50, 16, 4096, 20_000
-_hashes = WordHashes()
+WIDTH, PHRASE, PART, PATTERNS = 50, 16, 512, 20_000
 _EMPTY = hashlib.sha256(b"").hexdigest()
 
 
 def hashed(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(_hashes.__getitem__, words), np.uint64, len(words))
+    return np.fromiter(map(HASHES.__getitem__, words), np.uint64, len(words))
 
 
 def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -53,7 +53,7 @@ def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple
 
 
 def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
-    """Per row: ``id``, ``text_key``, ``n_words``, ``kept_sha256`` (of all its words), ``marks`` (each once)."""
+    """Per row: ``id``, ``key1`` and ``key2`` (of its words), ``n_words``, ``kept_sha256`` (of all its words), ``marks`` (each once)."""
 
     def run(batches):
         import pyarrow as pa
@@ -64,13 +64,13 @@ def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
                 for text in texts(piece.column(1)):
                     words = (text or b"").split()
                     digest = hashlib.sha256(b" ".join(words))
-                    rows.append((int.from_bytes(digest.digest()[:8], "little", signed=True), len(words), digest.hexdigest(), np.unique(marks(hashed(words), width, phrase)[0])))
+                    rows.append((*struct.unpack("<qq", digest.digest()[:16]), len(words), digest.hexdigest(), np.unique(marks(hashed(words), width, phrase)[0])))
                 cols = list(zip(*rows, strict=True))
-                kinds = [pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64())]
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64())]
                 yield pa.RecordBatch.from_arrays([piece.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names)
 
-    names = ["id", "text_key", "n_words", "kept_sha256", "marks"]
-    return docs.mapInArrow(run, "id long, text_key long, n_words long, kept_sha256 string, marks array<long>")
+    names = ["id", "key1", "key2", "n_words", "kept_sha256", "marks"]
+    return docs.mapInArrow(run, "id long, key1 long, key2 long, n_words long, kept_sha256 string, marks array<long>")
 
 
 def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> DataFrame:
@@ -208,8 +208,8 @@ def spans(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int =
     plain = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
     base = spill(marked(plain, width, phrase), "marks")
     keyed = base.where("id is not null")
-    one = keyed.groupBy("text_key", "kept_sha256").agg(F.min("id").alias("first_of"))
-    named = keyed.select("id", "n_words", "text_key", "kept_sha256").join(one, ["text_key", "kept_sha256"])
+    one = spill(keyed.groupBy("key1", "key2").agg(F.min("id").alias("first_of")), "texts")  # stored, so that the join can split many copies
+    named = keyed.select("id", "n_words", "key1", "key2", "kept_sha256").join(one, ["key1", "key2"])
     nameless = base.where("id is null").select("id", "n_words", "kept_sha256", F.lit(None).cast("long").alias("first_of"))
     named = spill(named.select("id", "n_words", "kept_sha256", "first_of").unionByName(nameless), "named")
     lone = named.where("id = first_of").select("id").distinct()
