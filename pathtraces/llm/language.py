@@ -1,8 +1,8 @@
 """Language by compression: a text belongs to the language whose dictionary compresses it best.
 
 Texts are brought to lower-case words first: whatever is no letter becomes one space. Each language has a raw-content zstandard
-dictionary: whole training texts, one after the other, from a bounded sample in the order of a hash (``PER_LANGUAGE`` texts of
-at most ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with each, short ones at a level that
+dictionary: training texts, one after the other, from a bounded sample in the order of a hash (``PER_LANGUAGE`` distinct texts, of
+longer ones the first ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with each, short ones at a level that
 searches longer; the smallest result wins. The frames' fixed costs are taken off by compressing nothing with the same settings. A text that
 saves too little against the runner-up is marked ``rejected``: its prediction stands, with a low score. The score is the share
 the winner gets when every saved byte per kilobyte counts as evidence, from 0 to 1.
@@ -17,10 +17,10 @@ import re
 
 import numpy as np
 import zstandard
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import parts
+from pathtraces.llm.common import parts, spill
 
 PER_LANGUAGE, TEXT_BYTES, DICTIONARY_BYTES, LEVEL = 600, 16_000, 112_000, 3
 SHORT_BYTES, SHORT_LEVEL = 600, 19
@@ -34,14 +34,19 @@ def plain(text: str) -> str:
 
 
 def sampled(docs: DataFrame, text: str, lang: str, per_language: int = PER_LANGUAGE, text_bytes: int = TEXT_BYTES) -> dict[str, tuple[int, list[str]]]:
-    """How many training texts each language has, and at most ``per_language`` distinct training texts of it, the first in the order of their hash. Which rows can
-    be among the first is decided by counts, so only a few times the sample is sorted."""
-    rows = docs.where(F.col(lang).isNotNull() & F.octet_length(text).between(1, text_bytes)).select(F.col(lang).alias("lang"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
-    counts = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
-    draw = F.shiftrightunsigned("h", 11) / F.lit(float(1 << 53))
-    near = rows.join(F.broadcast(counts.where("n > 0")), "lang").where(draw * F.col("n") <= 4.0 * per_language)
-    best = near.groupBy("lang", "h").agg(F.min("text").alias("text")).groupBy("lang").agg(F.slice(F.array_sort(F.collect_list(F.struct("h", "text"))), 1, per_language).alias("best"))
-    return {r.lang: (r.n, [b.text for b in r.best]) for r in best.join(F.broadcast(counts), "lang").collect()}
+    """How many training texts each language has, and of its distinct ones the first ``per_language`` in the order of their hash, each its beginning of at most
+    ``text_bytes``. Distinct hashes are counted by language and leading bits; only the bins that the first ``per_language`` reach into are sorted."""
+    rows = docs.where(F.col(lang).isNotNull() & (F.octet_length(text) > 0)).select(F.col(lang).alias("lang"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
+    hashes = spill(rows.groupBy("lang", "h").agg(F.count(F.lit(1)).alias("n")), "language-hashes").withColumn("bin", F.shiftright("h", 52))
+    bins = hashes.groupBy("lang", "bin").agg(F.count(F.lit(1)).alias("texts"), F.sum("n").alias("n"))
+    before = F.sum("texts").over(Window.partitionBy("lang").orderBy("bin")) - F.col("texts")
+    near = hashes.join(F.broadcast(bins.withColumn("before", before).where(F.col("before") < per_language).select("lang", "bin")), ["lang", "bin"])
+    first = near.groupBy("lang").agg(F.slice(F.array_sort(F.collect_list("h")), 1, per_language).alias("h")).select("lang", F.explode("h").alias("h"))
+    best = rows.join(F.broadcast(first), ["lang", "h"]).groupBy("lang", "h").agg(F.min(F.substring(F.encode("text", "utf-8"), 1, text_bytes)).alias("text"))
+    out: dict[str, tuple[int, list[str]]] = {r.lang: (r.n, []) for r in bins.groupBy("lang").agg(F.sum("n").alias("n")).collect()}
+    for r in sorted(best.collect(), key=lambda r: r.h):
+        out[r.lang][1].append(bytes(r.text).decode(errors="ignore"))
+    return out
 
 
 class Compressors:

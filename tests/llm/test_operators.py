@@ -322,6 +322,18 @@ def test_language(docs, spark):
     assert {r.lang_pred for r in language.languages(docs, language.train(docs.limit(0), fold != 0)).collect()} == {"und"}
 
 
+def test_language_sample_of_copies_and_long_texts(spark):
+    copies = [(k, "one same text", "aa") for k in range(4000)] + [(k, f"text {k % 30}", "aa") for k in range(60)]
+    long = [(k, f"langer text {k} " * 4000, "bb") for k in range(3)]
+    table = spark.createDataFrame(copies + long, "doc_id long, text string, lang string")
+    got = language.sampled(table, "text", "lang", per_language=20)
+    want = sorted({t for _, t, lang in copies if lang == "aa"}, key=lambda t: np.int64(np.uint64(xxhash.xxh64_intdigest(t.encode(), 42)).astype(np.int64)))
+    assert got["aa"] == (4060, want[:20])
+    assert got["bb"][0] == 3 and sorted(got["bb"][1]) == [t.encode()[: language.TEXT_BYTES].decode() for _, t, _ in long]
+    model = language.Compressors(got)
+    assert model.judge("langer text langer text")[0] == "bb" and model.judge("one same text")[0] == "aa"
+
+
 def test_toxicity(docs, spark):
     big = spark.read.parquet("/root/testdata/sf0.1/documents.parquet").select("doc_id", "text")
     labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").selectExpr("doc_id", "toxic label")
