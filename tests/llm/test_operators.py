@@ -385,6 +385,25 @@ def test_vectors(spark):
     assert vectors.vector_components(table.limit(0)).count() == 0
 
 
+def test_vectors_all_links_of_a_hot_group_of_few_directions(spark):
+    rng = np.random.default_rng(9)
+    hot = rng.normal(size=64) + rng.normal(size=(700, 8)) @ rng.normal(size=(8, 64)) * 0.13
+    x = np.concatenate([hot, rng.normal(size=(1300, 64))])
+    table = spark.createDataFrame([(k, v.tolist(), 1) for k, v in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    size = np.linalg.norm(x, axis=1)
+    linked = (x @ x.T / (size[:, None] * size[None, :]) >= 0.93) & ~np.eye(len(x), dtype=bool)
+    want = union(zip(*np.nonzero(linked), strict=True), range(len(x)))
+    assert 0.1 < linked[:700, :700].mean() < 0.9
+    for block, asking in ((2048, 8192), (100, 300)):
+        vectors.BLOCK, vectors.ASKING = block, asking
+        try:
+            got = {r.vec_id: r for r in vectors.vector_components(table).collect()}
+        finally:
+            vectors.BLOCK, vectors.ASKING = 2048, 8192
+        assert [got[k].n_links for k in range(len(x))] == linked.sum(axis=1).tolist()
+        assert [got[k].component_id for k in range(len(x))] == [want[k] for k in range(len(x))]
+
+
 def test_empty_tables(docs):
     none = docs.limit(0)
     path = queries.tokenizer_path("byte_bpe_50k.json")
