@@ -12,6 +12,8 @@ from pathtraces.operators.dag import LabeledDag
 from pathtraces.operators.enumeration import count_candidates
 from pathtraces.plans.storage import materialise, small
 
+#: Places that Spark's own summaries can hold.
+BUILT_IN_ROOM = 10_000
 METHODS = ("exact", "decrement", "freqitems", "sketch")
 SECOND_PASSES = ("stored", "replay", "fresh", "exact", "none")
 
@@ -94,19 +96,20 @@ def frequent_items(items: DataFrame, column: str, eta: float) -> DataFrame:
 
 
 def candidates(sample: DataFrame, c: float, method: str = "exact", capacity: int | None = None, strict: bool = False) -> DataFrame:
-    """``trace``, ``n``: all traces that reach C/2 in the sample, perhaps more (``n`` is then a lower count or an estimate)."""
+    """``trace``, ``n``: all traces that reach C/2 in the sample, perhaps more (``n`` is then a lower count or an estimate). Where Spark's own summaries have too few
+    places for that, the decrement summary takes over."""
     if method not in METHODS:
         raise ValueError(f"method is one of {METHODS}")
     if method == "exact":
         return sample_counts(sample).where(enough(c, strict)).select("trace", F.col("n_sample").alias("n"))
     n = sample.count()
     room = capacity or max(1, math.ceil(2 * n / c))
-    if method == "decrement":
+    if method == "decrement" or room > BUILT_IN_ROOM:
         return decrement_summary(sample, "trace", room).select(F.col("item").alias("trace"), "n")
     if method == "freqitems":
-        items = sample.select("trace").stat.freqItems(["trace"], max(1e-4, min(1.0, 1 / room)))
+        items = sample.select("trace").stat.freqItems(["trace"], 1 / room)
         return items.select(F.explode("trace_freqItems").alias("trace")).withColumn("n", F.lit(None).cast("long"))
-    top = sample.agg(F.expr(f"approx_top_k(trace, {min(room, 10_000)}, {min(100_000, max(1000, 8 * room))})").alias("top"))
+    top = sample.agg(F.expr(f"approx_top_k(trace, {room}, {max(1000, 8 * room)})").alias("top"))
     return top.select(F.inline("top")).toDF("trace", "n").select("trace", F.col("n").cast("long").alias("n"))
 
 

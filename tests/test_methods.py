@@ -196,6 +196,9 @@ def test_selection(spark):
     exact = {r.trace for r in frequent.candidates(s, 10).collect()}
     for method in ("decrement", "freqitems", "sketch"):
         assert exact <= {r.trace for r in frequent.candidates(s, 10, method).collect()}, method
+    many = s.sparkSession.range(60_000).selectExpr("cast(id % 12000 as string) trace")
+    for method in ("freqitems", "sketch"):
+        assert frequent.candidates(many, 10, method).select("trace").distinct().count() == 12_000, method
     reported = frequent.second_pass(frequent.candidates(s, 10, "decrement"), "stored", 10, 10 / 186, s).collect()
     assert {r.trace for r in reported} == exact and min(r.n_sample for r in reported) >= 5
     items = frequent.frequent_items(s, "trace", 0.01).collect()
