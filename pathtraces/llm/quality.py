@@ -2,8 +2,8 @@
 
 Two histograms describe a text: its characters by class, and its words over a list of common function words (one more bin
 holds all other words). Reference histograms are the sums over all texts of a language that pass the base rules. A text is
-rejected when even its nearest reference is farther than a threshold in Jensen-Shannon distance (base 2, so 0 to 1).
-Texts too short for a stable histogram are not judged by it.
+rejected when even its nearest reference is farther than a threshold in Jensen-Shannon distance (base 2, so 0 to 1); that of
+words falls with their number. Texts too short for a stable histogram are not judged by it.
 
 Nulls, empty texts: a null text has no words, like an empty one; both fail the base rules (fewer than ten words). Texts of
 a null language are judged but add to no reference. Without any reference (empty table) the divergence is 0.
@@ -35,8 +35,9 @@ todo esta ser son dos también fue había era muy
 CLASSES = ("lower", "upper", "digit", "space", "stop", "symbol", "punctuation", "control", "beyond ascii")
 SYMBOLS = b"#*$%&|<>"
 MIN_WORDS, MIN_REPEAT, WINDOW = 10, 20, 5
-CHAR_LIMIT, WORD_LIMIT = 0.33, 0.36
-CHAR_GUARD, WORD_GUARD = 200, 150
+#: Few words are far from any reference by chance, in proportion to the root of their number: the limit of words is WORD_LIMIT + WORD_SPREAD / sqrt(words).
+CHAR_LIMIT, WORD_LIMIT, WORD_SPREAD = 0.33, 0.25, 1.3
+CHAR_GUARD, WORD_GUARD = 200, 50
 
 
 def _class_table() -> np.ndarray:
@@ -145,11 +146,11 @@ def language_references(docs: DataFrame, text: str = "text", lang: str = "lang")
 class Judge:
     """Verdicts against given references."""
 
-    def __init__(self, references: dict[str, np.ndarray], char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, char_guard: int = CHAR_GUARD, word_guard: int = WORD_GUARD):
+    def __init__(self, references: dict[str, np.ndarray], char_limit: float = CHAR_LIMIT, word_limit: float = WORD_LIMIT, char_guard: int = CHAR_GUARD, word_guard: int = WORD_GUARD, word_spread: float = WORD_SPREAD):
         stacked = np.array([references[k] for k in sorted(references)]).reshape(-1, 9 + N_BINS)
         self.chars = stacked[:, :9][stacked[:, :9].sum(axis=1) > 0]
         self.words = stacked[:, 9:][stacked[:, 9:].sum(axis=1) > 0]
-        self.char_limit, self.word_limit, self.char_guard, self.word_guard = char_limit, word_limit, char_guard, word_guard
+        self.char_limit, self.word_limit, self.char_guard, self.word_guard, self.word_spread = char_limit, word_limit, char_guard, word_guard, word_spread
 
     def __call__(self, text: bytes) -> tuple:
         """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, char_distance, word_distance, kept."""
@@ -157,8 +158,10 @@ class Judge:
         failed = base_failed(counts[0], counts[4])
         classes, words = histograms(text)
         char = jensen_shannon(classes, self.chars) if classes.sum() >= self.char_guard else 0.0
-        word = jensen_shannon(words, self.words) if words.sum() >= self.word_guard else 0.0
-        return (*counts, failed, char, word, not failed and char <= self.char_limit and word <= self.word_limit)
+        n = int(words.sum())
+        word = jensen_shannon(words, self.words) if n >= self.word_guard else 0.0
+        limit = self.word_limit + self.word_spread / max(n, 1) ** 0.5
+        return (*counts, failed, char, word, not failed and char <= self.char_limit and word <= limit)
 
 
 def quality_scores(docs: DataFrame, id: str = "doc_id", text: str = "text", lang: str = "lang", references=None, **limits) -> DataFrame:

@@ -303,6 +303,15 @@ def test_quality(docs, rows):
     assert np.mean([got[d].kept or got[d].base_failed for d in good]) > 0.98
 
 
+def test_quality_rejects_labelled_bad_texts(spark):
+    big = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet")
+    got = quality.quality_scores(big).where("not base_failed").join(labels, "doc_id").toPandas()
+    assert (~got[got.quality == 0].kept).mean() > 0.6 and got[got.quality == 1].kept.mean() > 0.999
+    listed = " | ".join(f"zxq{k}" for k in range(100))
+    assert not quality.Judge(quality.language_references(big))(listed.encode())[-1]
+
+
 def test_jensen_shannon():
     a, b = np.array([1.0, 0, 3]), np.array([[0, 2.0, 0], [1, 0, 3]])
     assert quality.jensen_shannon(a, b[:1]) == pytest.approx(1.0)
