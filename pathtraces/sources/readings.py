@@ -27,10 +27,18 @@ class SequenceSpec:
         return round(units * self.unit)
 
 
+def place_id(key: str, place: str, room: int) -> str:
+    """SQL of an id for each place of a key: ``key * room + place``; places from ``room`` on, which would take ids of the next key, have ids of their own from 2**62
+    on, and what fits neither is an error."""
+    far = f"{key} between 0 and {(1 << 30) - 1} and {place} between {room} and {(1 << 32) - 1}"
+    near = f"{key} is null or {place} is null or {place} between 0 and {room - 1}"
+    return f"case when {near} then bigint({key}) * {room} + {place} when {far} then {1 << 62} + bigint({key}) * {1 << 32} + {place} else bigint(raise_error('no id for this place of a key')) end"
+
+
 EVENTS = SequenceSpec("user_id", "unix_micros(cast(ts as timestamp))", "event_id", "event_type")
 FINE_EVENTS = SequenceSpec("user_id", "unix_micros(cast(ts as timestamp))", "event_id", "concat(event_type, '.', cast(floor(cast(get_json_object(props, '$.k') as int) / 10) as string))")
 ORDERS = SequenceSpec("o_custkey", "unix_micros(cast(o_orderdate as timestamp))", "o_orderkey", "o_orderpriority", DAY)
-CONVERSATIONS = SequenceSpec("conv_id", "turn", "conv_id * 100000 + turn", "role", 1)
+CONVERSATIONS = SequenceSpec("conv_id", "turn", place_id("conv_id", "turn", 100_000), "role", 1)
 
 
 def readings(df: DataFrame, spec: SequenceSpec) -> DataFrame:
@@ -43,7 +51,7 @@ def readings(df: DataFrame, spec: SequenceSpec) -> DataFrame:
 def lineitem_readings(df: DataFrame) -> DataFrame:
     """Parts, ship dates, flag and status. No column is unique, so the order is numbered by part."""
     order = Window.partitionBy("l_partkey").orderBy("l_shipdate", "l_orderkey", "l_linenumber", "l_suppkey", "l_returnflag", "l_linestatus")
-    numbered = df.select("*", (F.col("l_partkey") * 1_000_000 + F.row_number().over(order)).alias("nr"))
+    numbered = df.select("*", F.row_number().over(order).alias("place")).withColumn("nr", F.expr(place_id("l_partkey", "place", 1_000_000)))
     return readings(numbered, SequenceSpec("l_partkey", "unix_micros(cast(l_shipdate as timestamp))", "nr", "concat(l_returnflag, l_linestatus)", DAY))
 
 
@@ -59,7 +67,7 @@ def skipgram_readings(df: DataFrame, keep: Callable[[Column], Column] | None = N
     """Words of documents: the document is the tag, the word's place the time, the lower-case word the label."""
     words = df.select(F.col("doc_id").alias("tag"), F.posexplode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)"), F.lit(1))).alias("t", "label"))
     words = words.where(keep(F.col("label"))) if keep else words
-    return words.select("tag", F.col("t").cast("long").alias("t_us"), (F.col("tag") * 100_000 + F.col("t")).alias("seq"), "label")
+    return words.select("tag", F.col("t").cast("long").alias("t_us"), F.expr(place_id("tag", "t", 100_000)).alias("seq"), "label")
 
 
 def literal_readings(spark: SparkSession, rows: list[tuple]) -> DataFrame:

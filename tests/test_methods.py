@@ -189,6 +189,19 @@ def test_summary_keeps_what_is_frequent(items, capacity, cuts):
         assert n - len(items) / (capacity + 1) <= merged.counters.get(item, 0) <= n
 
 
+def test_places_beyond_their_room_keep_their_key(spark):
+    text = "a b " * 50_001
+    ids = src.skipgram_readings(spark.createDataFrame([(1, text), (2, "c d")], "doc_id long, text string")).select("tag", "t_us", "seq")
+    assert ids.select("seq").distinct().count() == ids.count() == 100_004
+    turns = spark.createDataFrame([(1, 100_000, "user"), (1, 99_999, "user"), (2, 0, "user")], "conv_id long, turn long, role string")
+    seqs = [r.seq for r in src.readings(turns, src.CONVERSATIONS).orderBy("tag", "t_us").collect()]
+    assert seqs == [199_999, (1 << 62) + (1 << 32) + 100_000, 200_000]
+    with pytest.raises(Exception, match="no id"):
+        src.readings(spark.createDataFrame([(1, -1, "user")], "conv_id long, turn long, role string"), src.CONVERSATIONS).collect()
+    rows = spark.sql("select 2000000L + id key, 1000000L + id place from range(3)").selectExpr(f"{src.place_id('key', 'place', 1_000_000)} id")
+    assert [r.id for r in rows.collect()] == [(1 << 62) + (2_000_000 + k << 32) + 1_000_000 + k for k in range(3)]
+
+
 def test_selection(spark):
     g = w.graph(spark, SF2)
     c = counts.count_paths(g, 3)
