@@ -38,7 +38,7 @@ def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token pieces and their places."""
-    return packing.packed(docs, tokenizer_path("byte_bpe_50k.json"))
+    return packing.packed(docs, tokenizer_path("byte_bpe_50k.json"), cache_bytes=12 << 20)
 
 
 STAGES: list[tuple[str, Stage]] = [

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import repeat
+
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -26,19 +28,11 @@ def fold(column: str, modulus: int):
     return F.crc32(F.col(column).cast("string").cast("binary")) % modulus
 
 
-class WordHashes(dict):
-    """word (bytes) -> 64-bit hash, kept for the words met last. One table serves all operators of a worker process."""
-
-    LIMIT = 250_000
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.LIMIT:
-            self.clear()
-        value = self[word] = xxhash.xxh64_intdigest(word, 11)
-        return value
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    """A 64-bit hash of each word. Hashing again costs less than keeping the words of a large vocabulary."""
+    return np.fromiter(map(xxhash.xxh64_intdigest, words, repeat(11)), np.uint64, len(words))
 
 
-HASHES = WordHashes()
 _BASE = 0x9E3779B97F4A7C15
 _powers = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
@@ -83,3 +77,11 @@ def parts(batch, rows: int = 512):
     """An Arrow batch in pieces of few rows, so that long texts are not all turned to Python objects at once."""
     for at in range(0, batch.num_rows, rows):
         yield batch.slice(at, rows)
+
+
+def fresh(docs: DataFrame, name: str) -> str:
+    """``name``, lengthened until no column of ``docs`` has it, whatever the case."""
+    taken = {c.lower() for c in docs.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name

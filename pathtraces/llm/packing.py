@@ -9,8 +9,9 @@ a few runs for each length, however many documents there are.
 Pieces then find their places by rank among the pieces of their length. Ranks come from counts by task of the written piece table
 plus running sums over tasks: no length is sorted or gathered in one task.
 
-A null or empty text has only the end id. Rows that share an id, or have none, are packed each. Columns beside id and text are
-ignored. An empty table gives no pieces."""
+A null or empty text has only the end id. Rows that share an id, or have none, are packed each. Which of several pieces of one length
+stands where, and so its sequence, follows the partitions of the table; how many sequences there are, and the lengths in them, do not. Columns
+beside id and text are ignored. An empty table gives no pieces."""
 
 from __future__ import annotations
 
@@ -21,19 +22,19 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathtraces.llm.common import parts, spill
-from pathtraces.llm.tokens import encoder
+from pathtraces.llm.tokens import CACHE_BYTES, encoder
 
 CAPACITY, END_ID = 2048, 0
 
 
-def pieces(docs: DataFrame, tokenizer: str, id: str = "doc_id", text: str = "text", capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer: str, id: str = "doc_id", text: str = "text", capacity: int = CAPACITY, end_id: int = END_ID, cache_bytes: int = CACHE_BYTES) -> DataFrame:
     """``id``, ``piece``, ``start``, ``length``, ``ids_crc32``, and the piece's ``task`` and ``rank`` among the task's pieces of that length."""
 
     def run(batches):
         import pyarrow as pa
         from pyspark import TaskContext
 
-        encode, task = encoder(tokenizer), TaskContext.get().partitionId()
+        encode, task = encoder(tokenizer, cache_bytes), TaskContext.get().partitionId()
         met = np.zeros(capacity + 1, np.int64)
         end = np.array([end_id], "<u4").tobytes()
         for batch in batches:
@@ -120,6 +121,6 @@ def pack(cut: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     return placed.select("id", "piece", "start", "length", "ids_crc32", (F.col("first_bin") + F.floor(inside / F.col("each"))).cast("long").alias("sequence_id"), (F.col("at") + inside % F.col("each") * F.col("length")).cast("long").alias("offset"))
 
 
-def packed(docs: DataFrame, tokenizer: str, id: str = "doc_id", text: str = "text", capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
-    """A row for each piece of every document, with its sequence and its offset there."""
-    return pack(spill(pieces(docs, tokenizer, id, text, capacity, end_id), "pieces"), capacity).withColumnRenamed("id", id)
+def packed(docs: DataFrame, tokenizer: str, id: str = "doc_id", text: str = "text", capacity: int = CAPACITY, end_id: int = END_ID, cache_bytes: int = CACHE_BYTES) -> DataFrame:
+    """A row for each piece of every document, with its sequence and its offset there. ``cache_bytes`` bounds the token chunks that a worker keeps, twice."""
+    return pack(spill(pieces(docs, tokenizer, id, text, capacity, end_id, cache_bytes), "pieces"), capacity).withColumnRenamed("id", id)

@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import HASHES, parts, rolling, texts
+from pathtraces.llm.common import parts, rolling, texts, word_hashes
 
 # Frequent function words of four languages.
 COMMON_WORDS = """
@@ -73,7 +73,7 @@ def base_counts(text: bytes) -> tuple[int, int, int, int, int]:
             seen.add(line)
     repeated = 0
     if n > WINDOW:
-        runs = rolling(np.fromiter(map(HASHES.__getitem__, words), np.uint64, n), WINDOW)
+        runs = rolling(word_hashes(words), WINDOW)
         order = np.argsort(runs, kind="stable")
         sorted_runs = runs[order]
         same = sorted_runs[1:] == sorted_runs[:-1]

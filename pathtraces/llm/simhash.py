@@ -92,10 +92,12 @@ def links(nodes: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     met = seen.join(leaders, "anchor").withColumn("far", far).where((F.col("homes") > 1) | F.col("far").between(1, threshold))
     met = spill(met.select("anchor", "fp", "first", "at_home", "homes", "far", F.col("leader.first").alias("leader")), "anchors")
     to_leader = met.where(F.col("far").between(1, threshold)).select(F.col("first").alias("a"), F.col("leader").alias("b"))
-    crowded = met.where("homes > 1 and far > 0")
+    byte = F.explode(F.array(*[F.struct(F.lit(k).alias("k"), F.shiftrightunsigned("fp", 8 * k).bitwiseAND(F.lit(255)).alias("value")) for k in range(8)])).alias("byte")
+    other_half = F.when(F.col("anchor").bitwiseAND(F.lit(1 << 32)) == 0, F.col("byte.k") > 3).otherwise(F.col("byte.k") < 4)
+    crowded = met.where("homes > 1 and far > 0").select("*", byte).where(other_half)
     v, h = crowded.alias("v"), crowded.where("at_home").alias("h")
     near = (F.bit_count(F.col("v.fp").bitwiseXOR(F.col("h.fp"))) <= threshold) & (F.col("v.fp") > F.col("h.fp"))
-    other = v.join(h, (F.col("v.anchor") == F.col("h.anchor")) & near & ~((F.col("v.far") <= threshold) & (F.col("h.far") <= threshold)))
+    other = v.join(h, (F.col("v.anchor") == F.col("h.anchor")) & (F.col("v.byte") == F.col("h.byte")) & near & ~((F.col("v.far") <= threshold) & (F.col("h.far") <= threshold)))
     return to_leader.unionByName(other.select(F.col("v.first").alias("a"), F.col("h.first").alias("b")))
 
 

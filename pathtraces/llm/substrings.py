@@ -5,38 +5,35 @@ A window is ``width`` consecutive words. A word goes if a window that covers it
 1. Every text is marked by content: of the phrases of ``PHRASE`` words inside a window, the one of the smallest hash is the
    window's mark. Equal windows have equal marks, and about one phrase in twenty is a mark. Marks met in texts that differ are
    candidates. Equal texts need no more than their smallest id: all words of the others go.
-2. Windows of candidate marks are counted by hash, with the smallest and largest id each: those with two are the confirmed
-   recurring windows. Counts are combined before they are exchanged, so a passage in a third of all rows is a few rows.
-3. By mark (hot marks cut into salted parts), the confirmed windows are compiled to Aho-Corasick automata over words, one symbol a
-   word, each of bounded size, and all texts around that mark are streamed through. An occurrence in a document other than the
-   window's first is a span to remove. A task's shard of the automata is as large as its share of marks.
-4. Spans are merged by document, and the rest is joined.
+2. Windows of candidate marks are counted by hash, with the smallest and largest id each: those with two are confirmed as recurring.
+   Hashes only say what is worth looking for. The words of a confirmed window are taken from its first document.
+3. Documents are dealt into blocks of about ``BLOCK_BYTES`` by a hash of their id, and each block gets the confirmed windows that recur in
+   it, each once, however many of its documents hold it. There they are compiled to Aho-Corasick automata over words, one symbol a word, in shards of at
+   most ``PATTERNS`` windows, and the block's texts are streamed through all of them, whole. What an automaton finds, word by word, in a document other
+   than the window's first one is removed, and nothing else is. So no mark, window or passage is a hot key, and a task holds one block and one shard.
 
 Null and empty texts have no words. Documents of fewer words than a window lose none. Ids should be unique: rows that share an id
-share spans, and are read as one document whose texts may differ. Rows of a null id are kept whole, and make nothing else go. Repeated
-words and very long texts need no special care. Columns beside id and text are ignored by ``removals`` and kept by ``without_passages``."""
+never make each other go, and where their texts differ, some of what only they hold may stay in others. Rows of a null id are kept whole, and make nothing else go.
+Ties don't arise: the smallest id decides. Repeated words and very long texts need no special care. Columns beside id and text are ignored by ``removals`` and kept by ``without_passages``."""
 
 from __future__ import annotations
 
 import hashlib
 import struct
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from itertools import repeat
 
 import ahocorasick
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import HASHES, parts, rolling, spill, texts
+from pathtraces.llm.common import fresh, parts, rolling, spill, texts, word_hashes
 
-WIDTH, PHRASE, PART, PATTERNS = 50, 16, 512, 20_000
+WIDTH, PHRASE, BLOCK_BYTES, PATTERNS = 50, 16, 4 << 20, 10_000
 _EMPTY = hashlib.sha256(b"").hexdigest()
 
 
-def hashed(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(HASHES.__getitem__, words), np.uint64, len(words))
-
-
 def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Mark, first and last window start, for each run of windows of one mark."""
     phrases = rolling(hashes, phrase)
@@ -53,7 +50,7 @@ def marks(hashes: np.ndarray, width: int = WIDTH, phrase: int = PHRASE) -> tuple
 
 
 def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
-    """Per row: ``id``, ``key1`` and ``key2`` (of its words), ``n_words``, ``kept_sha256`` (of all its words), ``marks`` (each once)."""
+    """Per row: ``id``, ``key1`` and ``key2`` (of its words), ``n_words``, ``n_bytes``, ``kept_sha256`` (of all its words), ``marks`` (each once)."""
 
     def run(batches):
         import pyarrow as pa
@@ -64,13 +61,13 @@ def marked(docs: DataFrame, width: int, phrase: int) -> DataFrame:
                 for text in texts(piece.column(1)):
                     words = (text or b"").split()
                     digest = hashlib.sha256(b" ".join(words))
-                    rows.append((*struct.unpack("<qq", digest.digest()[:16]), len(words), digest.hexdigest(), np.unique(marks(hashed(words), width, phrase)[0])))
+                    rows.append((*struct.unpack("<qq", digest.digest()[:16]), len(words), len(text or b""), digest.hexdigest(), np.unique(marks(word_hashes(words), width, phrase)[0])))
                 cols = list(zip(*rows, strict=True))
-                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64())]
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.list_(pa.int64())]
                 yield pa.RecordBatch.from_arrays([piece.column(0), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], names)
 
-    names = ["id", "key1", "key2", "n_words", "kept_sha256", "marks"]
-    return docs.mapInArrow(run, "id long, key1 long, key2 long, n_words long, kept_sha256 string, marks array<long>")
+    names = ["id", "key1", "key2", "n_words", "n_bytes", "kept_sha256", "marks"]
+    return docs.mapInArrow(run, "id long, key1 long, key2 long, n_words long, n_bytes long, kept_sha256 string, marks array<long>")
 
 
 def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> DataFrame:
@@ -85,7 +82,7 @@ def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> Dat
                 rows = []
                 for key, text, some in zip(piece.column(0).to_pylist(), texts(piece.column(1)), piece.column(2).to_pylist(), strict=True):
                     words = text.split()
-                    hashes = hashed(words)
+                    hashes = word_hashes(words)
                     windows = rolling(hashes, width).view(np.int64)
                     found, firsts, lasts = marks(hashes, width, phrase)
                     for k in np.flatnonzero(np.isin(found, some)).tolist():
@@ -98,115 +95,76 @@ def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> Dat
 
 
 class PhraseAutomaton:
-    """Aho-Corasick over words: a word is one symbol, a pattern is ``width`` words."""
+    """Aho-Corasick over words: a word is one symbol, a pattern is ``width`` words. Words of no pattern share a symbol."""
 
     def __init__(self, width: int):
         self.width, self.symbols = width, {}
         self.automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY)
-        self.size = 0
 
-    def coded(self, words: str) -> str:
-        """One character a word; surrogates are left out."""
+    def coded(self, words: list[bytes]) -> str:
+        """The words of a pattern, one character each; surrogates are left out."""
         known = self.symbols
-        out = []
-        for w in words.split(" "):
-            c = known.get(w)
-            if c is None:
-                n = len(known) + 1
-                c = known[w] = chr(n + 2048 if n >= 0xD800 else n)
-            out.append(c)
-        return "".join(out)
+        for w in words:
+            if w not in known:
+                n = len(known) + 2
+                known[w] = chr(n + 2048 if n >= 0xD800 else n)
+        return "".join(map(known.__getitem__, words))
 
     def add(self, pattern: str, first: int) -> None:
-        self.size += self.automaton.add_word(pattern, first)
+        """A pattern and the document it was first in (the smallest, if it is added twice)."""
+        self.automaton.add_word(pattern, min(first, self.automaton.get(pattern, first)))
 
-    def find(self, text: str) -> Iterator[tuple[int, int]]:
-        """(start, first document) of each pattern in a text."""
-        for end, first in self.automaton.iter(text):
+    def find(self, words: list[bytes]) -> Iterator[tuple[int, int]]:
+        """(start, first document) of each pattern among the words."""
+        for end, first in self.automaton.iter("".join(map(self.symbols.get, words, repeat("\x01")))):
             yield end - self.width + 1, first
 
 
-def _located(rows: list[tuple], width: int) -> Iterator[tuple[int, int, int]]:
-    """Spans to remove (id, first word, end) among rows (kind, id, first, words, windows, window firsts) of whole marks."""
-    phrases = PhraseAutomaton(width)
-    firsts: dict[tuple[int, int], int] = {}
-    for mark, kind, _, _, _, windows, of in rows:
-        if kind == 0:
-            firsts.update({(mark, w): d for w, d in zip(windows, of, strict=True)})
-    coded = [(mark, key, first, phrases.coded(words), windows) for mark, kind, key, first, words, windows, _ in rows if kind == 1]
-    for mark, _, _, text, windows in coded:
-        for k, w in enumerate(windows):
-            first = firsts.pop((mark, w), None)
-            if first is not None:
-                phrases.add(text[k : k + width], first)
-    if not phrases.size:
-        return
-    phrases.automaton.make_automaton()
-    for _, key, first, text, _ in coded:
-        start = end = -1
-        for at, of in phrases.find(text):
-            if of >= key:
-                continue
-            if at > end:
-                if end > 0:
-                    yield key, first + start, first + end
-                start = at
-            end = at + width
-        if end > 0:
-            yield key, first + start, first + end
-
-
-def located(cut: DataFrame, confirmed: DataFrame, width: int, part: int = PART, patterns: int = PATTERNS) -> DataFrame:
-    """``id``, ``start``, ``end`` of spans to remove. ``confirmed``: ``mark``, ``w``, ``first`` (id), ``n`` (occurrences)."""
-    per_mark = confirmed.groupBy("mark").agg(F.collect_list("w").alias("windows"), F.collect_list("first").alias("of"), F.ceil(F.max("n") / part).cast("int").alias("salts"))
-    per_mark = spill(per_mark, "automata")  # a table of its own, so that the join below can split a hot mark
-    texts_ = cut.join(per_mark.select("mark", "salts"), "mark").withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")).cast("int"))
-    texts_ = texts_.select("mark", "salt", F.lit(1).alias("kind"), "id", "first", "words", "windows", F.lit(None).cast("array<long>").alias("of"))
-    known = per_mark.select("mark", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("kind"), F.lit(None).cast("long").alias("id"), F.lit(None).cast("int").alias("first"), F.lit(None).cast("string").alias("words"), "windows", "of")
-
-    def run(batches):
-        import pyarrow as pa
-
-        def out(rows):
-            found = list(zip(*_located(rows, width), strict=True)) or [[]] * 3
-            return pa.RecordBatch.from_arrays([pa.array(found[0], pa.int64()), pa.array(found[1], pa.int32()), pa.array(found[2], pa.int32())], ["id", "start", "end"])
-
-        held, load, now = [], 0, None
-        for batch in batches:
-            for piece in parts(batch):
-                for row in zip(*(c.to_pylist() for c in piece.columns), strict=True):
-                    mark, salt, *rest = row
-                    if (mark, salt) != now:
-                        if load > patterns:
-                            yield out(held)
-                            held, load = [], 0
-                        now = mark, salt
-                    held.append((mark, *rest))
-                    load += len(rest[4]) + len(rest[3] or "") // 64
-        if held:
-            yield out(held)
-
-    both = texts_.unionByName(known).repartition("mark", "salt").sortWithinPartitions("mark", "salt", "kind")
-    return both.mapInArrow(run, "id long, start int, end int")
-
-
-def _kept(words: list[bytes], spans: list) -> tuple[int, bytes]:
-    """Words removed, words left joined by spaces."""
-    gone = np.zeros(len(words) + 1, np.int64)
-    for s in spans:
-        gone[s["start"]] += 1
-        gone[s["end"]] -= 1
-    left = np.flatnonzero(np.cumsum(gone[:-1]) == 0)
-    return len(words) - len(left), b" ".join([words[k] for k in left.tolist()])
-
-
-def spans(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int = WIDTH, phrase: int = PHRASE) -> tuple[DataFrame, DataFrame]:
-    """Per document: ``id``, ``n_words``, ``kept_sha256`` (of all its words), ``first_of`` (smallest id of its text); and the spans to remove
-    from documents that are first of their text: ``id``, ``start``, ``end``."""
-    if not phrase <= width:
-        raise ValueError("a phrase is at most as long as a window")
-    plain = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
+def shards(pieces: list[tuple[int, list[bytes], list[int]]], width: int, patterns: int) -> Iterator[PhraseAutomaton]:
+    """Automata of at most ``patterns`` patterns each, over pieces of text: (first document, words, starts of the windows)."""
+    now, n = PhraseAutomaton(width), 0
+    for first, words, starts in pieces:
+        for at in range(0, len(starts), patterns):
+            few = starts[at : at + patterns]
+            if n and n + len(few) > patterns:
+                now.automaton.make_automaton()
+                yield now
+                now, n = PhraseAutomaton(width), 0
+            low = min(few)
+            text = now.coded(words[low : max(few) + width])
+            for k in few:
+                now.add(text[k - low : k - low + width], first)
+            n += len(few)
+    if n:
+        now.automaton.make_automaton()
+        yield now
+
+
+def covered(ids: list[int | None], each: list[list[bytes]], pieces: list, width: int, patterns: int) -> list[np.ndarray | None]:
+    """For each text which of its words go (none: nothing goes), after it went through all shards."""
+    found: list[list[int]] = [[] for _ in ids]
+    for automaton in shards(pieces, width, patterns):
+        for key, words, mine in zip(ids, each, found, strict=True):
+            if key is not None and len(words) >= width:
+                mine += [at for at, first in automaton.find(words) if first < key]
+    out: list[np.ndarray | None] = []
+    for words, mine in zip(each, found, strict=True):
+        if not mine:
+            out.append(None)
+            continue
+        edges = np.zeros(len(words) + 1, np.int64)
+        starts = np.unique(mine)
+        edges[starts] += 1
+        edges[starts + width] -= 1
+        out.append(np.cumsum(edges[:-1]) > 0)
+    return out
+
+
+def routed(plain: DataFrame, width: int, phrase: int, block_bytes: int) -> tuple[DataFrame, DataFrame, int]:
+    """Per document: ``id``, ``n_words``, ``kept_sha256`` (of all its words), ``first_of`` (smallest id of its text). Per block the pieces to look for: ``block``,
+    ``first`` (document), ``words``, ``starts`` (of the windows in them). And the number of blocks."""
     base = spill(marked(plain, width, phrase), "marks")
+    blocks = max(1, -(-(base.agg(F.sum("n_bytes")).first()[0] or 0) // block_bytes))
     keyed = base.where("id is not null")
     one = spill(keyed.groupBy("key1", "key2").agg(F.min("id").alias("first_of")), "texts")  # stored, so that the join can split many copies
     named = keyed.select("id", "n_words", "key1", "key2", "kept_sha256").join(one, ["key1", "key2"])
@@ -217,52 +175,81 @@ def spans(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int =
     often = each.groupBy("mark").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a != b").select("mark")
     wanted = each.join(often, "mark", "left_semi").groupBy("id").agg(F.collect_set("mark").alias("marks"))
     cut = spill(snippets(plain, wanted, width, phrase), "snippets")
-    seen = cut.select("mark", "id", F.explode("windows").alias("w")).groupBy("mark", "w").agg(F.min("id").alias("first"), F.max("id").alias("other"), F.count(F.lit(1)).alias("n"))
-    confirmed = spill(seen.where("first != other").select("mark", "w", "first", "n"), "confirmed")
-    return named, spill(located(cut, confirmed, width), "spans")
+    windows = cut.select("mark", "id", F.col("first").alias("at"), F.posexplode("windows").alias("k", "w"))
+    met = windows.groupBy("mark", "w", block_of("id", blocks).alias("block")).agg(F.min(F.struct("id", "at", "k")).alias("first"), F.max("id").alias("last"))
+    met = spill(met, "windows")  # a window of many documents is one row a block
+    known = met.groupBy("mark", "w").agg(F.min("first").alias("origin"), F.max("last").alias("other")).where("origin.id != other").select("mark", "w", "origin")
+    routes = met.join(known, ["mark", "w"]).where("last != origin.id").groupBy("block", "origin.id", "mark", "origin.at").agg(F.collect_set("origin.k").alias("starts"))
+    routes = spill(routes, "routes")
+    pieces = cut.join(routes.select("id", "mark", F.col("at").alias("first")).distinct(), ["id", "mark", "first"], "left_semi")
+    pieces = spill(pieces.select("id", "mark", F.col("first").alias("at"), "words").dropDuplicates(["id", "mark", "at"]), "pieces")
+    return named, routes.join(pieces, ["id", "mark", "at"]).select("block", F.col("id").alias("first"), "words", "starts"), blocks
+
+
+def block_of(id: str, blocks: int, other: Column | None = None) -> Column:
+    """The block of a document; rows without an id are dealt out by ``other``."""
+    key = F.col(id).cast("long")
+    h = F.xxhash64(key) if other is None else F.when(key.isNotNull(), F.xxhash64(key)).otherwise(F.xxhash64(other))
+    return F.pmod(h, F.lit(blocks)).cast("long")
+
+
+def streamed(docs: DataFrame, pieces: DataFrame, blocks: int, id: str, text: str, width: int, finish: Callable, schema, patterns: int | None = None) -> DataFrame:
+    """All texts through the automata of their block. ``finish`` gets a block's Arrow table, the words of each text, and which of them go (None: nothing)."""
+    name, limit = fresh(docs, "__block"), patterns or PATTERNS
+    at = docs.columns.index(text), docs.columns.index(id)
 
+    def run(left, right):
+        table = left.select(list(range(left.num_columns - 1)))
+        each = [(t or b"").split() for t in texts(left.column(at[0]).combine_chunks())]
+        found = [(f, w.encode().split(b" "), sorted(s)) for f, w, s in zip(right["first"].to_pylist(), right["words"].to_pylist(), right["starts"].to_pylist(), strict=True)]
+        return finish(table, each, covered(left.column(at[1]).to_pylist(), each, found, width, limit))
 
-def removals(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int = WIDTH, phrase: int = PHRASE) -> DataFrame:
+    dealt = docs.withColumn(name, block_of(id, blocks, F.col(text)))
+    return dealt.groupBy(name).cogroup(pieces.groupBy("block")).applyInArrow(run, schema)
+
+
+def _left(words: list[bytes], gone: np.ndarray) -> bytes:
+    return b" ".join([words[k] for k in np.flatnonzero(~gone).tolist()])
+
+
+def _plain(docs: DataFrame, id: str, text: str, width: int, phrase: int) -> DataFrame:
+    if not phrase <= width:
+        raise ValueError("a phrase is at most as long as a window")
+    return docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
+
+
+def removals(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int = WIDTH, phrase: int = PHRASE, block_bytes: int = BLOCK_BYTES, patterns: int | None = None) -> DataFrame:
     """Per row: ``id``, ``n_words``, ``n_removed``, ``kept_sha256``."""
-    named, found = spans(docs, id, text, width, phrase)
+    plain = _plain(docs, id, text, width, phrase)
+    named, pieces, blocks = routed(plain, width, phrase, block_bytes)
     copies = (F.col("id") != F.col("first_of")) & (F.col("n_words") >= width)
-    touched = found.groupBy("id").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
 
-    def run(batches):
+    def finish(table, each, gone):
         import pyarrow as pa
 
-        for batch in batches:
-            for piece in parts(batch):
-                rows = [_kept((t or b"").split(), s) for t, s in zip(texts(piece.column(1)), piece.column(2).to_pylist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([piece.column(0), pa.array([n for n, _ in rows], pa.int64()), pa.array([hashlib.sha256(k).hexdigest() for _, k in rows])], ["id", "gone", "sha"])
+        rows = [(key, hashlib.sha256(b" ".join(w)).hexdigest(), int(g.sum()), hashlib.sha256(_left(w, g)).hexdigest()) for key, w, g in zip(table.column(0).to_pylist(), each, gone, strict=True) if g is not None]
+        cols = list(zip(*rows, strict=True)) or [[]] * 4
+        return pa.table({n: pa.array(c, k) for n, c, k in zip(("id", "kept_sha256", "gone", "sha"), cols, (pa.int64(), pa.string(), pa.int64(), pa.string()), strict=True)})
 
-    plain = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"))
-    again = plain.join(touched, "id").mapInArrow(run, "id long, gone long, sha string").dropDuplicates(["id"])
-    out = named.join(again, "id", "left").select("id", "n_words", F.when(copies, F.col("n_words")).otherwise(F.coalesce("gone", F.lit(0))).cast("long").alias("n_removed"), F.when(copies, F.lit(_EMPTY)).otherwise(F.coalesce("sha", "kept_sha256")).alias("kept_sha256"))
+    changed = streamed(plain, pieces, blocks, "id", "text", width, finish, "id long, kept_sha256 string, gone long, sha string", patterns).dropDuplicates(["id", "kept_sha256"])
+    out = named.join(changed, ["id", "kept_sha256"], "left").select("id", "n_words", F.when(copies, F.col("n_words")).otherwise(F.coalesce("gone", F.lit(0))).cast("long").alias("n_removed"), F.when(copies, F.lit(_EMPTY)).otherwise(F.coalesce("sha", "kept_sha256")).alias("kept_sha256"))
     return out.withColumnRenamed("id", id)
 
 
-def without_passages(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int = WIDTH, phrase: int = PHRASE) -> DataFrame:
+def without_passages(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int = WIDTH, phrase: int = PHRASE, block_bytes: int = BLOCK_BYTES, patterns: int | None = None) -> DataFrame:
     """``docs`` with the passages taken out of their texts: what is left of a changed text are its words, joined by single spaces.
     Documents of which nothing is left go; those that had no words before stay as they are."""
-    named, found = spans(docs, id, text, width, phrase)
-    copies = named.where((F.col("id") != F.col("first_of")) & (F.col("n_words") >= width)).select(F.col("id").alias("__id")).distinct()
-    touched = found.groupBy(F.col("id").alias("__id")).agg(F.collect_list(F.struct("start", "end")).alias("__spans"))
+    named, pieces, blocks = routed(_plain(docs, id, text, width, phrase), width, phrase, block_bytes)
+    copy = fresh(docs, "__id")
+    copies = named.where((F.col("id") != F.col("first_of")) & (F.col("n_words") >= width)).select(F.col("id").alias(copy)).distinct()
     at = docs.columns.index(text)
 
-    def run(batches):
+    def finish(table, each, gone):
         import pyarrow as pa
-        import pyarrow.compute as pc
 
-        for batch in batches:
-            for piece in parts(batch):
-                new = []
-                for t, s in zip(texts(piece.column(at)), piece.column(piece.num_columns - 1).to_pylist(), strict=True):
-                    new.append(t if s is None else _kept((t or b"").split(), s)[1] or None)
-                whole = pa.array([s is None for s in piece.column(piece.num_columns - 1).to_pylist()], pa.bool_())
-                fresh = pa.array([t if t is None else t.decode() for t in new], piece.column(at).type)
-                cols = [fresh if k == at else piece.column(k) for k in range(piece.num_columns - 1)]
-                yield pa.RecordBatch.from_arrays(cols, piece.schema.names[:-1]).filter(pc.or_(whole, pc.is_valid(fresh)))
-
-    kept = docs.join(copies, F.col(id) == F.col("__id"), "left_anti")
-    return kept.join(touched, F.col(id) == F.col("__id"), "left").select(*[docs[c] for c in docs.columns], "__spans").mapInArrow(run, docs.schema)
+        column = table.column(at).combine_chunks()
+        new = [t if g is None else _left(w, g).decode() or None for t, w, g in zip(column.to_pylist(), each, gone, strict=True)]
+        stays = pa.array([g is None or t is not None for t, g in zip(new, gone, strict=True)], pa.bool_())
+        return table.set_column(at, table.schema.field(at), pa.array(new, column.type)).filter(stays)
+
+    return streamed(docs.join(copies, F.col(id) == F.col(copy), "left_anti"), pieces, blocks, id, text, width, finish, docs.schema, patterns)

@@ -15,6 +15,7 @@ from array import array
 _ODD = re.compile(r"\s\s|[\W_][.,]|\0")
 _SAFE = re.compile(r"(?<=\S)(?= \S)")
 _kept: dict[str, Encoder] = {}
+CACHE_BYTES = 40 << 20
 #: The first 256 characters by kind, for a search without regular expressions: space, comma or stop, other sign, letter or digit.
 _KIND = bytes(32 if chr(c).isspace() else 46 if c in b".," else 97 if chr(c).isalnum() else 33 for c in range(256))
 
@@ -31,22 +32,29 @@ _LETTERS = _byte_letters()
 
 
 class Encoder(dict):
-    """chunk -> ids as little-endian unsigned 32-bit integers, learned as asked; called with texts, it gives theirs."""
+    """chunk -> ids as little-endian unsigned 32-bit integers, learned as asked; called with texts, it gives theirs.
 
-    LIMIT = 600_000
+    Chunks are kept in two generations of about ``room`` bytes each; when the younger is full, the older goes. The strings of the vocabulary's
+    added tokens become those tokens, as in the library's plain call, or with ``added_as_text`` ordinary text; such texts
+    are left to the library whole."""
 
-    def __init__(self, path: str):
+    LONGEST, ENTRY = 256, 200
+
+    def __init__(self, path: str, added_as_text: bool = False):
         super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = added_as_text
         normalizer = self.tokenizer.normalizer
+        self.added = [t.content.lower() for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.lowers = normalizer is not None and normalizer.normalize_str("A") == "a"
         self.changes = normalizer is not None
         self.space = "" if self.tokenizer.encode(" a", add_special_tokens=False).tokens == self.tokenizer.encode("a", add_special_tokens=False).tokens else _LETTERS[32]
         self.pieces = self.tokenizer.model.tokenize
+        self.older: dict[str, bytes] = {}
+        self.held, self.room = 0, CACHE_BYTES
 
     @staticmethod
     def chunks(text: str) -> list[str]:
@@ -61,27 +69,40 @@ class Encoder(dict):
         return text.replace(" ", "\0 ").replace(",", "\0,").replace(".", "\0.").replace("\n", "\0\n\0").split("\0")
 
     def __missing__(self, chunk: str) -> bytes:
-        lead, letters = (self.space, chunk[1:]) if chunk[:1] == " " else ("", chunk)
-        if letters.isalpha() and letters.isascii():
-            ids = [t.id for t in self.pieces(lead + letters)]
-        elif letters.isalpha() and not self.changes:
-            ids = [t.id for t in self.pieces(lead + letters.encode().decode("latin-1").translate(_LETTERS))]
-        else:
-            ids = self.tokenizer.encode(chunk, add_special_tokens=False).ids
-        found = self[chunk] = array("I", ids).tobytes()
+        found = self.older.get(chunk)
+        if found is None:
+            lead, letters = (self.space, chunk[1:]) if chunk[:1] == " " else ("", chunk)
+            if letters.isalpha() and letters.isascii():
+                ids = [t.id for t in self.pieces(lead + letters)]
+            elif letters.isalpha() and not self.changes:
+                ids = [t.id for t in self.pieces(lead + letters.encode().decode("latin-1").translate(_LETTERS))]
+            else:
+                ids = self.tokenizer.encode(chunk, add_special_tokens=False).ids
+            found = array("I", ids).tobytes()
+        if len(chunk) <= self.LONGEST:
+            self.held += self.ENTRY + len(chunk) + len(found)
+            if self.held > self.room:
+                self.older = dict(self)
+                self.clear()
+                self.held = 0
+            self[chunk] = found
         return found
 
-    def __call__(self, batch: list[str | None]) -> list[bytes]:
-        if len(self) > self.LIMIT:
-            self.clear()
+    def _encode(self, text: str) -> bytes:
+        low = text.lower()
+        if any(t in low for t in self.added):
+            return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
         if self.lowers:  # what the vocabulary does anyway, so that capitals make no further chunks
-            batch = [t and t.encode().lower().decode() for t in batch]
-        get = self.__getitem__
-        return [b"".join(map(get, self.chunks(t))) if t else b"" for t in batch]
+            text = text.encode().lower().decode()
+        return b"".join(map(self.__getitem__, self.chunks(text)))
+
+    def __call__(self, batch: list[str | None]) -> list[bytes]:
+        return [self._encode(t) if t else b"" for t in batch]
 
 
-def encoder(path: str) -> Encoder:
+def encoder(path: str, room: int = CACHE_BYTES) -> Encoder:
     """One for each worker process and vocabulary."""
     if path not in _kept:
         _kept[path] = Encoder(path)
+    _kept[path].room = room
     return _kept[path]

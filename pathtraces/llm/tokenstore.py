@@ -12,7 +12,7 @@ Tasks write to names of their own attempt; only what a successful task reports e
 speculative twin leaves unlisted files at most. Shards are cut by size, so memory doesn't depend on the table.
 
 A null or empty text has only the end id. Rows of a null key come first, are stored, and aren't indexed. Rows that share a key are all
-stored, one after the other in no set order; the index leads to the first. Columns beside id and text are ignored. An
+stored, one after the other in the order of a hash of their texts, ties by text; the index leads to the first. Columns beside id and text are ignored. An
 empty table gives an empty manifest."""
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ import uuid
 import zlib
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathtraces.llm.common import new_path, parts, scramble, spill
@@ -145,7 +145,8 @@ def write_tokens(docs: DataFrame, tokenizer: str, folder: str | None = None, id:
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names)
 
     names = ["task", "k", "path", "n_rows", "n_ids", "low", "high"]
-    keyed = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text")).repartitionByRange("id").sortWithinPartitions("id")
+    keyed = docs.select(F.col(id).cast("long").alias("id"), F.col(text).alias("text"), F.xxhash64(text).alias("h"))
+    keyed = keyed.repartitionByRange("id", "h").sortWithinPartitions("id", "h", "text")
     listed = spill(keyed.mapInArrow(run, "task int, k int, path string, n_rows long, n_ids long, low long, high long"), "manifest")
     order = Window.orderBy("task", "k")  # one row a shard of 64 MB
     return listed.select((F.row_number().over(order) - 1).alias("shard"), "path", "n_rows", "n_ids", "low", "high", F.coalesce(F.sum("n_ids").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("start"))
@@ -249,6 +250,3 @@ def token_table(docs: DataFrame, tokenizer: str, id: str = "doc_id", text: str =
     """Writes the shards, reads them back."""
     return read_tokens(spill(write_tokens(docs, tokenizer, None, id, text, end_id), "manifest")).withColumnRenamed("id", id)
 
-
-def open_store(spark: SparkSession, manifest_path: str) -> TokenStore:
-    return TokenStore(spark.read.parquet(manifest_path))

@@ -136,16 +136,24 @@ def plain_removals(rows, width=50):
     return out
 
 
-@pytest.mark.parametrize("patterns", [20_000, 50])
-def test_substrings(docs, rows, patterns, monkeypatch):
-    monkeypatch.setattr(substrings.located, "__defaults__", (substrings.PART if patterns > 50 else 2, patterns))
+@pytest.mark.parametrize(("patterns", "block"), [(10_000, 4 << 20), (50, 20_000)])
+def test_substrings(docs, rows, patterns, block):
     want = plain_removals(rows.dropna(subset=["doc_id"]))
-    got = substrings.removals(docs).collect()
+    got = substrings.removals(docs, patterns=patterns, block_bytes=block).collect()
     assert {r.doc_id: (r.n_words, r.n_removed, r.kept_sha256) for r in got if r.doc_id is not None} == want
     assert [(r.n_words, r.n_removed) for r in got if r.doc_id is None] == [(120, 0)]
     assert sum(n for _, n, _ in want.values()) > 1000
 
 
+def test_the_automata_decide():
+    """Windows that hashing took for equal, but are not, find nothing; unknown words match no pattern."""
+    one, other = [b"w%d" % k for k in range(60)], [b"v%d" % k for k in range(60)]
+    pieces = [(1, one, [0, 3]), (2, other, [5])]
+    none, some, own, all_ = substrings.covered([9, 8, 1, None], [[b"x"] * 70, [b"y", *one[3:53], b"z"], one, one], pieces, 50, 1)
+    assert none is None and own is None and all_ is None
+    assert some.tolist() == [False] + [True] * 50 + [False]
+
+
 def test_substrings_random_small_windows(spark):
     rng = np.random.default_rng(1)
     texts = [" ".join(rng.choice(list("abcd"), rng.integers(0, 60))) for _ in range(80)]
@@ -168,20 +176,35 @@ def test_without_passages_agrees(docs, rows):
             assert hashlib.sha256(left[d].encode()).hexdigest() == r.kept_sha256
 
 
+def library(name):
+    """The library's plain call."""
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(queries.tokenizer_path(name))
+    return lambda batch: [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch([t or "" for t in batch], add_special_tokens=False)]
+
+
 def test_tokens_equal_the_library(rows):
     rng = np.random.default_rng(2)
-    odd = ["".join(rng.choice(list("ab1.,' \n\t\x1c é́SstT#|_"), rng.integers(1, 40))) for _ in range(3000)]
-    odd += ["<|endoftext|> a<|startoftext|>", "it's 'S DON'T", " ́a ,b .c", "a\0b\0", *[t for t in rows.text.dropna() if len(t) < 20000]]
+    odd = ["".join(rng.choice(list("ab1.,' \n\t\x1c é́SstT#|_"), rng.integers(1, 40))) for _ in range(3000)]
+    added = ["<|endoftext|>", "<|startoftext|>", "<|ENDOFTEXT|>", "<|endoftext|", " ", ".", ",", "a", "end ", " here", "\n"]
+    odd += ["".join(rng.choice(added, rng.integers(1, 9))) for _ in range(500)]
+    odd += ["end <|endoftext|> here", "<|endoftext|> a<|startoftext|>", "it's 'S DON'T", " ́a ,b .c", "a\0b\0", *[t for t in rows.text.dropna() if len(t) < 20000]]
     for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
         coder = tokens.Encoder(queries.tokenizer_path(name))
-        want = [np.array(e.ids, "<u4").tobytes() for e in coder.tokenizer.encode_batch(odd, add_special_tokens=False)]
+        want = library(name)(odd)
         assert coder(odd) == want
+        coder = tokens.Encoder(queries.tokenizer_path(name))
+        coder.room = 20_000  # generations turn over
+        assert coder(odd) == want and coder.held <= 21_000
+    plain = tokens.Encoder(queries.tokenizer_path("byte_bpe_50k.json"), added_as_text=True)
+    assert 50256 not in np.frombuffer(plain(["end <|endoftext|> here"])[0], "<u4")
 
 
 def test_packing(docs, rows):
     path = queries.tokenizer_path("byte_bpe_50k.json")
     got = packing.packed(docs, path).toPandas()
-    coder = tokens.Encoder(path)
+    coder = library("byte_bpe_50k.json")
     for d, t in zip(rows.doc_id, rows.text, strict=True):
         if pd.isna(d):
             continue
@@ -253,7 +276,7 @@ def test_token_store(docs, rows, spark):
     manifest = tokenstore.write_tokens(docs, path, shard_ids=20_000)
     listed = manifest.toPandas()
     got = tokenstore.read_tokens(spark.createDataFrame(listed)).toPandas()
-    coder, at = tokens.Encoder(path), 0
+    coder, at = library("word_bpe_49k.json"), 0
     want, ids_of = [], {}
     for d, t in sorted(((-1 if pd.isna(d) else d, t) for d, t in zip(rows.doc_id, rows.text, strict=True)), key=lambda x: x[0]):
         ids = coder([t])[0] + (2).to_bytes(4, "little")

@@ -6,12 +6,11 @@ import sys
 import corpus_pipeline
 import numpy as np
 import pytest
-from pathtraces.llm import quality, tokens
+from pathtraces.llm import quality
 from pathtraces.llm.common import spill
-from pathtraces.llm.queries import tokenizer_path
 
 sys.path.insert(0, __file__.rpartition("/")[0])
-from test_operators import ODD, SF, WORD, plain_fingerprint, plain_quality, plain_removals, union  # noqa: E402
+from test_operators import ODD, SF, WORD, library, plain_fingerprint, plain_quality, plain_removals, union  # noqa: E402
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -71,7 +70,7 @@ def test_mix(steps):
 
 def test_pack(steps):
     before, after = steps[4], steps[5]
-    coder = tokens.Encoder(tokenizer_path("byte_bpe_50k.json"))
+    coder = library("byte_bpe_50k.json")
     assert after.length.sum() == sum(len(x) // 4 + 1 for x in coder(list(before.text)))
     assert after.groupby("sequence_id").length.sum().max() <= 2048
     assert after.sequence_id.nunique() <= -(-after.length.sum() // 2048) + 1
