@@ -8,9 +8,9 @@ A window is ``width`` consecutive words. A word goes if a window that covers it
 2. Windows of candidate marks are counted by hash, with the smallest and largest id each: those with two are confirmed as recurring.
    Hashes only say what is worth looking for. The words of a confirmed window are taken from its first document.
 3. Documents are dealt into blocks of about ``BLOCK_BYTES`` by a hash of their id, and each block gets the confirmed windows that recur in
-   it, each once, however many of its documents hold it. There they are compiled to Aho-Corasick automata over words, one symbol a word, in shards of at
-   most ``PATTERNS`` windows, and the block's texts are streamed through all of them, whole. What an automaton finds, word by word, in a document other
-   than the window's first one is removed, and nothing else is. So no mark, window or passage is a hot key, and a task holds one block and one shard.
+   it, each once, however many of its documents hold it. There their marks' phrases are compiled to Aho-Corasick automata over words, one symbol a word, in shards of about
+   ``PATTERNS`` phrases, and the block's texts are streamed through all of them, whole. Around each place that an automaton finds, the text is compared
+   with the first document's words: what is equal over a window or more goes, and nothing else does. So no mark, window or passage is a hot key, and a task holds one block and one shard.
 
 Null and empty texts have no words. Documents of fewer words than a window lose none. Ids should be unique: rows that share an id
 never make each other go, and where their texts differ, some of what only they hold may stay in others. Rows of a null id are kept whole, and make nothing else go.
@@ -95,14 +95,15 @@ def snippets(docs: DataFrame, wanted: DataFrame, width: int, phrase: int) -> Dat
 
 
 class PhraseAutomaton:
-    """Aho-Corasick over words: a word is one symbol, a pattern is ``width`` words. Words of no pattern share a symbol."""
+    """Aho-Corasick over words: a word is one symbol, a pattern is a phrase. Under each phrase stand the passages that hold it: first document, coded words, place of the phrase."""
 
-    def __init__(self, width: int):
-        self.width, self.symbols = width, {}
+    def __init__(self):
+        self.symbols: dict[bytes, str] = {}
         self.automaton = ahocorasick.Automaton(ahocorasick.STORE_ANY)
+        self.size = 0
 
     def coded(self, words: list[bytes]) -> str:
-        """The words of a pattern, one character each; surrogates are left out."""
+        """The words of a passage, one character each; surrogates are left out."""
         known = self.symbols
         for w in words:
             if w not in known:
@@ -110,59 +111,81 @@ class PhraseAutomaton:
                 known[w] = chr(n + 2048 if n >= 0xD800 else n)
         return "".join(map(known.__getitem__, words))
 
-    def add(self, pattern: str, first: int) -> None:
-        """A pattern and the document it was first in (the smallest, if it is added twice)."""
-        self.automaton.add_word(pattern, min(first, self.automaton.get(pattern, first)))
-
-    def find(self, words: list[bytes]) -> Iterator[tuple[int, int]]:
-        """(start, first document) of each pattern among the words."""
-        for end, first in self.automaton.iter("".join(map(self.symbols.get, words, repeat("\x01")))):
-            yield end - self.width + 1, first
-
-
-def shards(pieces: list[tuple[int, list[bytes], list[int]]], width: int, patterns: int) -> Iterator[PhraseAutomaton]:
-    """Automata of at most ``patterns`` patterns each, over pieces of text: (first document, words, starts of the windows)."""
-    now, n = PhraseAutomaton(width), 0
-    for first, words, starts in pieces:
-        for at in range(0, len(starts), patterns):
-            few = starts[at : at + patterns]
-            if n and n + len(few) > patterns:
-                now.automaton.make_automaton()
-                yield now
-                now, n = PhraseAutomaton(width), 0
-            low = min(few)
-            text = now.coded(words[low : max(few) + width])
-            for k in few:
-                now.add(text[k - low : k - low + width], first)
-            n += len(few)
-    if n:
+    def add(self, first: int, passage: str, at: int, phrase: int) -> None:
+        key = passage[at : at + phrase]
+        if key not in self.automaton:
+            self.automaton.add_word(key, (phrase, []))
+        self.automaton.get(key)[1].append((first, passage, at))
+        self.size += 1
+
+    def cover(self, key: int, words: list[bytes], gone: bytearray, width: int) -> None:
+        """Marks in ``gone`` the words of document ``key`` that lie in a run of ``width`` or more words which is in a passage of an earlier document. The automaton
+        finds the phrases; around each, words are compared as far as they are equal."""
+        text = "".join(map(self.symbols.get, words, repeat("\x01")))
+        for end, (phrase, passages) in self.automaton.iter(text):
+            d = end + 1 - phrase
+            for first, passage, at in passages:
+                if first >= key:
+                    continue
+                if gone.find(0, max(0, d + phrase - width), d + width) < 0:
+                    break  # every window around it goes already
+                low = at - _shared(passage[:at][::-1], text[max(0, d - at) : d][::-1])
+                high = at + _shared(passage[at:], text[d : d + len(passage) - at])
+                if high - low >= width:
+                    gone[d - at + low : d - at + high] = b"\1" * (high - low)
+
+
+def _shared(a: str, b: str) -> int:
+    """How many characters two texts begin with alike."""
+    n = min(len(a), len(b))
+    if a[:n] == b[:n]:
+        return n
+    low, high = 0, n  # alike up to low, not up to high
+    while high - low > 1:
+        middle = (low + high) // 2
+        low, high = (middle, high) if a[:middle] == b[:middle] else (low, middle)
+    return low
+
+
+def phrase_places(words: list[bytes], mark: int, starts: list[int], width: int, phrase: int) -> list[int]:
+    """Places of the mark's phrase, so that each of the windows holds one of them."""
+    at = np.flatnonzero(rolling(word_hashes(words), phrase).view(np.int64) == mark)
+    out: list[int] = []
+    for k in sorted(starts):
+        if not out or out[-1] < k:
+            out.append(int(at[np.searchsorted(at, k + width - phrase, "right") - 1]))
+    return out
+
+
+def shards(pieces: list[tuple[int, list[bytes], int, list[int]]], width: int, phrase: int, patterns: int) -> Iterator[PhraseAutomaton]:
+    """Automata of about ``patterns`` phrases each, over pieces of text: (first document, words, mark, starts of the windows)."""
+    now = PhraseAutomaton()
+    for first, words, mark, starts in pieces:
+        if now.size >= patterns:
+            now.automaton.make_automaton()
+            yield now
+            now = PhraseAutomaton()
+        passage = now.coded(words)
+        for at in phrase_places(words, mark, starts, width, phrase):
+            now.add(first, passage, at, phrase)
+    if now.size:
         now.automaton.make_automaton()
         yield now
 
 
-def covered(ids: list[int | None], each: list[list[bytes]], pieces: list, width: int, patterns: int) -> list[np.ndarray | None]:
+def covered(ids: list[int | None], each: list[list[bytes]], pieces: list, width: int, phrase: int, patterns: int) -> list[np.ndarray | None]:
     """For each text which of its words go (none: nothing goes), after it went through all shards."""
-    found: list[list[int]] = [[] for _ in ids]
-    for automaton in shards(pieces, width, patterns):
-        for key, words, mine in zip(ids, each, found, strict=True):
+    gone = [bytearray(len(words)) for words in each]
+    for automaton in shards(pieces, width, phrase, patterns):
+        for key, words, mine in zip(ids, each, gone, strict=True):
             if key is not None and len(words) >= width:
-                mine += [at for at, first in automaton.find(words) if first < key]
-    out: list[np.ndarray | None] = []
-    for words, mine in zip(each, found, strict=True):
-        if not mine:
-            out.append(None)
-            continue
-        edges = np.zeros(len(words) + 1, np.int64)
-        starts = np.unique(mine)
-        edges[starts] += 1
-        edges[starts + width] -= 1
-        out.append(np.cumsum(edges[:-1]) > 0)
-    return out
+                automaton.cover(key, words, mine, width)
+    return [np.frombuffer(mine, bool) if 1 in mine else None for mine in gone]
 
 
 def routed(plain: DataFrame, width: int, phrase: int, block_bytes: int) -> tuple[DataFrame, DataFrame, int]:
     """Per document: ``id``, ``n_words``, ``kept_sha256`` (of all its words), ``first_of`` (smallest id of its text). Per block the pieces to look for: ``block``,
-    ``first`` (document), ``words``, ``starts`` (of the windows in them). And the number of blocks."""
+    ``first`` (document), ``words``, ``mark``, ``starts`` (of the windows in them). And the number of blocks."""
     base = spill(marked(plain, width, phrase), "marks")
     blocks = max(1, -(-(base.agg(F.sum("n_bytes")).first()[0] or 0) // block_bytes))
     keyed = base.where("id is not null")
@@ -183,7 +206,7 @@ def routed(plain: DataFrame, width: int, phrase: int, block_bytes: int) -> tuple
     routes = spill(routes, "routes")
     pieces = cut.join(routes.select("id", "mark", F.col("at").alias("first")).distinct(), ["id", "mark", "first"], "left_semi")
     pieces = spill(pieces.select("id", "mark", F.col("first").alias("at"), "words").dropDuplicates(["id", "mark", "at"]), "pieces")
-    return named, routes.join(pieces, ["id", "mark", "at"]).select("block", F.col("id").alias("first"), "words", "starts"), blocks
+    return named, routes.join(pieces, ["id", "mark", "at"]).select("block", F.col("id").alias("first"), "words", "mark", "starts"), blocks
 
 
 def block_of(id: str, blocks: int, other: Column | None = None) -> Column:
@@ -193,7 +216,7 @@ def block_of(id: str, blocks: int, other: Column | None = None) -> Column:
     return F.pmod(h, F.lit(blocks)).cast("long")
 
 
-def streamed(docs: DataFrame, pieces: DataFrame, blocks: int, id: str, text: str, width: int, finish: Callable, schema, patterns: int | None = None) -> DataFrame:
+def streamed(docs: DataFrame, pieces: DataFrame, blocks: int, id: str, text: str, width: int, phrase: int, finish: Callable, schema, patterns: int | None = None) -> DataFrame:
     """All texts through the automata of their block. ``finish`` gets a block's Arrow table, the words of each text, and which of them go (None: nothing)."""
     name, limit = fresh(docs, "__block"), patterns or PATTERNS
     at = docs.columns.index(text), docs.columns.index(id)
@@ -201,8 +224,8 @@ def streamed(docs: DataFrame, pieces: DataFrame, blocks: int, id: str, text: str
     def run(left, right):
         table = left.select(list(range(left.num_columns - 1)))
         each = [(t or b"").split() for t in texts(left.column(at[0]).combine_chunks())]
-        found = [(f, w.encode().split(b" "), sorted(s)) for f, w, s in zip(right["first"].to_pylist(), right["words"].to_pylist(), right["starts"].to_pylist(), strict=True)]
-        return finish(table, each, covered(left.column(at[1]).to_pylist(), each, found, width, limit))
+        found = [(f, w.encode().split(b" "), m, s) for f, w, m, s in zip(*(right[c].to_pylist() for c in ("first", "words", "mark", "starts")), strict=True)]
+        return finish(table, each, covered(left.column(at[1]).to_pylist(), each, found, width, phrase, limit))
 
     dealt = docs.withColumn(name, block_of(id, blocks, F.col(text)))
     return dealt.groupBy(name).cogroup(pieces.groupBy("block")).applyInArrow(run, schema)
@@ -231,7 +254,7 @@ def removals(docs: DataFrame, id: str = "doc_id", text: str = "text", width: int
         cols = list(zip(*rows, strict=True)) or [[]] * 4
         return pa.table({n: pa.array(c, k) for n, c, k in zip(("id", "kept_sha256", "gone", "sha"), cols, (pa.int64(), pa.string(), pa.int64(), pa.string()), strict=True)})
 
-    changed = streamed(plain, pieces, blocks, "id", "text", width, finish, "id long, kept_sha256 string, gone long, sha string", patterns).dropDuplicates(["id", "kept_sha256"])
+    changed = streamed(plain, pieces, blocks, "id", "text", width, phrase, finish, "id long, kept_sha256 string, gone long, sha string", patterns).dropDuplicates(["id", "kept_sha256"])
     out = named.join(changed, ["id", "kept_sha256"], "left").select("id", "n_words", F.when(copies, F.col("n_words")).otherwise(F.coalesce("gone", F.lit(0))).cast("long").alias("n_removed"), F.when(copies, F.lit(_EMPTY)).otherwise(F.coalesce("sha", "kept_sha256")).alias("kept_sha256"))
     return out.withColumnRenamed("id", id)
 
@@ -252,4 +275,4 @@ def without_passages(docs: DataFrame, id: str = "doc_id", text: str = "text", wi
         stays = pa.array([g is None or t is not None for t, g in zip(new, gone, strict=True)], pa.bool_())
         return table.set_column(at, table.schema.field(at), pa.array(new, column.type)).filter(stays)
 
-    return streamed(docs.join(copies, F.col(id) == F.col(copy), "left_anti"), pieces, blocks, id, text, width, finish, docs.schema, patterns)
+    return streamed(docs.join(copies, F.col(id) == F.col(copy), "left_anti"), pieces, blocks, id, text, width, phrase, finish, docs.schema, patterns)

@@ -136,7 +136,7 @@ def plain_removals(rows, width=50):
     return out
 
 
-@pytest.mark.parametrize(("patterns", "block"), [(10_000, 4 << 20), (50, 20_000)])
+@pytest.mark.parametrize(("patterns", "block"), [(10_000, 4 << 20), (20, 20_000)])
 def test_substrings(docs, rows, patterns, block):
     want = plain_removals(rows.dropna(subset=["doc_id"]))
     got = substrings.removals(docs, patterns=patterns, block_bytes=block).collect()
@@ -146,12 +146,15 @@ def test_substrings(docs, rows, patterns, block):
 
 
 def test_the_automata_decide():
-    """Windows that hashing took for equal, but are not, find nothing; unknown words match no pattern."""
+    """Pieces that were routed for nothing find nothing; the words around a phrase decide, not its hash."""
     one, other = [b"w%d" % k for k in range(60)], [b"v%d" % k for k in range(60)]
-    pieces = [(1, one, [0, 3]), (2, other, [5])]
-    none, some, own, all_ = substrings.covered([9, 8, 1, None], [[b"x"] * 70, [b"y", *one[3:53], b"z"], one, one], pieces, 50, 1)
-    assert none is None and own is None and all_ is None
-    assert some.tolist() == [False] + [True] * 50 + [False]
+    found = [(k, *substrings.marks(substrings.word_hashes(w))) for k, w in ((1, one), (2, other))]
+    pieces = [(k, w[a : b + 50], int(m), list(range(b - a + 1))) for (k, ms, firsts, lasts), w in zip(found, (one, other), strict=True) for m, a, b in zip(ms, firsts, lasts, strict=True)]
+    texts = [[b"x"] * 70, [b"y", *one[3:53], b"z"], [*one[:49], b"q", *one[50:]], one, one, other[5:] + one[5:]]
+    for patterns in (1, 10_000):
+        none, some, short, own, all_, both = substrings.covered([9, 8, 7, 1, None, 6], texts, pieces, 50, 16, patterns)
+        assert none is None and short is None and own is None and all_ is None
+        assert some.tolist() == [False] + [True] * 50 + [False] and both.all()
 
 
 def test_substrings_random_small_windows(spark):
