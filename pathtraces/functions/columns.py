@@ -16,9 +16,9 @@ def uniform(seed: int, *key: Column | str) -> Column:
     return (F.conv(F.substring(F.md5(text.cast("binary")), 1, 13), 16, 10).cast("long") + F.lit(0.5)) / F.lit(float(1 << 52))
 
 
-def uniform_fast(seed: int, *key: Column | str) -> Column:
-    """The same from a cheaper hash that only Spark has."""
-    return (F.shiftrightunsigned(F.xxhash64(F.lit(seed), *key), 12) + F.lit(0.5)) / F.lit(float(1 << 52))
+def whole_label(label: Column) -> Column:
+    """The label, if it can stand in a trace: one that holds the separator would read as several, and is an error."""
+    return F.when(F.contains(label, F.lit(SEPARATOR)), F.raise_error(F.lit(f"a label holds {SEPARATOR}")).cast("string")).otherwise(label)
 
 
 def missing_all(p: float, n: Column) -> Column:

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from pathtraces.functions.columns import whole_label
 from pathtraces.operators.clean import clean
 from pathtraces.operators.slabs import WIDTH, slab_of, with_previous, with_running
 from pathtraces.plans.storage import materialise
@@ -91,12 +92,6 @@ def _scan(delta: int):
     return run
 
 
-def adjacency(v: DataFrame, e: DataFrame) -> DataFrame:
-    """``vid``, ``label``, ``children`` (dst and its label, ascending); vertices without edges have an empty list."""
-    children = e.join(v.select(F.col("vid").alias("dst"), F.col("label").alias("dst_label")), "dst").groupBy("src").agg(F.array_sort(F.collect_list(F.struct("dst", F.col("dst_label").alias("label")))).alias("children"))
-    return v.select("vid", "label").join(children, F.col("vid") == F.col("src"), "left").select("vid", "label", F.coalesce("children", F.array().cast("array<struct<dst:bigint,label:string>>")).alias("children"))
-
-
 @dataclass(frozen=True)
 class LabeledDag:
     """``vertices`` (vid, label, ...), ``edges`` (src, dst). ``delta`` is set if the graph came from readings: then it falls into
@@ -115,7 +110,8 @@ class LabeledDag:
 
     @classmethod
     def from_tables(cls, v: DataFrame, e: DataFrame) -> LabeledDag:
-        return cls(v, e)
+        """A graph as given. Labels must not hold the sign that separates labels in a trace."""
+        return cls(v.withColumn("label", whole_label(F.col("label"))), e)
 
     def labelled_edges(self) -> DataFrame:
         """``src``, ``dst``, ``dst_label``."""
@@ -145,34 +141,30 @@ class LabeledDag:
         return cyclic
 
 
-def peeled(e: DataFrame) -> Iterator[DataFrame]:
-    """The edges left when vertices without successors are taken off again and again. Each round is stored."""
-    left = materialise(e.select("src", "dst").distinct(), "peel")
+def peeled(e: DataFrame) -> tuple[int, int]:
+    """How often vertices without successors can be taken off until no edge is left, and how many edges stay for ever (0 for a DAG). Each round is stored."""
+    left, rounds = materialise(e.select("src", "dst").distinct(), "peel"), 0
     n = left.count()
     while n:
-        yield left
         left = materialise(left.join(left.select(F.col("src").alias("dst")).distinct(), "dst", "left_semi"), "peel")
         now = left.count()
         if now == n:
-            yield left
-            return
-        n = now
+            return rounds, n
+        n, rounds = now, rounds + 1
+    return rounds, 0
 
 
 def on_cycles(e: DataFrame) -> int:
     """Edges that no peeling removes; 0 for a DAG."""
-    last, rounds = None, list(peeled(e))
-    if len(rounds) > 1:
-        last = rounds[-1].count()
-        return last if last == rounds[-2].count() else 0
-    return 0
+    return peeled(e)[1]
 
 
 def dag_depth(g: LabeledDag) -> int:
     """Vertices on the longest path."""
-    if on_cycles(g.edges):
+    rounds, cyclic = peeled(g.edges)
+    if cyclic:
         raise ValueError("the graph has a cycle")
-    return sum(1 for _ in peeled(g.edges)) + (1 if g.vertices.limit(1).count() else 0)
+    return rounds + (1 if g.vertices.limit(1).count() else 0)
 
 
 def graph_size(g: LabeledDag) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathtraces.functions.measures import least_reported
@@ -57,33 +57,55 @@ class DecrementSummary:
             self.counters = {k: n - off for k, n in self.counters.items() if n > off}
 
 
-def decrement_summary(items: DataFrame, column: str, capacity: int) -> DataFrame:
-    """``item``, ``n`` (a lower count): a summary in each task, then one merge over summaries of bounded size, in two steps."""
+def _filled(items: DataFrame, column: str, capacity: int) -> DataFrame:
+    """``item``, ``n``, ``most`` (counters held at once): a summary in each task."""
 
     def fill(batches):
         import pyarrow as pa
 
-        summary = DecrementSummary(capacity)
+        summary, most = DecrementSummary(capacity), 0
         for batch in batches:
             counted = batch.column(0).value_counts()
             for item, n in zip(counted.field(0).to_pylist(), counted.field(1).to_pylist(), strict=True):
                 if item is not None:
                     summary.add(item, n)
-        yield pa.RecordBatch.from_arrays([pa.array(list(summary.counters), pa.string()), pa.array(list(summary.counters.values()), pa.int64())], ["item", "n"])
+                    most = max(most, len(summary.counters))
+        yield pa.RecordBatch.from_arrays([pa.array(list(summary.counters), pa.string()), pa.array(list(summary.counters.values()), pa.int64()), pa.array([most] * len(summary.counters), pa.int32())], ["item", "n", "most"])
 
-    def join(group):
-        import pyarrow as pa
+    return items.select(F.col(column).cast("string").alias("item")).mapInArrow(fill, "item string, n long, most int")
 
-        summary = DecrementSummary(capacity)
-        for part in sorted(set(group["part"].to_pylist())):
-            mine = group.filter(pa.compute.equal(group["part"], part))
-            summary.merge(dict(zip(mine["item"].to_pylist(), mine["n"].to_pylist(), strict=True)))
-        return pa.table({"item": pa.array(list(summary.counters), pa.string()), "n": pa.array(list(summary.counters.values()), pa.int64())})
 
-    parts = items.select(F.col(column).cast("string").alias("item")).mapInArrow(fill, "item string, n long").withColumn("part", F.spark_partition_id())
-    tens = parts.groupBy(F.floor(F.col("part") / 32).alias("ten")).applyInArrow(join, "item string, n long").withColumn("part", F.spark_partition_id())
-    # tasks of the second step hold several groups of 32; each is below capacity, so merging them as they come is still right
-    return tens.withColumn("part", F.monotonically_increasing_id()).withColumn("one", F.lit(1)).groupBy("one").applyInArrow(join, "item string, n long")
+def decrement_summary(items: DataFrame, column: str, capacity: int) -> DataFrame:
+    """``item``, ``n`` (a lower count), ``most`` (counters that some task held at once): a summary in each task, then one merge of all: their counters are added, and the first one
+    beyond capacity is taken off the rest. The sums are by item, so no task holds more than its share."""
+    added = materialise(_filled(items, column, capacity).groupBy("item").agg(F.sum("n").alias("n"), F.max("most").alias("most")), "summary")
+    top = added.orderBy(F.desc("n")).limit(capacity + 1).agg(F.when(F.count(F.lit(1)) > capacity, F.min("n")).otherwise(0).alias("off"))
+    return added.crossJoin(F.broadcast(top)).where(F.col("n") > F.col("off")).select("item", (F.col("n") - F.col("off")).alias("n"), "most")
+
+
+def merged_maps(summaries: Column, capacity: int) -> Column:
+    """An array of summaries, each a map of item to counter, merged one after the other by the same rule into one map."""
+
+    def merge(a: Column, b: Column) -> Column:
+        both = F.map_zip_with(a, b, lambda _, x, y: F.coalesce(x, F.lit(0)) + F.coalesce(y, F.lit(0)))
+        values = F.sort_array(F.map_values(both), asc=False)
+        off = F.when(F.size(values) > capacity, F.element_at(values, F.least(F.size(values), F.lit(capacity + 1)))).otherwise(F.lit(0))
+        return F.transform_values(F.map_filter(both, lambda _, n: n > off), lambda _, n: n - off)
+
+    return F.aggregate(summaries, F.create_map().cast("map<string,bigint>"), merge)
+
+
+def summary_of_parts(counted: DataFrame, part: str, capacity: int) -> DataFrame:
+    """``item``, ``n``: from ``counted`` (``part``, ``trace``, ``n``) a summary for each part, such as a day, of which only its ``capacity`` largest counters less the next one are kept; then
+    all merged. Parts are few and summaries bounded, so one row holds them."""
+    order = Window.partitionBy(part).orderBy(F.desc("n"), "trace")
+    ranked = counted.withColumn("place", F.row_number().over(order)).where(F.col("place") <= capacity + 1)
+    off = F.max(F.when(F.col("place") == capacity + 1, F.col("n"))).over(Window.partitionBy(part))
+    kept = ranked.withColumn("n", F.col("n") - F.coalesce(off, F.lit(0))).where((F.col("place") <= capacity) & (F.col("n") > 0))
+    maps = kept.groupBy(part).agg(F.map_from_entries(F.collect_list(F.struct("trace", "n"))).alias("summary"))
+    every = maps.agg(F.array_sort(F.collect_list(F.struct(F.col(part), F.map_entries("summary").alias("entries")))).alias("each"))
+    merged = merged_maps(F.transform("each", lambda x: F.map_from_entries(x["entries"])), capacity)
+    return every.select(F.explode(merged).alias("item", "n"))
 
 
 def frequent_items(items: DataFrame, column: str, eta: float) -> DataFrame:

@@ -9,8 +9,7 @@ import hashlib
 import math
 from collections import Counter
 from collections.abc import Iterator
-
-import numpy as np
+from itertools import accumulate
 
 from pathtraces.functions.columns import BASES, PRIMES, SEPARATOR
 
@@ -27,6 +26,7 @@ class Piece:
     def __init__(self, vid: list[int], label: list[str], after: list[list[int]]):
         self.vid, self.label, self.after = vid, label, after
         self._counts: dict[int, list[list[int]]] = {}
+        self._lines: dict[tuple[int, int, int], tuple[list[int], list[int], list[int]]] = {}
 
     @classmethod
     def of(cls, group, delta: int) -> Piece:
@@ -89,21 +89,30 @@ class Piece:
         for k in range(len(self.vid)):
             if uniform(seed, "root", self.vid[k]) >= some(c[k][m]):
                 continue
-            work = [([k], m)]
+            work = [([k], str(self.vid[k]), m)]
             while work:
-                path, i = work.pop()
+                path, key, i = work.pop()
                 v = path[-1]
-                key = "-".join(str(self.vid[x]) for x in path)
-                children = [j for j in sorted(self.after[v], key=lambda j: self.vid[j]) if c[j][i - 1] > 0]
-                if how == "descend":
-                    taken, own = self._in_turn(children, v, i, c, p, seed, key, some)
-                elif how == "printed":
-                    taken, own = self._printed(children, v, i, c, p, seed, key, rest)
+                if how in ("descend", "printed"):
+                    children = [j for j in sorted(self.after[v], key=lambda j: self.vid[j]) if c[j][i - 1] > 0]
+                    rule = self._in_turn if how == "descend" else self._printed
+                    taken, own = rule(children, v, i, c, p, seed, key, some)
                 else:
-                    taken, own = self._hits(children, i, c, p, seed, key, rest, how)
+                    children, sums, guide = self._line(v, i, m)
+                    found, own, _, _ = next_hits(sums, p, seed, key, guide if how == "guide" else None)
+                    taken = [children[x] for x in found]
                 if own:
-                    yield self.named(path)
-                work.extend(([*path, j], i - 1) for j in taken)
+                    yield self.vid[path[0]], key, SEPARATOR.join(self.label[x] for x in path)
+                work.extend(([*path, j], f"{key}-{self.vid[j]}", i - 1) for j in taken)
+
+    def _line(self, v: int, i: int, m: int) -> tuple[list[int], list[int], list[int]]:
+        """Children in order of id, their running sums with the path itself last, and the guide; made once for each vertex and level."""
+        if (v, i, m) not in self._lines:
+            c = self.counts(m)
+            children = [j for j in sorted(self.after[v], key=lambda j: self.vid[j]) if c[j][i - 1] > 0]
+            sums = [0, *accumulate([*(c[j][i - 1] for j in children), 1])]
+            self._lines[v, i, m] = children, sums, guide_of(sums)
+        return self._lines[v, i, m]
 
     def _in_turn(self, children, v, i, c, p, seed, key, some):
         left, taken = c[v][i], []
@@ -115,48 +124,52 @@ class Piece:
             left -= n
         return taken, not taken or uniform(seed, "self", key) < p
 
-    def _printed(self, children, v, i, c, p, seed, key, rest):
+    def _printed(self, children, v, i, c, p, seed, key, some):
         """The rule as published, probabilities cut to at most 1; biased, kept for comparison."""
+        rest = math.log1p(-p) if p < 1 else -math.inf
         skip = lambda n: min(1.0, math.exp(n * rest) / max(1e-300, -math.expm1(c[v][i] * rest)))
         taken = [j for j in children if uniform(seed, "child", key, self.vid[j]) > skip(c[j][i - 1])]
         return taken, not taken or uniform(seed, "self", key) < p
 
-    def _hits(self, children, i, c, p, seed, key, rest, how):
-        """Next hit in weight space: children's counts and, last, the own path form a line; from a uniform number follows how far the
-        next drawn element lies, and a search over the prefix sums says whose it is. The first number is drawn below the
-        chance of any hit, so there is one."""
-        sums = np.cumsum([0, *(c[j][i - 1] for j in children), 1])
-        end, at, taken = int(sums[-1]), 0, []
-        own, turn = False, 0
-        guide = self._guide(sums) if how == "guide" else None
-        while at < end:
-            u = uniform(seed, "hit", key, turn)
-            if turn == 0:
-                u *= -math.expm1(end * rest)
-            turn += 1
-            far = at + (math.floor(math.log1p(-u) / rest) if p < 1 else 0)
-            if far >= end:
-                break
-            k = self._by_guide(sums, guide, far) if guide else bisect.bisect_right(sums, far) - 1
-            if k == len(children):
-                own = True
-                break
-            taken.append(children[k])
-            at = int(sums[k + 1])
-        return taken, own
-
-    @staticmethod
-    def _guide(sums: np.ndarray) -> list[int]:
-        """For equal cells of the line, the first item that can lie there."""
-        n = 1 << max(0, (len(sums) - 2).bit_length())
-        return [bisect.bisect_right(sums, int(sums[-1]) * k // n) - 1 for k in range(n)]
-
-    @staticmethod
-    def _by_guide(sums: np.ndarray, guide: list[int], far: int) -> int:
-        k = guide[far * len(guide) // int(sums[-1])]
-        while sums[k + 1] <= far:
-            k += 1
-        return k
+
+def guide_of(sums: list[int]) -> list[int]:
+    """For equal cells of a line of items that end at ``sums[1:]``, the first item that can lie there."""
+    n = 1 << max(0, (len(sums) - 2).bit_length())
+    return [bisect.bisect_right(sums, sums[-1] * k // n) - 1 for k in range(n)]
+
+
+def next_hits(sums: list[int], p: float, seed: int, key: str, guide: list[int] | None = None) -> tuple[list[int], bool, int, int]:
+    """Sampled items among those that end at ``sums[1:]``, each of whose elements is drawn with p, given that some is; the last item, of
+    one element, is the path itself. Returns the items, whether the last is among them, how many numbers were drawn and how many
+    comparisons the searches took. From a uniform number follows how far the next drawn element lies; whose it is says a search by halving,
+    or one from the guide's place on. The first number is drawn below the chance of any hit, so there is one."""
+    rest = math.log1p(-p) if p < 1 else -math.inf
+    end, at, found, turn, steps = sums[-1], 0, [], 0, 0
+    while at < end:
+        u = uniform(seed, "hit", key, turn)
+        if turn == 0:
+            u *= -math.expm1(end * rest)
+        turn += 1
+        far = at + (math.floor(math.log1p(-u) / rest) if p < 1 else 0)
+        if far >= end:
+            break
+        if guide is not None:
+            k = guide[far * len(guide) // end]
+            steps += 1
+            while sums[k + 1] <= far:
+                k += 1
+                steps += 1
+        else:
+            k, high = 0, len(sums) - 2
+            while k < high:
+                middle = (k + high) // 2
+                steps += 1
+                k, high = (middle + 1, high) if sums[middle + 1] <= far else (k, middle)
+        if k == len(sums) - 2:
+            return found, True, turn, steps
+        found.append(k)
+        at = sums[k + 1]
+    return found, False, turn, steps
 
 
 def hash_of(codes: list[int]) -> tuple[int, int]:
@@ -169,15 +182,17 @@ def hash_of(codes: list[int]) -> tuple[int, int]:
     return out[0], out[1]
 
 
-def ranks(count: int, p: float, seed: int, vid: int) -> np.ndarray:
-    """Which of ``count`` numbered elements are drawn, each with p: geometric gaps from a generator of the vertex's own."""
-    if p >= 1:
-        return np.arange(count)
-    rng = np.random.default_rng([seed & 0xFFFFFFFF, vid & 0xFFFFFFFFFFFFFFFF])
-    out, at = [], -1
-    while True:
-        block = at + np.cumsum(1 + np.floor(np.log1p(-rng.random(max(8, int(1.2 * count * p)))) / math.log1p(-p)))
-        out.append(block[block < count])
-        if block[-1] >= count:
-            return np.concatenate(out).astype(np.int64)
-        at = block[-1]
+def ranks(count: int, p: float, seed: int, vid: int) -> list[int]:
+    """Which of ``count`` numbered elements are drawn, each with p, given that some is: the first number is drawn below the chance of any."""
+    rest = math.log1p(-p) if p < 1 else -math.inf
+    out, at, turn = [], 0, 0
+    while at < count:
+        u = uniform(seed, "rank", vid, turn)
+        if turn == 0:
+            u *= -math.expm1(count * rest)
+        at += math.floor(math.log1p(-u) / rest) if p < 1 else 0
+        if at >= count:
+            break
+        out.append(at)
+        at, turn = at + 1, turn + 1
+    return out

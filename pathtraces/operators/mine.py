@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 from pathtraces.functions import measures
 from pathtraces.operators.counts import count_paths, total_paths
 from pathtraces.operators.dag import LabeledDag, dag_depth
-from pathtraces.operators.enumeration import trace_counts
+from pathtraces.operators.enumeration import count_candidates, trace_counts
 from pathtraces.operators.frequent import candidates, sample_counts, second_pass, with_estimates
-from pathtraces.operators.sample import SamplingPlan, plan_sampling, sample_seeds, sample_traces
+from pathtraces.operators.sample import SamplingPlan, plan_sampling, prepare, sample_seeds, sample_traces
 from pathtraces.plans.storage import materialise
 
 
@@ -41,8 +41,10 @@ def mine_frequency(g: LabeledDag, m: int | None, min_count: float | None = None,
     counts = materialise(count_paths(g, m, "grouped" if strategy == "grouped" else "join"), "counts")
     plan = plan_sampling(counts, m, c, min_count, min_support)
 
+    ways = prepare(g, counts, m, sampler == "guide") if strategy == "join" and sampler != "bernoulli_full" else None
+
     def draw(seed_: int) -> DataFrame:
-        return sample_traces(g, counts, m, plan.p, seed_, sampler, strategy)
+        return sample_traces(g, counts, m, plan.p, seed_, sampler, strategy, ways, plan.expected_samples)
 
     sample = materialise(draw(seed), "sample")
     found = materialise(candidates(sample, plan.p * plan.min_count, summary, strict=strict), "found")
@@ -59,26 +61,35 @@ def exact_topk(g: LabeledDag, m: int, k: int, min_len: int = 1) -> DataFrame:
     return trace_counts(g, m, min_len).orderBy(F.desc("n"), "trace").limit(k).select("trace", "n")
 
 
-def mine_topk(g: LabeledDag, m: int, k: int, method: str = "sample", c: float = 10, seed: int = 42, sampler: str = "descend", strategy: str = "join", rounds: int = 6) -> MiningResult:
+def mine_topk(g: LabeledDag, m: int, k: int, method: str = "sample", c: float = 10, seed: int = 42, sampler: str = "descend", strategy: str = "join", verify: str = "none") -> MiningResult:
     """The k most frequent traces; ties by text. By sampling: a pilot of about 50 k samples estimates the k-th count, the main round
-    takes p from that, lowered by its error; if fewer than k traces pass, the threshold is halved."""
+    takes p from that, lowered by its error. If fewer than k traces pass, the threshold is halved, until everything is drawn: so fewer than k are returned only where
+    there are fewer. ``verify="exact"`` counts all that passed in the graph and ranks them by that: then the result is the true one unless a trace of the first k was
+    missed, for each of which ``measures`` bounds the probability."""
     if method == "exact":
         return MiningResult(exact_topk(g, m, k))
     counts = materialise(count_paths(g, m, "grouped" if strategy == "grouped" else "join"), "counts")
     total = total_paths(counts, m)
+    ways = prepare(g, counts, m, sampler == "guide") if strategy == "join" and sampler != "bernoulli_full" else None
+
+    def drawn(p: float, seed_: int) -> DataFrame:
+        return sample_counts(sample_traces(g, counts, m, p, seed_, sampler, strategy, ways, p * total))
+
     p = min(1.0, 50 * k / max(total, 1))
-    pilot = sample_counts(sample_traces(g, counts, m, p, seed + 1, sampler, strategy)).orderBy(F.desc("n_sample"), "trace").limit(k).agg(F.min("n_sample"), F.count(F.lit(1))).first()
+    pilot = drawn(p, seed + 1).orderBy(F.desc("n_sample"), "trace").limit(k).agg(F.min("n_sample"), F.count(F.lit(1))).first()
     least = pilot[0] or 1
     threshold = max(1.0, (least - least**0.5) / p)
-    for _ in range(rounds):
+    while True:
         plan = SamplingPlan(total, threshold, c, measures.choose_p(c, threshold))
-        sample = materialise(sample_traces(g, counts, m, plan.p, seed, sampler, strategy), "sample")
-        passed = sample_counts(sample).where(F.col("n_sample") >= measures.least_reported(plan.p * threshold, False))
-        if plan.p >= 1 or passed.limit(k).count() >= k:
+        passed = materialise(drawn(plan.p, seed).where(F.col("n_sample") >= measures.least_reported(plan.p * threshold, False)), "passed")
+        n_passed = passed.limit(k).count()
+        if plan.p >= 1 or n_passed >= k:
             break
         threshold = max(1.0, threshold / 2)
-    top = passed.orderBy(F.desc("n_sample"), "trace").limit(k)
-    return MiningResult(with_estimates(top, plan.p), plan, {"false_negative": measures.fn_probability(c)})
+    told = {"false_negative": measures.fn_probability(c), "shortfall": k - n_passed}
+    if verify == "exact":
+        return MiningResult(count_candidates(g, passed, m).orderBy(F.desc("n"), "trace").limit(k), plan, told)
+    return MiningResult(with_estimates(passed.orderBy(F.desc("n_sample"), "trace").limit(k), plan.p), plan, told)
 
 
 def topk_quality(truth: DataFrame, reported: DataFrame, k: int) -> DataFrame:
@@ -95,16 +106,29 @@ def topk_quality(truth: DataFrame, reported: DataFrame, k: int) -> DataFrame:
 
 
 def empirical_error(g: LabeledDag, m: int, min_count: int, cs: list[float], seeds: int, strict: bool = True) -> DataFrame:
-    """``c``, ``seeds``, ``fn_rate`` (over traces at or above the threshold), ``sfp_rate`` (over traces below a quarter of it), ``n_samples`` (mean)."""
+    """``c``, ``seeds``, ``fn_rate`` (over traces at or above the threshold), ``sfp_rate`` (over traces below a quarter of it), ``n_samples`` (mean); beside them
+    ``fn_expected`` and ``sfp_expected``, the means over the same traces of what the binomial distribution says of each one's count, and ``fn_formula``, ``sfp_formula``, for traces
+    exactly at the threshold and at a quarter of it."""
     spark = g.vertices.sparkSession
     truth = materialise(trace_counts(g, m).select("trace", "n"), "truth")
+    high, low = F.col("n") >= min_count, F.col("n") < min_count / 4
+    by_count = truth.groupBy("n").agg(F.count(F.lit(1)).alias("times")).where(high | low).collect()  # one row for each distinct count
+    # drawn once for the largest C; smaller ones are part of that
+    ps = [measures.choose_p(c, min_count) for c in cs]
+    drawn = sample_seeds(g, m, max(ps), list(range(1000, 1000 + seeds)))
+    counted = drawn.groupBy("seed", "trace").agg(*[F.sum((F.col("u") < p / max(ps)).cast("long")).alias(f"n{k}") for k, p in enumerate(ps)])
+    seen = counted.groupBy("trace").agg(*[F.sum((F.col(f"n{k}") >= measures.least_reported(c, strict)).cast("long")).alias(f"times{k}") for k, c in enumerate(cs)], *[F.sum(f"n{k}").alias(f"n{k}") for k in range(len(cs))])
+    all_ = truth.join(seen, "trace", "left")
+    told = []
+    for k in range(len(cs)):
+        share = F.coalesce(F.col(f"times{k}"), F.lit(0)) / F.lit(seeds)
+        told += [F.avg(F.when(high, 1 - share)).alias(f"fn{k}"), F.avg(F.when(low, share)).alias(f"sfp{k}"), (F.coalesce(F.sum(f"n{k}"), F.lit(0)) / F.lit(seeds)).alias(f"n{k}")]
+    r = all_.agg(*told).first()
     rows = []
-    for c in cs:
-        drawn = sample_seeds(g, m, measures.choose_p(c, min_count), list(range(1000, 1000 + seeds)))
-        drawn = materialise(drawn.groupBy("seed", "trace").agg(F.count(F.lit(1)).alias("n_sample")), "drawn")
-        seen = drawn.where(F.col("n_sample") >= measures.least_reported(c, strict)).groupBy("trace").agg(F.count(F.lit(1)).alias("times"))
-        all_ = truth.join(seen, "trace", "left").select("n", F.coalesce("times", F.lit(0)).alias("times"))
-        high, low = F.col("n") >= min_count, F.col("n") < min_count / 4
-        r = all_.agg(F.avg(F.when(high, 1 - F.col("times") / seeds)).alias("fn"), F.avg(F.when(low, F.col("times") / seeds)).alias("sfp")).first()
-        rows.append((float(c), seeds, r.fn, r.sfp, (drawn.agg(F.sum("n_sample")).first()[0] or 0) / seeds))
-    return spark.createDataFrame(rows, "c double, seeds int, fn_rate double, sfp_rate double, n_samples double")
+    for k, (c, p) in enumerate(zip(cs, ps, strict=True)):
+        means = []
+        for side, missed in ((lambda n: n >= min_count, True), (lambda n: n < min_count / 4, False)):
+            tails = [(measures.fn_binomial(c, x.n, p, strict), x.times) for x in by_count if side(x.n)]
+            means.append(sum((q if missed else 1 - q) * t for q, t in tails) / max(1, sum(t for _, t in tails)))
+        rows.append((float(c), seeds, r[f"fn{k}"], r[f"sfp{k}"], float(r[f"n{k}"]), *means, measures.fn_probability(c, strict), measures.sfp_probability(c, strict)))
+    return spark.createDataFrame(rows, "c double, seeds int, fn_rate double, sfp_rate double, n_samples double, fn_expected double, sfp_expected double, fn_formula double, sfp_formula double")

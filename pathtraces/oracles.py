@@ -108,8 +108,8 @@ def some(p: str, n: str) -> str:
     return f"(1 - pow(1 - {p}, {n}))"
 
 
-def sample(m: int, p: str, seed: int = 42, out: str = "s") -> str:
-    """The seeded descent, level by level: ``out`` (start_vid, path_key, trace). Needs v, e, c."""
+def sample(m: int, p: str, seed: int = 42, out: str = "s", printed: bool = False) -> str:
+    """The seeded descent, level by level: ``out`` (start_vid, path_key, trace). Needs v, e, c. ``printed``: by the published rule."""
     parts = [f", {out}f{m} as (select vid as start_vid, vid as at, vid::varchar as path_key, label as trace, c{m} as total from v join c using (vid) where {u(seed, repr('root'), 'vid')} < {some(p, f'c{m}')})"]
     for i in range(m, 0, -1):
         child = f"c.c{i - 1}"
@@ -117,7 +117,7 @@ def sample(m: int, p: str, seed: int = 42, out: str = "s") -> str:
           from {out}f{i} f left join e on e.src = f.at left join c on c.vid = e.dst),
         {out}i{i} as (select *, n > 0 and u < {some(p, 'n')} / {some(p, 'rest')} as hit from {out}h{i}),
         {out}j{i} as (select *, coalesce(max(hit::int) over (partition by path_key order by dst rows between unbounded preceding and 1 preceding), 0) = 1 as found from {out}i{i}),
-        {out}k{i} as (select *, coalesce(n > 0 and ((not found and hit) or (found and u < {some(p, 'n')})), false) as taken from {out}j{i}),
+        {out}k{i} as (select *, coalesce({f"n > 0 and u > least(1.0, pow(1 - {p}, n) / {some(p, 'total')})" if printed else f"n > 0 and ((not found and hit) or (found and u < {some(p, 'n')}))"}, false) as taken from {out}j{i}),
         {out}o{i} as (select start_vid, path_key, trace from {out}k{i} group by start_vid, path_key, trace having not bool_or(taken) or {u(seed, repr('self'), 'path_key')} < {p})""")
         if i > 1:
             parts.append(f", {out}f{i - 1} as (select start_vid, dst as at, path_key || '-' || dst::varchar as path_key, trace || '>' || dst_label as trace, n as total from {out}k{i} where taken)")
@@ -125,6 +125,48 @@ def sample(m: int, p: str, seed: int = 42, out: str = "s") -> str:
     return "".join(parts) + f", {out} as ({union})"
 
 
+def _gap(u: str, p: str) -> str:
+    """Elements passed over before the next one drawn."""
+    return f"case when {p} >= 1 then 0 else floor(ln(1 - {u}) / ln(1 - least({p}, 0.999999999999)))::bigint end"
+
+
+def _lines(m: int) -> str:
+    """``kid`` (level, src, dst, label, low, high): children on a vertex's line of weight."""
+    levels = " union all ".join(f"select {i} as level, src, dst, dst_label, c.c{i - 1} as n from e join c on c.vid = e.dst" for i in range(2, m + 1))
+    return f", kid as materialized (select level, src, dst, dst_label, sum(n) over w - n as low, (sum(n) over w)::bigint as high from ({levels}) window w as (partition by level, src order by dst rows unbounded preceding))"
+
+
+def first_hits(m: int, p: str, seed: int = 42, out: str = "s") -> str:
+    """The draws of the refined samplers: a cursor for each visited vertex hops from hit to hit; a hit child is a new cursor. Needs v, c, e."""
+    total = "case level " + " ".join(f"when {i} then c.c{i}" for i in range(1, m + 1)) + " end"
+    u_ = f"{u(seed, repr('hit'), 'path_key', 'turn')} * case when turn = 0 then {some(p, 'total')} else 1 end"
+    return _lines(m) + f""", {out}w as (
+      select {m} as level, vid as start_vid, vid as place, vid::varchar as path_key, label as trace, c{m} as total, 0 as turn, 0::bigint as pos, false as own from v join c using (vid) where {u(seed, repr('root'), 'vid')} < {some(p, f'c{m}')}
+      union all
+      select * from (
+        with far as (select *, pos + {_gap(u_, p)} as far from {out}w where not own and pos < total),
+        hit as (select far.*, kid.dst, kid.dst_label, kid.high from far left join kid on kid.level = far.level and kid.src = far.place and far.far >= kid.low and far.far < kid.high where far.far < far.total)
+        select level, start_vid, place, path_key, trace, total, turn, pos, true from hit where dst is null
+        union all
+        select level, start_vid, place, path_key, trace, total, turn + 1, high, false from hit where dst is not null
+        union all
+        select level - 1, start_vid, dst, path_key || '-' || dst::varchar, trace || '>' || dst_label, high - (select low from kid k where k.level = hit.level and k.src = hit.place and k.dst = hit.dst), 0, 0, false from hit where dst is not null)),
+    {out} as (select start_vid, path_key, trace from {out}w where own)"""
+
+
+def ranked(m: int, p: str, seed: int = 42, out: str = "s") -> str:
+    """Numbers drawn among the paths of a start vertex, each resolved level by level. Needs v, c, e."""
+    u_ = f"{u(seed, repr('rank'), 'vid', 'turn')} * case when turn = 0 then {some(p, 'total')} else 1 end"
+    parts = f""", {out}r as (
+      select vid, c{m} as total, 0 as turn, {_gap(u_.replace('turn', '0').replace('total', f'c{m}'), p)} as pos from c where {u(seed, repr('root'), 'vid')} < {some(p, f'c{m}')}
+      union all
+      select vid, total, turn, pos + 1 + {_gap(u_, p)} as pos from (select vid, total, turn + 1 as turn, pos from {out}r) where pos + 1 < total),
+    {out}{m} as (select v.vid as start_vid, v.vid as place, v.vid::varchar as path_key, label as trace, pos from {out}r join v on v.vid = {out}r.vid where pos < total)"""
+    for i in range(m, 1, -1):
+        parts += f", {out}{i - 1} as (select start_vid, coalesce(dst, place) as place, case when dst is null then path_key else path_key || '-' || dst::varchar end as path_key, case when dst is null then trace else trace || '>' || dst_label end as trace, case when dst is null then pos else pos - 1 - low end as pos from {out}{i} left join kid on kid.level = {i} and kid.src = place and pos > 0 and pos - 1 >= low and pos - 1 < high)"
+    return _lines(m) + parts + f", {out} as (select start_vid, path_key, trace from {out}1)"
+
+
 def hashes(m: int, trace: bool = False) -> str:
     """Rolling hashes of every path: h (h1, h2[, trace])."""
     codes = ", lc as (select label, row_number() over (order by label) as code from (select distinct label from v))"

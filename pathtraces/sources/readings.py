@@ -8,6 +8,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from pathtraces.functions.columns import whole_label
+
 MINUTE, DAY = 60_000_000, 86_400_000_000
 SCHEMA = "tag long, t_us long, seq long, label string"
 
@@ -42,9 +44,9 @@ CONVERSATIONS = SequenceSpec("conv_id", "turn", place_id("conv_id", "turn", 100_
 
 
 def readings(df: DataFrame, spec: SequenceSpec) -> DataFrame:
-    """Rows without tag, time, order or label are no readings."""
+    """Rows without tag, time, order or label are no readings; labels must not hold the sign that separates labels in a trace."""
     columns = {"tag": spec.tag, "t_us": spec.time, "seq": spec.order}
-    out = df.select(*[F.expr(e).cast("long").alias(n) for n, e in columns.items()], F.expr(spec.label).alias("label"))
+    out = df.select(*[F.expr(e).cast("long").alias(n) for n, e in columns.items()], whole_label(F.expr(spec.label)).alias("label"))
     return out.where("tag is not null and t_us is not null and seq is not null and label is not null")
 
 
@@ -85,8 +87,3 @@ def from_text(spark: SparkSession, path: str, kind: str) -> DataFrame:
     """Readings written as CSV (with header) or JSON lines, read with their schema."""
     reader = spark.read.schema(SCHEMA)
     return reader.csv(path, header=True) if kind == "csv" else reader.json(path)
-
-
-def stream(spark: SparkSession, folder: str, files_per_batch: int = 1) -> DataFrame:
-    """Readings from parquet files as they arrive."""
-    return spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files_per_batch).parquet(folder)

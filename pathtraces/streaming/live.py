@@ -1,7 +1,7 @@
 """Live edges, path counts, samples and frequent traces from a stream of readings (every reading a vertex).
 
-Readings of a tag are put in order within the allowed lateness: one is released when the watermark has passed it, and what comes
-later than that is dropped and counted. A released reading looks back at the last readings of its tag. All its predecessors are older, so the
+Readings of a tag are put in order within the allowed lateness: one is released when the watermark has passed it. What comes later than that
+finds its place passed: it is reported as ``late``, and takes part in nothing. A released reading looks back at the last readings of its tag. All its predecessors are older, so the
 paths that *end* in it, and a sample of them, are final at once. The state of a tag holds the readings not yet released and those of the
 last (m - 1) thresholds, and expires when the watermark has left them behind."""
 
@@ -17,6 +17,8 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from pathtraces.functions.columns import SEPARATOR
 
+#: Microseconds by which no reading is late: some 142 years.
+NEVER = 1 << 52
 EVENT = "tag long, kind string, vid long, other long, level int, n long, text string"
 
 
@@ -65,9 +67,8 @@ def live_paths(readings: DataFrame, delta: int, lateness: str, m: int = 2, p: fl
             fresh = []
         else:
             fresh = [(int(t), int(v), str(x)) for pdf in batches for t, v, x in zip(pdf.t_us, pdf.seq, pdf.label, strict=True)]
-        newest = max((x[0] for x in kept), default=-1)
         for t, v, x in sorted(fresh):
-            if t <= newest:  # its place has been passed
+            if t <= mark:  # its place has been passed
                 out.append((key[0], "late", v, None, None, None, None))
             else:
                 buffer.append([t, v, x])
@@ -83,15 +84,18 @@ def live_paths(readings: DataFrame, delta: int, lateness: str, m: int = 2, p: fl
                 names = {k[1]: k[2] for k in kept}
                 preds = {k[1]: [j for j in k[4] if j in names] for k in kept}
                 out += [(key[0], "sample", v, path[0], len(path), None, SEPARATOR.join(names[j] for j in path)) for path in _sampled_backwards(v, kept, preds, m, p, seed)]
-        if state.hasTimedOut and not buffer:
-            state.remove()
+        if not buffer and all(mark - x[0] > (m - 1) * delta for x in kept):
+            if state.exists:
+                state.remove()
         else:
             state.update((json.dumps(buffer), json.dumps(kept)))
-            ends = [x[0] for x in buffer] or [kept[-1][0] + (m - 1) * delta if kept else mark]
+            ends = [x[0] for x in buffer] or [kept[-1][0] + (m - 1) * delta]
             state.setTimeoutTimestamp(max(min(ends) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["tag", "kind", "vid", "other", "level", "n", "text"]).astype({"other": "Int64", "level": "Int32", "n": "Int64"})
 
     timed = readings.withColumn("at", F.timestamp_micros("t_us")).withWatermark("at", lateness)
+    # the engine drops rows that its watermark column calls late before the function sees them, so that column is moved out of reach
+    timed = timed.select("tag", "t_us", "seq", "label", F.timestamp_micros(F.col("t_us") + F.lit(NEVER)).alias("never", metadata={"spark.watermarkDelayMs": 0}))
     return timed.groupBy("tag").applyInPandasWithState(step, EVENT, "buffer string, kept string", "append", GroupStateTimeout.EventTimeTimeout)
 
 

@@ -371,7 +371,7 @@ _SAMPLE = "select start_vid, path_key, trace from s"
 @query(sampled_sql(_SAMPLE))
 def sample_descend(spark, sf_dir):
     g, c, p = seeded(spark, sf_dir)
-    return sampling.descend(g, c, M, p, SEED)
+    return sampling.descend(g, c, M, p, SEED).drop("scanned")
 
 
 @query(sampled_sql(_SAMPLE))
@@ -400,8 +400,38 @@ def _by_sampler(sampler: str) -> Query:
     return run
 
 
-for _name, _sampler in (("sample_rank", "rank"), ("sample_first_hit", "first_hit"), ("sample_guide", "guide"), ("sample_printed_bias", "printed")):
-    QUERIES[_name] = _by_sampler(_sampler)
+_BY_TRACE = "select trace, count(*) as n from s group by trace"
+_PROB = f", prob as materialized (select {P_SQL} as p)"
+_HITS = sql.with_(G, TC, _PROB, CN, sql.first_hits(M, "(select p from prob)", SEED), select=_BY_TRACE)
+_RANKS = sql.with_(G, TC, _PROB, CN, sql.ranked(M, "(select p from prob)", SEED), select=_BY_TRACE)
+_PRINTED = sql.with_(G, TC, _PROB, CN, sql.sample(M, "(select p from prob)", SEED, printed=True), select=_BY_TRACE)
+for _name, _sampler, _oracle in (("sample_rank", "rank", _RANKS), ("sample_first_hit", "first_hit", _HITS), ("sample_guide", "guide", _HITS), ("sample_printed_bias", "printed", _PRINTED)):
+    QUERIES[_name], ORACLES[_name] = _by_sampler(_sampler), _oracle
+
+
+def _everything(sampler: str) -> Query:
+    """With p = 1 a sampler returns each path once."""
+
+    def run(spark, sf_dir):
+        g = graph(spark, sf_dir)
+        c = materialise(counting.count_paths(g, M), "counts")
+        return sampling.sample_traces(g, c, M, 1.0, SEED, sampler).select("start_vid", "path_key", "trace")
+
+    return run
+
+
+for _sampler in ("descend", "rank", "first_hit", "guide"):
+    QUERIES[f"sample_all_{_sampler}"] = _everything(_sampler)
+    ORACLES[f"sample_all_{_sampler}"] = sql.with_(G, sql.paths(M), select="select start_vid, path as path_key, trace from p")
+
+
+@query()
+def search_steps(spark, sf_dir):
+    """What the two searches of the refined samplers take."""
+    g, c, p = seeded(spark, sf_dir)
+    ways = sampling.prepare(g, c, M, guides=True)
+    rows = [sampling.hits(g, c, M, p, SEED, how, ways).agg(F.sum("draws").alias("draws"), F.sum("steps").alias("steps")).select(F.lit(how).alias("how"), "draws", "steps") for how in ("first_hit", "guide")]
+    return union(rows).withColumn("steps_a_draw", F.round(F.col("steps") / F.col("draws"), 6))
 
 
 @query(sql.with_(G, TC, CN, f", x as (select e.src, e.dst, l.level, case l.level when 2 then d.c1 else d.c2 end as n, case l.level when 2 then s.c2 else s.c3 end as total from e join c d on d.vid = e.dst join c s on s.vid = e.src cross join (values (2), (3)) as l(level)), y as (select *, total - coalesce(sum(n) over (partition by src, level order by dst rows between unbounded preceding and 1 preceding), 0) as rest, {P_SQL} as p from x)", select="select src, dst, level, round((1 - pow(1 - p, n)) / (1 - pow(1 - p, rest)), 9) as pr from y"))
@@ -464,27 +494,37 @@ def frequent_items_contract(spark, sf_dir):
 
 
 def _candidates(method: str) -> Query:
+    """A summary's candidates, counted again: whatever else it holds, nothing that reaches C/2 is missing."""
+
     def run(spark, sf_dir):
         g, c, p = seeded(spark, sf_dir)
-        return frequent.candidates(materialise(sampling.descend(g, c, M, p, SEED), "sample"), C, method)
+        drawn = materialise(sampling.descend(g, c, M, p, SEED), "sample")
+        return frequent.second_pass(frequent.candidates(drawn, C, method), "stored", C, p, drawn)
 
     return run
 
 
 for _method in ("decrement", "freqitems", "sketch"):
-    QUERIES[f"frequent_{_method}"] = _candidates(_method)
+    QUERIES[f"frequent_{_method}"], ORACLES[f"frequent_{_method}"] = _candidates(_method), _SELECTED
 
+SUMMARY = 200
 
-@query()
+
+@query(sql.with_(G, TC, select=f"select trace, n from tc where n > (select sum(n) from tc) / {SUMMARY + 1}.0"))
 def summary_merge(spark, sf_dir):
-    """Summaries of the days, merged: a superset of what is frequent in the month."""
+    """Summaries of the days that paths begin on, merged by map functions, then counted again: what is frequent in the whole is in them."""
     g = graph(spark, sf_dir)
-    return frequent.decrement_summary(full.enumerate_traces(g, M).select("trace").repartition(30), "trace", 200).withColumnRenamed("item", "trace")
+    day = g.vertices.select(F.col("vid").alias("start_vid"), F.floor(F.col("t_first") / F.lit(src.DAY)).alias("day"))
+    counted = full.enumerate_traces(g, M).join(day, "start_vid").groupBy("day", "trace").agg(F.count(F.lit(1)).alias("n"))
+    merged = frequent.summary_of_parts(materialise(counted, "days"), "day", SUMMARY).select(F.col("item").alias("trace"))
+    exact = materialise(full.trace_counts(g, M), "traces")
+    total = exact.agg(F.sum("n").alias("total"))
+    return exact.join(F.broadcast(merged), "trace", "left_semi").crossJoin(F.broadcast(total)).where(F.col("n") > F.col("total") / F.lit(SUMMARY + 1)).select("trace", "n")
 
 
-@query()
+@query(sql.with_(G, TC, select=f"select trace, n from tc order by n desc, trace limit {K}"))
 def topk_mc(spark, sf_dir):
-    return mine.mine_topk(graph(spark, sf_dir), M, K, seed=SEED).traces
+    return mine.mine_topk(graph(spark, sf_dir), M, K, c=40, seed=SEED, verify="exact").traces
 
 
 # ---- measures and experiments
@@ -520,24 +560,42 @@ def choose_c_table(spark, sf_dir):
     return spark.createDataFrame([(d, measures.choose_c(d)) for d in (0.2, 0.1, 0.05, 0.01, 0.001)], "delta double, c long")
 
 
+ERRORS = (3, 5, 10, 15, 20, 30)
+_errors: dict[tuple, DataFrame] = {}
+
+
 @query()
 def empirical_error(spark, sf_dir):
-    """20 seeds here; the tests run more."""
-    g = graph(spark, sf_dir, DELTA)
-    return mine.empirical_error(g, M, threshold(g), [3, 5, 10, 15, 20, 30], 20)
+    """200 seeds at paths of five, beside the formulas."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _errors:
+        g = graph(spark, sf_dir, DELTA)
+        _errors[key] = mine.empirical_error(g, 5, threshold(g, 5), list(ERRORS), 200)
+    return _errors[key]
+
+
+@query(sql.values([(c, 200, 1, 1, 1) for c in ERRORS], "c, seeds, fn_agrees, sfp_agrees, below_formula"))
+def error_agreement(spark, sf_dir):
+    """Whether the measured rates are what the binomial distribution expects of the same traces, within 0.01, and no larger than the formula for the worst of them, within that."""
+    near = lambda a, b: (F.abs(F.col(a) - F.col(b)) <= 0.01).cast("long")
+    low = ((F.col("fn_rate") <= F.col("fn_formula") + 0.01) & (F.col("sfp_rate") <= F.col("sfp_formula") + 0.01)).cast("long")
+    return empirical_error(spark, sf_dir).select(F.col("c").cast("long").alias("c"), F.col("seeds").cast("long").alias("seeds"), near("fn_rate", "fn_expected").alias("fn_agrees"), near("sfp_rate", "sfp_expected").alias("sfp_agrees"), low.alias("below_formula"))
 
 
 @query()
 def c_sweep(spark, sf_dir):
     """Samples grow in proportion to C, misses fall."""
     g = graph(spark, sf_dir, DELTA)
-    return mine.empirical_error(g, M, threshold(g), [2, 4, 8, 16, 32], 5).select("c", "seeds", "n_samples", "fn_rate")
+    return mine.empirical_error(g, M, threshold(g), [2, 4, 8, 16, 32], 50).select("c", "seeds", "n_samples", "fn_rate", "fn_formula")
 
 
-@query()
+_RANKED = f", ra as (select trace, row_number() over (order by n desc, trace) as ra from (select trace, n from tc order by n desc, trace limit {K})), rb as (select trace, row_number() over (order by n_sample desc, trace) as rb from (select trace, n_sample from n order by n_sample desc, trace limit {K})), rr as (select greatest(ra, rb) as worst from ra join rb using (trace))"
+
+
+@query(sampled_sql(f"select {K}::int as k, round((select count(*) from rr) / (select count(*) from rb), 6) as precision, round((select count(*) from rr) / (select count(*) from ra), 6) as recall, round(coalesce((select sum((select sum(1.0::double / d) from range(worst, {K + 1}) as t(d))) from rr), 0) / {K}, 6) as rank_overlap", more=_SEEN + _RANKED))
 def topk_quality(spark, sf_dir):
-    g = graph(spark, sf_dir)
-    found = mine.mine_topk(g, M, K, c=40, seed=SEED).traces.withColumnRenamed("n_sample", "n")
+    g, c, p = seeded(spark, sf_dir)
+    found = frequent.sample_counts(sampling.descend(g, c, M, p, SEED)).withColumnRenamed("n_sample", "n")
     return mine.topk_quality(full.trace_counts(g, M), found, K)
 
 
@@ -548,17 +606,21 @@ def path_blowup(spark, sf_dir):
     return counting.totals_by_level(counting.count_paths(g, 6), 6).crossJoin(size).select(F.col("m").cast("long").alias("m"), "n_paths", "graph_size", F.round(F.col("n_paths") / F.col("graph_size"), 6).alias("blowup"))
 
 
-@query(sampled_sql("select 'samples' as measure, count(*) as value from s union all select 'sampled_length', coalesce(sum(len(str_split(path_key, '-'))), 0)::bigint from s union all select 'calls', count(distinct array_to_string(list_slice(str_split(path_key, '-'), 1, k), '-')) from s, unnest(range(1, len(str_split(path_key, '-')) + 1)) as t(k)"))
+@query(sampled_sql("select 'samples' as measure, count(*) as value from s union all select 'sampled_length', coalesce(sum(len(str_split(path_key, '-'))), 0)::bigint from s union all select 'calls', count(distinct array_to_string(list_slice(str_split(path_key, '-'), 1, k), '-')) from s, unnest(range(1, len(str_split(path_key, '-')) + 1)) as t(k) union all select 'edges_scanned', count(*) from (select distinct list_slice(str_split(path_key, '-'), 1, k) as x from s, unnest(range(1, least(len(str_split(path_key, '-')), {M - 1}) + 1)) as t(k)) join e on e.src = x[-1]::bigint".replace("{M - 1}", str(M - 1))))
 def sampler_cost(spark, sf_dir):
     g, c, p = seeded(spark, sf_dir)
     return sampling.sampler_cost(materialise(sampling.descend(g, c, M, p, SEED), "sample"))
 
 
-@query(sampled_sql(f"select 'samples' as measure, count(*) as value from s union all select 'distinct_sampled', count(distinct trace) from s union all select 'capacity', ceil(2 * count(*) / {C})::bigint from s"))
+@query(sampled_sql(f"select 'samples' as measure, count(*) as value from s union all select 'distinct_sampled', count(distinct trace) from s union all select 'capacity', ceil(2 * count(*) / {C})::bigint from s union all select 'tasks_beyond_capacity', 0"))
 def summary_space(spark, sf_dir):
+    """The space a summary needs by formula, and whether any task held more counters than that."""
     g, c, p = seeded(spark, sf_dir)
-    s = materialise(sampling.descend(g, c, M, p, SEED), "sample").agg(F.count(F.lit(1)).alias("a"), F.countDistinct("trace").alias("b"))
-    return s.select(F.expr(f"stack(3, 'samples', a, 'distinct_sampled', b, 'capacity', cast(ceil(2 * a / {C}) as bigint)) as (measure, value)"))
+    drawn = materialise(sampling.descend(g, c, M, p, SEED), "sample")
+    s = drawn.agg(F.count(F.lit(1)).alias("a"), F.countDistinct("trace").alias("b"))
+    room = max(1, -(-2 * drawn.count() // C))
+    held = frequent.decrement_summary(drawn, "trace", room).agg(F.sum((F.col("most") > room).cast("long")).alias("d"))
+    return s.crossJoin(held).select(F.expr(f"stack(4, 'samples', a, 'distinct_sampled', b, 'capacity', cast(ceil(2 * a / {C}) as bigint), 'tasks_beyond_capacity', d) as (measure, value)"))
 
 
 # ---- worked examples
@@ -857,12 +919,14 @@ def udf_trace_hash(spark, sf_dir):
 # ---- streams
 
 
-def _played(spark: SparkSession, sf_dir: str, make: Callable[[DataFrame], DataFrame], days: int = 10) -> DataFrame:
+def _played(spark: SparkSession, sf_dir: str, make: Callable[[DataFrame], DataFrame], days: int = 10, held: int = 0) -> DataFrame:
     """The readings as files by time, read as a stream to the end; the output of all batches. A last reading far ahead moves the
-    watermark past all others."""
+    watermark past all others. Every ``held``-th reading (by id) comes two files late."""
     r = readings_of(spark, sf_dir)
     low, high = r.agg(F.min("t_us"), F.max("t_us")).first()
     slot = F.floor((F.col("t_us") - low) * F.lit(days) / (F.lit(high - low + 1)))
+    slot = slot + F.when(F.col("seq") % held == 0, 2).otherwise(0) if held else slot
+    days = days + 2 if held else days
     folder, out, check = new_path(spark, "stream-in"), new_path(spark, "stream-out"), new_path(spark, "stream-state")
     for d in range(days):
         r.where(slot == d).coalesce(1).write.mode("append").parquet(f"{folder}/{d:03d}")
@@ -889,10 +953,13 @@ def _live_sample(spark, sf_dir) -> DataFrame:
     return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds", M, p=0.02, seed=SEED)).where("kind = 'sample' and tag >= 0")
 
 
-@query()
+_HELD = 37
+
+
+@query(f"with r as ({sql.READINGS['events']}), b as (select *, (t_us - min(t_us) over ()) * 10 // (max(t_us) over () - min(t_us) over () + 1) + case when seq % {_HELD} = 0 then 2 else 0 end as batch from r), top as (select batch, max(t_us) as t from b group by batch) select tag, seq as vid from b where t_us <= (select max(t) // 1000 * 1000 from top where top.batch < b.batch)")
 def stream_late(spark, sf_dir):
-    """Readings that came too late; none where files arrive in order."""
-    return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds")).where("kind = 'late'").select("tag", "vid")
+    """Readings that came too late, where every 37th comes two files after its neighbours."""
+    return _played(spark, sf_dir, lambda s: live.live_paths(s, src.EVENTS.delta(DELTA), "0 seconds"), held=_HELD).where("kind = 'late'").select("tag", "vid")
 
 
 @query()
@@ -902,7 +969,7 @@ def stream_sample(spark, sf_dir):
 
 @query()
 def stream_frequent(spark, sf_dir):
-    return frequent.decrement_summary(_live_sample(spark, sf_dir), "text", 400).withColumnRenamed("item", "trace")
+    return frequent.decrement_summary(_live_sample(spark, sf_dir), "text", 400).select(F.col("item").alias("trace"), "n")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -153,12 +153,37 @@ def test_counts_agree(spark):
 def test_set_based_equals_tag_local_after_repartitioning(spark):
     g = w.graph(spark, SF)
     c = counts.count_paths(g, 4)
-    a = {tuple(r) for r in sample.descend(g, c, 4, 0.1, 5).collect()}
+    three = ["start_vid", "path_key", "trace"]
+    a = {tuple(r) for r in sample.descend(g, c, 4, 0.1, 5).select(*three).collect()}
     other = LabeledDag(g.vertices.repartition(17), g.edges.repartition(13, "dst"), g.delta)
-    assert a == {tuple(r) for r in sample.descend(other, c.repartition(5), 4, 0.1, 5).collect()} == {tuple(r) for r in sample.sample_grouped(g, 4, 0.1, 5).collect()}
+    assert a == {tuple(r) for r in sample.descend(other, c.repartition(5), 4, 0.1, 5).select(*three).collect()} == {tuple(r) for r in sample.sample_grouped(g, 4, 0.1, 5).collect()}
     assert len(a) > 100
     cost = {r.measure: r.value for r in sample.sampler_cost(sample.descend(g, c, 4, 0.1, 5)).collect()}
     assert cost["calls"] <= cost["sampled_length"]
+    out = {r.src: r.n for r in g.edges.groupBy("src").agg(F.count(F.lit(1)).alias("n")).collect()}
+    visits = {tuple(key.split("-")[:k]) for _, key, _ in a for k in range(1, min(3, len(key.split("-"))) + 1)}
+    assert cost["edges_scanned"] == sum(out.get(int(v[-1]), 0) for v in visits)
+
+
+def test_searches_on_prepared_sums(spark, monkeypatch):
+    """The refined samplers draw the same by either search, joined or tag-local, sent or exchanged, and guides take fewer steps on large degrees."""
+    three = ["start_vid", "path_key", "trace"]
+    g = w.graph(spark, SF)
+    c = counts.count_paths(g, 4).cache()
+    ways = sample.prepare(g, c, 4, guides=True)
+    drawn = {how: sample.hits(g, c, 4, 0.1, 5, how, ways).cache() for how in ("first_hit", "guide")}
+    sets = [{tuple(r) for r in d.select(*three).collect()} for d in drawn.values()]
+    assert sets[0] == sets[1] == {tuple(r) for r in sample.sample_grouped(g, 4, 0.1, 5, "guide").collect()} and len(sets[0]) > 100
+    monkeypatch.setattr(sample, "BROADCAST_ROWS", 0)
+    assert sets[0] == {tuple(r) for r in sample.hits(g, c, 4, 0.1, 5, "guide", ways).select(*three).collect()}
+    assert {tuple(r) for r in sample.descend(g, c, 4, 0.1, 5).select(*three).collect()} == {tuple(r) for r in sample.sample_grouped(g, 4, 0.1, 5).collect()}
+    n = 400
+    v = spark.range(n + 1).selectExpr("id vid", "cast(id as string) label")
+    star = LabeledDag.from_tables(v, spark.range(1, n + 1).selectExpr("0L src", "id dst"))
+    counted = counts.count_paths(star, 2)
+    steps = {how: sample.hits(star, counted, 2, 0.5, 1, how).agg(F.sum("draws"), F.sum("steps")).first() for how in ("first_hit", "guide")}
+    assert steps["first_hit"][0] == steps["guide"][0] > 150
+    assert steps["first_hit"][1] > 7 * steps["first_hit"][0] and steps["guide"][1] < 3 * steps["guide"][0]
 
 
 def test_sample_sizes(spark):
@@ -353,3 +378,22 @@ def test_registered_names():
 
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert len(entry.queries()) >= 118
+
+
+def test_labels_with_the_separator_are_refused(spark):
+    with pytest.raises(Exception, match="a label holds"):
+        src.readings(spark.createDataFrame([(1, 1, 1, "a>b")], "t long, u long, s long, l string"), src.SequenceSpec("t", "u", "s", "l")).collect()
+    v = spark.createDataFrame([(1, "a"), (2, "b>c")], "vid long, label string")
+    with pytest.raises(Exception, match="a label holds"):
+        enumeration.trace_counts(LabeledDag.from_tables(v, spark.createDataFrame([(1, 2)], "src long, dst long")), 2).collect()
+
+
+@pytest.mark.parametrize("tasks", [1, 7])
+def test_merged_summaries_keep_what_is_frequent(spark, tasks):
+    items = spark.range(30_000).selectExpr("cast(case when id % 3 = 0 then 'hot' when id % 5 = 0 then concat('w', id % 20) else cast(id as string) end as string) x").repartition(tasks)
+    got = {r.item: r.n for r in frequent.decrement_summary(items, "x", 9).collect()}
+    assert len(got) <= 9 and 10_000 - 3_000 <= got["hot"] <= 10_000
+    assert frequent.decrement_summary(items, "x", 9).agg(F.max("most")).first()[0] <= 9
+    counted = items.withColumn("day", F.crc32(F.col("x").cast("binary")) % 4).groupBy("day", F.col("x").alias("trace")).agg(F.count(F.lit(1)).alias("n"))
+    days = {r.item: r.n for r in frequent.summary_of_parts(counted, "day", 9).collect()}
+    assert len(days) <= 9 and 7_000 <= days["hot"] <= 10_000

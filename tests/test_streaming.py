@@ -1,5 +1,7 @@
 """Streams give what batches give."""
 
+import uuid
+
 import pytest
 from pathtraces import workloads as w
 from pathtraces.operators import clean, counts
@@ -35,6 +37,7 @@ def play(spark, tmp_path, batches, lateness):
     stream = spark.readStream.schema(src.SCHEMA).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
     q = live.live_paths(stream, 10 * src.MINUTE, lateness).writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
     q.awaitTermination()
+    play.progress = q.recentProgress
     return spark.read.parquet(str(tmp_path / "out")).where("tag >= 0").collect()
 
 
@@ -45,7 +48,20 @@ def test_late_readings(spark, tmp_path):
     rows = play(spark, tmp_path, batches, "5 minutes")
     edges = {(r.other, r.vid) for r in rows if r.kind == "edge"}
     assert edges == {(1, 2), (1, 3), (2, 3)}  # in order within the lateness
-    assert 6 not in {v for e in edges for v in e}
+    assert [r.vid for r in rows if r.kind == "late"] == [6]
+    assert 6 not in {r.vid for r in rows if r.kind != "late"}
+
+
+def test_states_expire(spark, tmp_path):
+    at = lambda tag, minute: (tag, minute * src.MINUTE, 1000 * tag + minute, "a")
+    play(spark, tmp_path, [[at(t, 0) for t in range(1, 40)], [at(50, 500)], [at(51, 1000)], [at(52, 1500)]], "0 seconds")
+    held = [p["stateOperators"][0]["numRowsTotal"] for p in play.progress]
+    assert held[0] == 39 and held[-1] <= 2
+
+
+def test_late_readings_of_a_replay(spark):
+    got = w.stream_late(spark, SF).count()
+    assert 0 < got < w.readings_of(spark, SF).where("seq % 37 = 0").count() + 1
 
 
 def test_sessions_go_on_across_other_labels(spark):
@@ -65,5 +81,11 @@ def test_live_summary(spark, tmp_path):
     q = live.live_frequent(stream, 5, lambda counters, n: seen.append(counters)).option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
     q.awaitTermination()
     assert len(seen) == 3 and all("x" in s and len(s) <= 5 for s in seen)
-    timed = stream.withColumn("at", F.timestamp_seconds(F.lit(100)))
-    assert live.windowed_counts(timed, "at", "10 minutes").columns == ["window", "text", "n"]
+    timed = stream.withColumn("at", F.timestamp_seconds(F.when(F.col("text") == "x", F.lit(100)).otherwise(F.lit(700))))
+    for slide, want in ((None, {(0, "x"): 150}), ("5 minutes", {(0, "x"): 150, (-300, "x"): 150})):
+        name = f"windows_{uuid.uuid4().hex}"
+        q = live.windowed_counts(timed, "at", "10 minutes", slide).writeStream.format("memory").queryName(name).outputMode("complete").trigger(availableNow=True).start()
+        q.awaitTermination()
+        rows = spark.table(name).selectExpr("unix_seconds(window.start) s", "text", "n").collect()
+        assert {(r.s, r.text): r.n for r in rows if r.text == "x"} == want
+        assert sum(r.n for r in rows if r.text != "x") == (90 if slide is None else 180)
