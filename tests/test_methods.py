@@ -183,7 +183,7 @@ def test_searches_on_prepared_sums(spark, monkeypatch):
     counted = counts.count_paths(star, 2)
     steps = {how: sample.hits(star, counted, 2, 0.5, 1, how).agg(F.sum("draws"), F.sum("steps")).first() for how in ("first_hit", "guide")}
     assert steps["first_hit"][0] == steps["guide"][0] > 150
-    assert steps["first_hit"][1] > 7 * steps["first_hit"][0] and steps["guide"][1] < 3 * steps["guide"][0]
+    assert steps["first_hit"][1] > 1400 and steps["guide"][1] < 700  # some 200 hits among 400 children
 
 
 def test_sample_sizes(spark):
