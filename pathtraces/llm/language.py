@@ -13,9 +13,8 @@ beside id and text are ignored."""
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
+import regex
 import zstandard
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -25,7 +24,7 @@ from pathtraces.llm.common import parts, spill
 PER_LANGUAGE, TEXT_BYTES, DICTIONARY_BYTES, LEVEL = 600, 16_000, 112_000, 3
 SHORT_BYTES, SHORT_LEVEL = 600, 19
 MARGIN, SHARPNESS = 0.02, 60.0
-_OTHER = re.compile(r"[\W\d_]+")
+_OTHER = regex.compile(r"\P{L}+")
 
 
 def plain(text: str) -> str:

@@ -69,8 +69,8 @@ def mixing_plan(docs: DataFrame, id: str = "doc_id", text: str = "text", source:
 
 def mixed(docs: DataFrame, id: str = "doc_id", text: str = "text", source: str = "source", **settings) -> DataFrame:
     """The mix itself: each row as often as it is taken, and cut to its first words where a fraction of it is. Rows without
-    words stay once. Needs unique ids (rows that share one are each taken as the first of them)."""
-    plan = mixing_plan(docs, id, text, source, **settings).groupBy(F.col(id).alias("__id")).agg(F.first("size").alias("__size"), F.first("taken").alias("__taken"))
+    words stay once. Needs unique ids (rows that share one are each taken as the one of the fewest words)."""
+    plan = mixing_plan(docs, id, text, source, **settings).groupBy(F.col(id).alias("__id")).agg(F.min(F.struct("size", "taken")).alias("__mix")).select("__id", F.col("__mix.size").alias("__size"), F.col("__mix.taken").alias("__taken"))
     rows = docs.join(plan, F.col(id).eqNullSafe(F.col("__id")))
     whole = F.when(F.col("__size") > 0, F.floor(F.col("__taken") / F.col("__size"))).otherwise(1).cast("int")
     part = F.when(F.col("__size") > 0, F.col("__taken") % F.col("__size")).otherwise(0)

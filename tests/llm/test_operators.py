@@ -354,6 +354,7 @@ def test_language(docs, spark):
     assert (got.lang == got.lang_pred).mean() > 0.95 and got.score.between(0, 1).all()
     odd = {r.doc_id: (r.lang_pred, r.score) for r in language.languages(docs, model).collect()}
     assert odd[1000] == odd[1001] == odd[1002] == ("und", 0.0)
+    assert all(model.judge(t)[:2] == ("und", 0.0) for t in ("½ ² ① Ⅷ", "12 _ ³", "٣"))
     assert {r.lang_pred for r in language.languages(docs, language.train(docs.limit(0), fold != 0)).collect()} == {"und"}
 
 
