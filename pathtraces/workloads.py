@@ -566,15 +566,15 @@ _errors: dict[tuple, DataFrame] = {}
 
 @query()
 def empirical_error(spark, sf_dir):
-    """200 seeds at paths of five, beside the formulas."""
+    """100 seeds at paths of three, beside the formulas."""
     key = (spark.sparkContext.applicationId, sf_dir)
     if key not in _errors:
         g = graph(spark, sf_dir, DELTA)
-        _errors[key] = mine.empirical_error(g, 5, threshold(g, 5), list(ERRORS), 200)
+        _errors[key] = mine.empirical_error(g, M, threshold(g), list(ERRORS), 100)
     return _errors[key]
 
 
-@query(sql.values([(c, 200, 1, 1, 1) for c in ERRORS], "c, seeds, fn_agrees, sfp_agrees, below_formula"))
+@query(sql.values([(c, 100, 1, 1, 1) for c in ERRORS], "c, seeds, fn_agrees, sfp_agrees, below_formula"))
 def error_agreement(spark, sf_dir):
     """Whether the measured rates are what the binomial distribution expects of the same traces, within 0.01, and no larger than the formula for the worst of them, within that."""
     near = lambda a, b: (F.abs(F.col(a) - F.col(b)) <= 0.01).cast("long")
@@ -586,7 +586,7 @@ def error_agreement(spark, sf_dir):
 def c_sweep(spark, sf_dir):
     """Samples grow in proportion to C, misses fall."""
     g = graph(spark, sf_dir, DELTA)
-    return mine.empirical_error(g, M, threshold(g), [2, 4, 8, 16, 32], 50).select("c", "seeds", "n_samples", "fn_rate", "fn_formula")
+    return mine.empirical_error(g, M, threshold(g), [2, 4, 8, 16, 32], 20).select("c", "seeds", "n_samples", "fn_rate", "fn_formula")
 
 
 _RANKED = f", ra as (select trace, row_number() over (order by n desc, trace) as ra from (select trace, n from tc order by n desc, trace limit {K})), rb as (select trace, row_number() over (order by n_sample desc, trace) as rb from (select trace, n_sample from n order by n_sample desc, trace limit {K})), rr as (select greatest(ra, rb) as worst from ra join rb using (trace))"
