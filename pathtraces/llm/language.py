@@ -2,8 +2,8 @@
 
 Texts are brought to lower-case words first: whatever is no letter becomes one space. Each language has a raw-content zstandard
 dictionary: training texts, one after the other, from a bounded sample in the order of a hash (``PER_LANGUAGE`` distinct texts, of
-longer ones the first ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with each, short ones at a level that
-searches longer; the smallest result wins. The frames' fixed costs are taken off by compressing nothing with the same settings. A text that
+longer ones the first ``TEXT_BYTES``, together ``DICTIONARY_BYTES``). A text is compressed once with each, all at one level;
+the smallest result wins. The frames' fixed costs are taken off by compressing nothing with the same settings. A text that
 saves too little against the runner-up is marked ``rejected``: its prediction stands, with a low score. The score is the share
 the winner gets when every saved byte per kilobyte counts as evidence, from 0 to 1.
 
@@ -21,8 +21,7 @@ from pyspark.sql import functions as F
 
 from pathtraces.llm.common import parts, spill
 
-PER_LANGUAGE, TEXT_BYTES, DICTIONARY_BYTES, LEVEL = 600, 16_000, 112_000, 3
-SHORT_BYTES, SHORT_LEVEL = 600, 19
+PER_LANGUAGE, TEXT_BYTES, DICTIONARY_BYTES, LEVEL = 600, 16_000, 112_000, 6
 MARGIN, SHARPNESS = 0.02, 60.0
 _OTHER = regex.compile(r"\P{L}+")
 
@@ -63,23 +62,20 @@ class Compressors:
     def ready(self) -> list:
         if self._ready is None:
             self._ready = []
-            for level in (self.level, SHORT_LEVEL):
-                row = []
-                for lang in self.langs:
-                    data = zstandard.ZstdCompressionDict(self.content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-                    data.precompute_compress(level=level)
-                    row.append(zstandard.ZstdCompressor(dict_data=data, write_checksum=False, write_content_size=False, write_dict_id=False))
-                self._ready.append(row)
-            self.fixed = len(self._ready[0][0].compress(b"")) if self.langs else 0
+            for lang in self.langs:
+                data = zstandard.ZstdCompressionDict(self.content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+                data.precompute_compress(level=self.level)
+                self._ready.append(zstandard.ZstdCompressor(dict_data=data, write_checksum=False, write_content_size=False, write_dict_id=False))
+            self.fixed = len(self._ready[0].compress(b"")) if self.langs else 0
         return self._ready
 
     def judge(self, text: str | None) -> tuple[str, float, bool]:
         """Language, score, whether the margin is too narrow to trust it."""
-        long, short = self.ready()
+        ready = self.ready()
         raw = plain(text or "").encode()
-        if not long or not raw.strip():
+        if not ready or not raw.strip():
             return "und", 0.0, True
-        sizes = np.array([len(c.compress(raw)) for c in (short if len(raw) < SHORT_BYTES else long)], float) - self.fixed
+        sizes = np.array([len(c.compress(raw)) for c in ready], float) - self.fixed
         best = int(sizes.argmin())
         gaps = (sizes - sizes[best]) / max(1.0, sizes.max())
         evidence = np.exp(-SHARPNESS * gaps)

@@ -1,23 +1,27 @@
 """Licence scans with DataFrame functions only.
 
-A paragraph (a line) is classified by multinomial logistic regression over its word n-grams (one to three words, present or not). The classes are
+A paragraph (a line, with those that it is wrapped into: a break after ``WRAPPED`` printable characters that end in no stop, before more text, is a
+space) is classified by multinomial logistic regression over its word n-grams (one to three words, present or not). The classes are
 licence families, ``unknown`` (a licence of no listed family) and ``none``. The model is trained on the driver, from notices that are
 made by rule: the families' names in the usual frames, sentences of the licences' texts, invented licences, and sentences that use the
 same words otherwise. Only n-grams that hold a telling word (one of the notices that is no function word) are features, so a
 paragraph without telling words has none, scores as ``none``, and is set aside by one array test before anything is exploded. A
-temperature fitted on frames left out of training calibrates the probabilities; below ``CERTAIN`` a family becomes ``unknown``.
+temperature calibrates the probabilities; it is fitted on a model that has not seen some of the names (``HELD_OUT``), with these names in frames
+that no model has seen. Below ``CERTAIN`` a family becomes ``unknown``; ties go to the first class of the model's list.
 
 A predicted family is confirmed by comparison with its templates: the share of a template's n-grams that the paragraph holds must reach
-``CONFIRM`` for one of them. Unconfirmed families become ``unknown`` too.
+``CONFIRM`` for one of them; a name of one word is no template by itself, only with the words of a notice. Unconfirmed families become ``unknown`` too.
 
 Null and empty texts have no paragraphs and no licence. The result has a row for every row of the table: rows that share an id share their
-paragraphs (each counts). Rows of a null id are matched among each other. Very long texts are read whole. Columns beside id and text are ignored."""
+paragraphs (each counts). Rows of a null id are matched among each other. Very long texts are read whole. Columns beside id and text are ignored,
+whatever their names."""
 
 from __future__ import annotations
 
 import functools
 import json
 import re
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -60,21 +64,30 @@ BACKGROUND = ["The general public may use this version of the work.", "A driving
 FRAMES = ["Licensed under the {}.", "Licensed under {}.", "Released under the {}.", "This work is licensed under the {}.", "This work is licensed under {}", "Distributed under the terms of the {}", "SPDX-License-Identifier: {}", "This file is made available under the {}", "License: {}", "The code is covered by the {}, see the file for details", "{}"]
 HELD_OUT_FRAMES = ["This project is published under the {}.", "Available under the {}", "Copyright the authors. Licensed under the {}.", "You may copy this text under the {}"]
 _STOP = {*COMMON_WORDS, "you", "may", "any", "its", "as", "were", "we", "are", "here", "see", "these", "met", "read", "new", "no"}
+SHORT_FRAMES = ["Licensed under {}", "under the {}", "License: {}", "{} License", "SPDX-License-Identifier: {}"]
+HELD_OUT = {names[1] for names in FAMILIES.values()} | set(OTHER_NAMES[::3])
+WRAPPED = 40
 _TOKEN = r"[a-z0-9]+(?:\.[0-9]+)*"
+_FULL = rf"[\x20-\x7E]{{{WRAPPED - 1}}}[\x22-\x2D\x2F-\x39\x3C-\x3E\x40-\x7E]"  # ends in none of . ! ? : ;
+_WRAP = rf"\n(?:(?<={_FULL}\n)|(?<={_FULL}\r\n))(?=[ \t]*[\x21-\x7E])"
 
 
 def words_of(text: str) -> list[str]:
     return re.findall(_TOKEN, text.lower())
 
 
+def paragraphs_of(text: str) -> list[str]:
+    return re.sub(_WRAP, " ", text).split("\n")
+
+
 def grams_of(words: list[str]) -> set[str]:
     return {" ".join(words[a : a + n]) for n in range(1, LONGEST + 1) for a in range(len(words) - n + 1)}
 
 
-def notices(frames: list[str], whole: bool) -> list[tuple[str, str]]:
-    """(class, text) for training (``whole``: with sentences and background) or calibration."""
-    made = [(family, frame.format(name)) for family, names in FAMILIES.items() for name in names for frame in frames]
-    made += [(UNKNOWN, frame.format(name)) for name in OTHER_NAMES for frame in frames]
+def notices(frames: list[str], whole: bool, names_of: Callable[[str], bool] = lambda name: True) -> list[tuple[str, str]]:
+    """(class, text) for training (``whole``: with sentences and background) or calibration, of the names that ``names_of`` lets through."""
+    made = [(family, frame.format(name)) for family, names in FAMILIES.items() for name in filter(names_of, names) for frame in frames]
+    made += [(UNKNOWN, frame.format(name)) for name in filter(names_of, OTHER_NAMES) for frame in frames]
     if whole:
         made += [(family, s) for family, sentences in SENTENCES.items() for s in sentences for _ in range(5)]
         made += [(UNKNOWN, s) for s in OTHER_SENTENCES for _ in range(5)] + [(NONE, s) for s in BACKGROUND for _ in range(8)] + [(NONE, "")] * 40
@@ -82,10 +95,10 @@ def notices(frames: list[str], whole: bool) -> list[tuple[str, str]]:
 
 
 class LicenceModel:
-    """Weights by n-gram, per class; plain data that becomes a small table."""
+    """Weights by n-gram, per class; plain data that becomes a small table. ``blind``: trained without the names of ``HELD_OUT``."""
 
-    def __init__(self, rounds: int = 400, rate: float = 4.0, shrink: float = 2e-5):
-        rows = [(c, words_of(t)) for c, t in notices(FRAMES, True)]
+    def __init__(self, rounds: int = 400, rate: float = 4.0, shrink: float = 2e-5, blind: bool = False):
+        rows = [(c, words_of(t)) for c, t in notices(FRAMES, True, lambda name: not blind or name not in HELD_OUT)]
         self.classes = [NONE, UNKNOWN, *FAMILIES]
         self.telling = sorted({w for c, ws in rows if c != NONE for w in ws if w not in _STOP and not w.isdigit()})
         telling = set(self.telling)
@@ -107,9 +120,10 @@ class LicenceModel:
         used = np.abs(w).sum(axis=1) > 0
         self.weights = {g: w[k].tolist() for k, g in enumerate(names) if used[k]}
         self.bias = b.tolist()
-        self.temperature = self._fit_temperature()
+        self.temperature = self._fit_temperature() if blind else LicenceModel(rounds, rate, shrink, blind=True).temperature
         # a template is what a frame leaves of a name, or a sentence
-        self.templates = [(c, t) for c, names_ in FAMILIES.items() for t in names_] + [(c, t) for c, ts in SENTENCES.items() for t in ts]
+        told = [(c, t) for c, names_ in FAMILIES.items() for name in names_ for t in ([name] if len(words_of(name)) > 1 else [f.format(name) for f in SHORT_FRAMES])]
+        self.templates = told + [(c, t) for c, ts in SENTENCES.items() for t in ts]
 
     @staticmethod
     def _softmax(z: np.ndarray) -> np.ndarray:
@@ -121,8 +135,8 @@ class LicenceModel:
         return np.array(self.bias) + np.sum([self.weights.get(g, zero) for g in sorted(grams_of(words_of(text)))] or [zero], axis=0)
 
     def _fit_temperature(self) -> float:
-        """The one of a ladder that makes the notices in new frames likeliest."""
-        held = notices(HELD_OUT_FRAMES, False)
+        """The one of a ladder that makes notices of new names in new frames likeliest."""
+        held = notices(HELD_OUT_FRAMES, False, HELD_OUT.__contains__)
         z, y = np.array([self.raw(t) for _, t in held]), [self.classes.index(c) for c, _ in held]
         return min((0.5, 0.7, 1.0, 1.4, 2.0, 2.8, 4.0), key=lambda t: -np.log(self._softmax(z / t)[range(len(y)), y] + 1e-12).mean())
 
@@ -156,9 +170,9 @@ def _gram(n: int):
 
 
 def licence_paragraphs(docs: DataFrame, id: str = "doc_id", text: str = "text", trained: LicenceModel | None = None) -> DataFrame:
-    """``id``, ``paragraph`` (number of the line), ``licence`` (a family or ``unknown``), ``score``, ``confirmed``: the paragraphs that aren't ``none``."""
+    """``id``, ``paragraph`` (its number, from 0, empty ones counted), ``licence`` (a family or ``unknown``), ``score``, ``confirmed``: the paragraphs that aren't ``none``."""
     m, spark = trained or model(), docs.sparkSession
-    lines = docs.select(F.col(id).alias("id"), F.posexplode(F.split(text, "\n")).alias("paragraph", "line"), F.monotonically_increasing_id().alias("row"))
+    lines = docs.select(F.col(id).alias("id"), F.posexplode(F.split(F.regexp_replace(text, _WRAP, " "), "\n")).alias("paragraph", "line"), F.monotonically_increasing_id().alias("row"))
     told = lines.select("id", "row", "paragraph", _words(F.col("line")).alias("words")).where(F.arrays_overlap("words", F.array(*map(F.lit, m.telling))))
     grams = [F.transform(F.sequence(F.lit(1), F.size("words") - (n - 1)), _gram(n)) for n in range(1, LONGEST + 1)]
     grams = [F.when(F.size("words") >= n, g).otherwise(F.array().cast("array<string>")) for n, g in enumerate(grams, 1)]

@@ -358,6 +358,40 @@ def test_language(docs, spark):
     assert {r.lang_pred for r in language.languages(docs, language.train(docs.limit(0), fold != 0)).collect()} == {"und"}
 
 
+def test_language_whatever_the_rows(spark):
+    """Repeated rows alike, ties to the language of more texts, then by code point, extra columns ignored, an empty table empty."""
+    model = language.Compressors({"bb": (3, ["one same text"]), "cc": (5, ["one same text"]), "aa": (3, ["one same text"])})
+    assert model.langs == ["cc", "aa", "bb"] and model.judge("same text") == ("cc", pytest.approx(1 / 3), True)
+    names = ["id", "lang_pred", "score", "rejected", "lang"]
+    table = spark.createDataFrame([(k % 2, t, *names) for k, t in enumerate(["same text", "same text", None, "one " * 300_000])], "doc_id long, text string, " + ", ".join(f"{n} string" for n in names))
+    got = language.languages(table, model)
+    assert got.columns == ["doc_id", "lang_pred", "score", "rejected"]
+    assert sorted((r.doc_id, r.lang_pred) for r in got.collect()) == [(0, "cc"), (0, "und"), (1, "cc"), (1, "cc")]
+    assert language.languages(table.limit(0), model).count() == 0
+
+
+def test_language_equals_plain(docs, spark):
+    """The judgement, made anew: the least growth over an empty text, by a fresh compressor for each text and language."""
+    import zstandard
+
+    model = language.train(spark.read.parquet(f"{SF}/documents.parquet"), queries.fold("doc_id", 5) != 0)
+    texts = [(r.doc_id, r.text) for r in docs.collect()]
+    want = []
+    for d, t in texts:
+        words = " ".join(["", *re.findall(r"[^\W\d_]+", (t or "").lower()), ""]).encode()
+        if not words.strip():
+            want.append((d, "und"))
+            continue
+        size = {}
+        for lang in model.langs:
+            data = zstandard.ZstdCompressionDict(model.content[lang], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            size[lang] = len(zstandard.ZstdCompressor(level=language.LEVEL, dict_data=data, write_checksum=False, write_content_size=False, write_dict_id=False).compress(words))
+        want.append((d, min(model.langs, key=size.get)))
+    got = [(r.doc_id, r.lang_pred) for r in language.languages(docs, model).collect()]
+    agree = len(Counter(got) & Counter(want)) and sum((Counter(got) & Counter(want)).values())
+    assert len(got) == len(want) and agree >= 0.97 * len(want)
+
+
 def test_language_sample_of_copies_and_long_texts(spark):
     copies = [(k, "one same text", "aa") for k in range(4000)] + [(k, f"text {k % 30}", "aa") for k in range(60)]
     long = [(k, f"langer text {k} " * 4000, "bb") for k in range(3)]
