@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from pathtraces.operators.slabs import WIDTH, with_previous, with_running
+from pathtraces.operators.slabs import WIDTH, chained
 
 MODES = ("raw", "collapse", "full")
 
@@ -20,10 +20,14 @@ def vertices_of(r: DataFrame) -> DataFrame:
 
 def _merged(v: DataFrame, delta: int, width: int = WIDTH) -> DataFrame:
     """Neighbours of one label, no more than ``delta`` apart, become one vertex, named after its first."""
-    seen = with_previous(v, delta, ["label", "t_last"], width)
-    gap = F.coalesce(F.col("t_first") - F.col("previous.t_last") > F.lit(delta), F.lit(True))
-    marked = seen.withColumn("gap", gap.cast("int")).withColumn("starts", (gap | (F.col("previous.label") != F.col("label"))).cast("int")).drop("previous")
-    runs = with_running(marked, {"run": "starts", "session": "gap"})
+
+    def gap(previous: Column, row: Column) -> Column:
+        return F.coalesce(row["t_first"] - previous["t_last"] > F.lit(delta), F.lit(True))
+
+    def starts(previous: Column, row: Column) -> Column:
+        return gap(previous, row) | (previous["label"] != row["label"])
+
+    runs = chained(v, delta, ["label", "t_first", "t_last"], {"run": starts, "session": gap}, width)
     first = F.min(F.struct("t_first", "vid"))
     out = runs.groupBy("tag", "session", "run").agg(first.alias("first"), F.max("t_last").alias("t_last"), F.first("label").alias("label"), F.sum("n_readings").cast("int").alias("n_readings"))
     return out.select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings", "session", "run")

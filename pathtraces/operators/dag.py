@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from pathtraces.functions.columns import whole_label
 from pathtraces.operators.clean import clean
-from pathtraces.operators.slabs import WIDTH, slab_of, with_previous, with_running
+from pathtraces.operators.slabs import WIDTH, chained, slab_of
 from pathtraces.plans.storage import materialise
 
 STRATEGIES = ("window", "point", "bucket_join", "theta", "grouped")
@@ -19,9 +19,8 @@ _PAYLOAD = ("vid", "label", "t_first", "t_last", "value")
 
 def sessions(v: DataFrame, delta: int, width: int = WIDTH) -> DataFrame:
     """``v`` with the number of its tag's session: edges never cross a silence longer than ``delta``."""
-    seen = with_previous(v, delta, ["t_last"], width)
-    cut = F.coalesce(F.col("t_first") - F.col("previous.t_last") > F.lit(delta), F.lit(True))
-    return with_running(seen.withColumn("cut", cut.cast("int")), {"session": "cut"}).select(*v.columns, "session")
+    cut = {"session": lambda previous, row: F.coalesce(row["t_first"] - previous["t_last"] > F.lit(delta), F.lit(True))}
+    return chained(v, delta, ["t_first", "t_last"], cut, width).select(*v.columns, "session")
 
 
 def _linked(a: str, b: str, delta: int) -> Column:
