@@ -46,7 +46,12 @@ def overlap_label(x: Column, y: Column, scheme: str = "text", base: int = 100) -
 
 
 def merge_overlaps(v: DataFrame, delta: int, scheme: str = "text", respect_gap: bool = True, width: int = WIDTH) -> DataFrame:
-    """``v``: runs. Where two labels alternate over four runs or more, the leftmost even number of them becomes one vertex.
+    """``v``: runs. Where two labels alternate over four runs or more, the leftmost even number of them becomes one vertex."""
+    return _units(v, delta, scheme, respect_gap, width).select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings")
+
+
+def _units(v: DataFrame, delta: int, scheme: str, respect_gap: bool, width: int) -> DataFrame:
+    """Blocks and single runs, numbered by ``unit`` in the order of their session.
 
     Runs equal to the one two before form stretches; neighbouring stretches share one run at most, and who comes first
     takes it, which is a fold over the stretches of a session, a short list."""
@@ -71,12 +76,21 @@ def merge_overlaps(v: DataFrame, delta: int, scheme: str = "text", respect_gap:
     joined = runs.join(blocks, [*keys, "run"], "left").withColumn("unit", F.coalesce("block", "run"))
     pair = F.col("label").cast("long") if scheme == "numeric" else F.col("label")
     label = F.when(F.max("block").isNotNull(), overlap_label(F.min(pair), F.max(pair), scheme)).otherwise(F.first("label"))
-    units = joined.groupBy(*keys, "unit").agg(F.min(F.struct("t_first", "vid")).alias("first"), F.max("t_last").alias("t_last"), label.alias("label"), F.sum("n_readings").cast("int").alias("n_readings"))
-    return units.select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings")
+    return joined.groupBy(*keys, "unit").agg(F.min(F.struct("t_first", "vid")).alias("first"), F.max("t_last").alias("t_last"), label.alias("label"), F.sum("n_readings").cast("int").alias("n_readings"))
+
+
+def _collapsed_again(units: DataFrame) -> DataFrame:
+    """Neighbouring units of one label and session, which holds no gap, become one vertex."""
+    by = Window.partitionBy("tag", "session").orderBy("unit")
+    marked = units.withColumn("starts", F.coalesce(F.col("label") != F.lag("label").over(by), F.lit(True)).cast("int"))
+    runs = marked.withColumn("run", F.sum("starts").over(by)).groupBy("tag", "session", "run")
+    out = runs.agg(F.min("first").alias("first"), F.max("t_last").alias("t_last"), F.first("label").alias("label"), F.sum("n_readings").cast("int").alias("n_readings"))
+    return out.select(F.col("first.vid").alias("vid"), "tag", F.col("first.t_first").alias("t_first"), "t_last", "label", "n_readings")
 
 
 def clean(r: DataFrame, delta: int, mode: str = "full", scheme: str = "text", respect_gap: bool = True, width: int = WIDTH) -> DataFrame:
-    """Vertices of readings. ``full`` collapses again, as an overlap may stand beside its equal."""
+    """Vertices of readings. ``full`` collapses again, as an overlap may stand beside its equal; sessions of units are those of readings, unless blocks may
+    run across gaps."""
     if mode not in MODES:
         raise ValueError(f"mode is one of {MODES}")
     v = vertices_of(r)
@@ -84,4 +98,6 @@ def clean(r: DataFrame, delta: int, mode: str = "full", scheme: str = "text", re
         return v
     if mode == "collapse":
         return collapse_runs(v, delta, width)
+    if respect_gap:
+        return _collapsed_again(_units(v, delta, scheme, respect_gap, width))
     return collapse_runs(merge_overlaps(v, delta, scheme, respect_gap, width), delta, width)

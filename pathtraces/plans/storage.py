@@ -3,15 +3,20 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import logging
 import uuid
+from collections.abc import Iterator
 
+from py4j.protocol import Py4JError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows that may be sent to every task.
 BROADCAST_ROWS = 200_000
 
-_written: list[tuple[SparkSession, str]] = []
+#: Paths with the JVM and the Hadoop settings to delete them by, which outlive the session.
+_written: list[tuple[object, object, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -25,11 +30,11 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def new_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder, deleted when the driver's process ends."""
+    """A fresh path in the shared folder, deleted at the end of the innermost ``released`` block, or when the driver's process ends."""
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     if not _written:
         atexit.register(release)
-    _written.append((spark, path))
+    _written.append((spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration(), path))
     return path
 
 
@@ -40,15 +45,25 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def release() -> None:
-    """Delete every table that was materialised."""
-    while _written:
-        spark, path = _written.pop()
+def release(keep: int = 0) -> None:
+    """Delete all that was stored, but for the first ``keep`` paths; also after the session has been stopped."""
+    while len(_written) > keep:
+        jvm, settings, path = _written.pop()
         try:
-            at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-        except Exception:  # noqa: BLE001  the session has ended before
-            continue
+            at = jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(settings).delete(at, True)
+        except (Py4JError, OSError) as failed:  # the JVM is gone, or the folder
+            logging.getLogger(__name__).warning("not deleted: %s (%s)", path, type(failed).__name__)
+
+
+@contextlib.contextmanager
+def released() -> Iterator[None]:
+    """What is stored inside the block is deleted at its end: results must have been written or collected by then."""
+    before = len(_written)
+    try:
+        yield
+    finally:
+        release(before)
 
 
 def small(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
