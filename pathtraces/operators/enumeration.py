@@ -76,8 +76,13 @@ def trace_counts_grouped(g: LabeledDag, m: int) -> DataFrame:
 
 
 def label_codes(g: LabeledDag) -> DataFrame:
-    """``label``, ``code``: 1, 2, ... in label order. The window is over one row a label."""
-    return g.vertices.select("label").distinct().select("label", F.row_number().over(Window.orderBy("label")).cast("long").alias("code"))
+    """``label``, ``code``: 1, 2, ... in label order. Labels are numbered within a sorted partition; the labels of the partitions before are added, from one row a
+    partition."""
+    sorted_ = materialise(g.vertices.select("label").distinct().orderBy("label").select("label", F.spark_partition_id().alias("part")), "labels")
+    sizes = sorted_.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
+    before = sizes.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("before"))
+    place = F.row_number().over(Window.partitionBy("part").orderBy("label"))
+    return sorted_.join(F.broadcast(before), "part").select("label", (place + F.col("before")).cast("long").alias("code"))
 
 
 def enumerate_hashes(g: LabeledDag, m: int, keep_trace: bool = False) -> DataFrame:

@@ -397,3 +397,35 @@ def test_merged_summaries_keep_what_is_frequent(spark, tasks):
     counted = items.withColumn("day", F.crc32(F.col("x").cast("binary")) % 4).groupBy("day", F.col("x").alias("trace")).agg(F.count(F.lit(1)).alias("n"))
     days = {r.item: r.n for r in frequent.summary_of_parts(counted, "day", 9).collect()}
     assert len(days) <= 9 and 7_000 <= days["hot"] <= 10_000
+
+
+def test_stored_tables_are_deleted_at_the_end_of_a_block(spark):
+    import os
+
+    from pathtraces.plans import storage
+
+    def there(path):
+        return os.path.exists(path.removeprefix("file:"))
+
+    before = storage.materialise(spark.range(3), "kept")
+    kept = storage._written[-1][-1]
+    with storage.released():
+        assert storage.materialise(spark.range(5), "gone").count() == 5
+        gone = storage._written[-1][-1]
+        assert there(gone)
+    assert not there(gone) and there(kept) and before.count() == 3
+
+
+def test_second_collapse_by_session_equals_the_one_by_slabs(spark):
+    import random
+
+    draw = random.Random(5)
+    rows = [(tag, t, 1000 * tag + k, draw.choice(["x", "y", "x*y"])) for tag in range(6) for k, t in enumerate(sorted(draw.randrange(900) for _ in range(300)))]
+    r = src.literal_readings(spark, rows)
+    joined = 0
+    for delta, width in ((1, 1), (3, 2), (20, 32)):
+        units = clean.merge_overlaps(clean.vertices_of(r), delta, width=width)
+        slabs = sorted(map(tuple, clean.collapse_runs(units, delta, width).collect()))
+        assert sorted(map(tuple, clean.clean(r, delta, width=width).collect())) == slabs
+        joined += units.count() - len(slabs)
+    assert joined > 0  # a reading's own label beside an equal overlap
