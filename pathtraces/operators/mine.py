@@ -58,7 +58,8 @@ def mine_frequency(g: LabeledDag, m: int | None, min_count: float | None = None,
 
 
 def exact_topk(g: LabeledDag, m: int, k: int, min_len: int = 1) -> DataFrame:
-    return trace_counts(g, m, min_len).orderBy(F.desc("n"), "trace").limit(k).select("trace", "n")
+    """``trace``, ``n``, ``support``; ties by text."""
+    return exact_frequency(g, m, min_count=1, min_len=min_len).orderBy(F.desc("n"), "trace").limit(k)
 
 
 def mine_topk(g: LabeledDag, m: int, k: int, method: str = "sample", c: float = 10, seed: int = 42, sampler: str = "descend", strategy: str = "join", verify: str = "none") -> MiningResult:

@@ -341,14 +341,14 @@ def frequency_exact(spark, sf_dir):
     return mine.mine_frequency(g, M, min_count=threshold(g), method="exact").traces
 
 
-@query(sql.with_(G, TC, select=f"select trace, n from tc order by n desc, trace limit {K}"))
+@query(sql.with_(G, TC, select=f"select trace, n, round(n / (select sum(n) from tc), 12) as support from tc order by n desc, trace limit {K}"))
 def topk_exact(spark, sf_dir):
     return mine.mine_topk(graph(spark, sf_dir), M, K, method="exact").traces
 
 
-@query(sql.with_(G, TC, select="select trace, len, n from tc where len > 1"))
+@query(sql.with_(G, TC, select="select trace, n, round(n / sum(n) over (), 12) as support from tc where len > 1"))
 def movements_only(spark, sf_dir):
-    return full.trace_counts(graph(spark, sf_dir), M, min_len=2).select("trace", "len", "n")
+    return mine.exact_frequency(graph(spark, sf_dir), M, min_count=1, min_len=2)
 
 
 # ---- sampling
