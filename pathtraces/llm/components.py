@@ -9,7 +9,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import spill
+from pathtraces.llm.common import by_exchange, spill
+from pathtraces.plans.storage import BROADCAST_ROWS
+
+
+#: Ids alone that may be sent to every task, so that texts stay where they are.
+BROADCAST_IDS = 5 * BROADCAST_ROWS
 
 
 def _state(edges: DataFrame) -> tuple:
@@ -28,9 +33,10 @@ def components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 6
             break
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("low")).select("u", F.least("u", "low").alias("low"))
-        large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("low").alias("v")).distinct()
+        join = by_exchange if state[0] > BROADCAST_ROWS else lambda side: side
+        large = both.where("v > u").join(join(low), "u").select(F.col("v").alias("u"), F.col("low").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("low"))
-        small = large.join(low, "u").where("v != low").select(F.col("v").alias("u"), F.col("low").alias("v"))
+        small = large.join(join(low), "u").where("v != low").select(F.col("v").alias("u"), F.col("low").alias("v"))
         after = spill(small.unionByName(low.withColumnRenamed("low", "v")).distinct(), "edges")
         new = _state(after)
         now, done, state = after, new == state, new
@@ -48,5 +54,6 @@ def drop_ids(docs: DataFrame, ids: DataFrame, id: str) -> DataFrame:
     Only ids with several rows are brought together by id."""
     several = ids.where("keep and rows > 1").select(F.col("id").alias("__id"))
     gone = ids.where("not keep or rows > 1").select(F.col("id").alias("__id"))
+    gone = gone if gone.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else by_exchange(gone)
     once = docs.join(gone, F.col(id) == F.col("__id"), "left_anti")
     return once.unionByName(docs.join(several, F.col(id) == F.col("__id"), "left_semi").dropDuplicates([id]))

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathtraces.llm.common import parts, spill, texts
+from pathtraces.llm.common import by_exchange, parts, spill, texts
 from pathtraces.llm.components import components, drop_ids
 
 SHINGLE, THRESHOLD, SEED = 3, 3, 42
@@ -89,13 +89,13 @@ def links(nodes: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
     seen = visits(nodes)
     leaders = seen.where("at_home").groupBy("anchor").agg(F.max_by(F.struct("fp", "first"), F.struct("n", -F.col("first"))).alias("leader"), F.count(F.lit(1)).alias("homes"))
     far = F.bit_count(F.col("fp").bitwiseXOR(F.col("leader.fp")))
-    met = seen.join(leaders, "anchor").withColumn("far", far).where((F.col("homes") > 1) | F.col("far").between(1, threshold))
+    met = seen.join(by_exchange(leaders), "anchor").withColumn("far", far).where((F.col("homes") > 1) | F.col("far").between(1, threshold))
     met = spill(met.select("anchor", "fp", "first", "at_home", "homes", "far", F.col("leader.first").alias("leader")), "anchors")
     to_leader = met.where(F.col("far").between(1, threshold)).select(F.col("first").alias("a"), F.col("leader").alias("b"))
     crowded = met.where("homes > 1 and far > 0")
     v, h = crowded.alias("v"), crowded.where("at_home").alias("h")
     near = (F.bit_count(F.col("v.fp").bitwiseXOR(F.col("h.fp"))) <= threshold) & (F.col("v.fp") > F.col("h.fp"))
-    other = v.join(h, (F.col("v.anchor") == F.col("h.anchor")) & near & ~((F.col("v.far") <= threshold) & (F.col("h.far") <= threshold)))
+    other = v.join(by_exchange(h), (F.col("v.anchor") == F.col("h.anchor")) & near & ~((F.col("v.far") <= threshold) & (F.col("h.far") <= threshold)))
     return to_leader.unionByName(other.select(F.col("v.first").alias("a"), F.col("h.first").alias("b")))
 
 
@@ -104,8 +104,8 @@ def simhash_components(docs: DataFrame, id: str = "doc_id", text: str = "text",
     marked = spill(fingerprints(docs, id, text, shingle), "fingerprints")
     nodes = spill(marked.groupBy("fp").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")), "nodes")
     found = components(links(nodes.where("first is not null"), threshold))
-    named = nodes.join(found, F.col("first") == F.col("node"), "left").select("fp", F.coalesce("component", "first").alias("component_id"))
-    return marked.join(named, "fp").select("id", "fp", "component_id").withColumnRenamed("id", id)
+    named = nodes.join(by_exchange(found), F.col("first") == F.col("node"), "left").select("fp", F.coalesce("component", "first").alias("component_id"))
+    return marked.join(by_exchange(named), "fp").select("id", "fp", "component_id").withColumnRenamed("id", id)
 
 
 def hex_digits(fp: str = "fp") -> Column:

@@ -9,7 +9,7 @@ import numpy as np
 import pandas as pd
 import pytest
 import xxhash
-from pathtraces.llm import language, mixing, packing, quality, queries, simhash, substrings, tokens, tokenstore, toxicity, vectors
+from pathtraces.llm import common, components, language, mixing, packing, quality, queries, simhash, substrings, tokens, tokenstore, toxicity, vectors
 
 SF = "/root/testdata/sf0.001"
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -99,6 +99,25 @@ def test_every_error_of_three_bits_is_linked(spark):
     assert got == want
 
 
+def test_exploded_rows_are_not_gathered_on_the_driver(spark, monkeypatch):
+    """Whatever Spark guesses of the files' sizes: rows that grow with the documents go by exchange, and so do edges and ids beyond their bounds."""
+    plans = []
+
+    def seen(df, name):
+        plans.append(df._jdf.queryExecution().executedPlan().toString())
+        return common.spill(df, name)
+
+    monkeypatch.setattr(simhash, "spill", seen)
+    monkeypatch.setattr(components, "spill", seen)
+    monkeypatch.setattr(components, "BROADCAST_ROWS", 0, raising=False)
+    monkeypatch.setattr(components, "BROADCAST_IDS", 0, raising=False)
+    docs = spark.createDataFrame([(k, f"a b c d {k // 2}") for k in range(40)], "doc_id long, text string")
+    simhash.simhash_components(docs)
+    found = simhash.simhash_dedup(docs)
+    assert len(plans) > 8 and sorted(r.doc_id for r in found.collect()) == list(range(0, 40, 2))
+    assert not [p for p in plans if "Broadcast" in p]
+
+
 def test_error_patterns_cover():
     for s, patterns in enumerate(simhash.error_patterns()):
         assert len(set(patterns)) == len(patterns) == (17 if s else 2)
