@@ -6,7 +6,7 @@ import sys
 import corpus_pipeline
 import numpy as np
 import pytest
-from pathtraces.llm import quality
+from pathtraces.llm import quality, simhash
 from pathtraces.llm.common import spill
 
 sys.path.insert(0, __file__.rpartition("/")[0])
@@ -79,3 +79,16 @@ def test_pack(steps):
 def test_run(spark):
     got = corpus_pipeline.run(spark, SF)
     assert got.count() > 100 and "sequence_id" in got.columns
+
+
+def test_near_duplicates_plans_no_broadcast_of_exploded_rows(spark, monkeypatch):
+    """Under Spark's own broadcast limit, which guesses from files."""
+    plans = []
+
+    def seen(df, name):
+        plans.append((name, df._jdf.queryExecution().executedPlan().toString()))
+        return spill(df, name)
+
+    monkeypatch.setattr(simhash, "spill", seen)
+    corpus_pipeline.near_duplicates(spark, spark.read.parquet(f"{SF}/documents.parquet"), SF)
+    assert {"anchors", "gone"} <= {name for name, _ in plans} and not [name for name, plan in plans if "Broadcast" in plan]
