@@ -429,3 +429,15 @@ def test_second_collapse_by_session_equals_the_one_by_slabs(spark):
         assert sorted(map(tuple, clean.clean(r, delta, width=width).collect())) == slabs
         joined += units.count() - len(slabs)
     assert joined > 0  # a reading's own label beside an equal overlap
+
+
+def test_recursive_paths_beyond_sparks_limit_of_rows(spark):
+    limit = "spark.sql.cteRecursionRowLimit"
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "50")
+    try:
+        found = {tuple(r) for r in w.QUERIES["sql_recursive_paths"](spark, SF).collect()}
+        assert spark.conf.get(limit) == "50"
+    finally:
+        spark.conf.set(limit, before)
+    assert found == {(r.trace, r.len, r.n) for r in enumeration.trace_counts(w.graph(spark, SF), w.M).collect()}
