@@ -441,3 +441,24 @@ def test_recursive_paths_beyond_sparks_limit_of_rows(spark):
     finally:
         spark.conf.set(limit, before)
     assert found == {(r.trace, r.len, r.n) for r in enumeration.trace_counts(w.graph(spark, SF), w.M).collect()}
+
+
+def test_skip_pairs_without_a_graph_equal_the_graph(spark):
+    import random
+
+    draw = random.Random(3)
+    docs = spark.createDataFrame([(k, " ".join(draw.choices("abcd", k=draw.randrange(12)))) for k in range(200)] + [(300, None), (301, "4 5"), (302, "x x x")], "doc_id long, text string")
+    for reach in (1, 2, 4):
+        g = LabeledDag.from_readings(src.skipgram_readings(docs), reach, "collapse")
+        found = enumeration.skip_pair_counts(docs.select(src.words_of().alias("words")), "words", reach)
+        assert {tuple(r) for r in found.collect()} == {(r.trace, r.n) for r in enumeration.trace_counts(g, 2).collect()}
+
+
+def test_skipgrams_of_documents_need_no_stored_graph(spark, tmp_path, monkeypatch):
+    stored = []
+    monkeypatch.setattr("pathtraces.operators.dag.materialise", lambda df, name: stored.append(name) or df)
+    docs = spark.createDataFrame([(k, "a b") for k in range(60)], "doc_id long, text string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    assert {tuple(r) for r in w.QUERIES["document_skipgram_traces"](spark, str(tmp_path)).collect()} == {("a", 60), ("b", 60), ("a>b", 60)} and not stored
+    docs.unionByName(docs.where("doc_id = 0").withColumn("text", F.lit("c"))).write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
+    assert {tuple(r) for r in w.QUERIES["document_skipgram_traces"](spark, str(tmp_path)).collect()} >= {("b", 60)} and set(stored) == {"vertices", "edges"}
