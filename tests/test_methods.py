@@ -462,3 +462,14 @@ def test_skipgrams_of_documents_need_no_stored_graph(spark, tmp_path, monkeypatc
     assert {tuple(r) for r in w.QUERIES["document_skipgram_traces"](spark, str(tmp_path)).collect()} == {("a", 60), ("b", 60), ("a>b", 60)} and not stored
     docs.unionByName(docs.where("doc_id = 0").withColumn("text", F.lit("c"))).write.mode("overwrite").parquet(f"{tmp_path}/documents.parquet")
     assert {tuple(r) for r in w.QUERIES["document_skipgram_traces"](spark, str(tmp_path)).collect()} >= {("b", 60)} and set(stored) == {"vertices", "edges"}
+
+
+def test_examples_and_tables_read_what_is_there(spark, tmp_path):
+    spark.createDataFrame([(k, 1, "AB"[k % 2]) for k in range(4)], "c_custkey long, c_nationkey long, c_mktsegment string").write.parquet(f"{tmp_path}/customer.parquet")
+    spark.createDataFrame([(1,)] * 3 + [(2,)] * 3 + [(3,)] * 5, "user_id long").write.parquet(f"{tmp_path}/events.parquet")
+    rows = {q: sorted(map(tuple, w.QUERIES[q](spark, str(tmp_path)).collect())) for q in ("example_sequence", "example_browsing", "example_band", "error_table", "choose_c_table")}
+    assert rows["example_sequence"] == [("A*B", 1)]  # alternating labels are an overlap
+    assert rows["example_browsing"][:3] == [(1, 4, 2), (2, 9, 6), (3, 13, 10)]
+    assert [r[1] for r in rows["example_band"][:3]] == [4, 10, 14] and {r[1] for r in rows["example_band"][3:]} == {15}
+    assert [(r[0], r[-1]) for r in rows["error_table"]] == [(3, 2), (5, 1)] and rows["error_table"][1][1] == round(measures.fn_probability(5), 6)
+    assert rows["choose_c_table"] == [(1 / 6, measures.choose_c(1 / 6)), (1 / 4, measures.choose_c(1 / 4))]
