@@ -54,6 +54,6 @@ def drop_ids(docs: DataFrame, ids: DataFrame, id: str) -> DataFrame:
     Only ids with several rows are brought together by id."""
     several = ids.where("keep and rows > 1").select(F.col("id").alias("__id"))
     gone = ids.where("not keep or rows > 1").select(F.col("id").alias("__id"))
-    gone = gone if gone.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else by_exchange(gone)
-    once = docs.join(gone, F.col(id) == F.col("__id"), "left_anti")
-    return once.unionByName(docs.join(several, F.col(id) == F.col("__id"), "left_semi").dropDuplicates([id]))
+    join = by_exchange if gone.limit(BROADCAST_IDS + 1).count() > BROADCAST_IDS else lambda side: side
+    once = docs.join(join(gone), F.col(id) == F.col("__id"), "left_anti")
+    return once.unionByName(docs.join(join(several), F.col(id) == F.col("__id"), "left_semi").dropDuplicates([id]))

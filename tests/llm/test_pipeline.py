@@ -6,7 +6,7 @@ import sys
 import corpus_pipeline
 import numpy as np
 import pytest
-from pathtraces.llm import quality, simhash
+from pathtraces.llm import components, quality, simhash
 from pathtraces.llm.common import spill
 
 sys.path.insert(0, __file__.rpartition("/")[0])
@@ -92,3 +92,12 @@ def test_near_duplicates_plans_no_broadcast_of_exploded_rows(spark, monkeypatch)
     monkeypatch.setattr(simhash, "spill", seen)
     corpus_pipeline.near_duplicates(spark, spark.read.parquet(f"{SF}/documents.parquet"), SF)
     assert {"anchors", "gone"} <= {name for name, _ in plans} and not [name for name, plan in plans if "Broadcast" in plan]
+
+
+def test_near_duplicates_gathers_no_repeated_ids(spark, monkeypatch):
+    """Beyond the bound neither the ids that go nor those of several rows are sent to every task."""
+    monkeypatch.setattr(components, "BROADCAST_IDS", 0)
+    docs = spark.createDataFrame([(k % 20, f"a b c d {k % 20}", "en", "web", 9) for k in range(50)], DOCS)
+    left = corpus_pipeline.near_duplicates(spark, docs, SF)
+    assert sorted(r.doc_id for r in left.collect()) == list(range(20))
+    assert "Broadcast" not in left._jdf.queryExecution().executedPlan().toString()
